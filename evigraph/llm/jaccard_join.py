@@ -1,11 +1,12 @@
 """N-gram Jaccard join by a token-group matrix.
 
 Documents with equal shingle sets form one class. Classes that share a prefix token are first tied to
-one leader each, which makes groups of similar classes at a cost linear in the postings. Groups are
-cut into blocks of bounded size; a block's row of the matrix is the union of its members' tokens. A
-class is then held against every block of another group with which it shares a prefix token: only
-where its overlap with the block's token union reaches the least overlap any partner must have, and
-sizes allow it, is the block opened and its members compared.
+one leader each at a cost linear in the postings; those that meet the threshold are tied. Classes that
+share a least leader are a group of similar classes, linked or not, cut into blocks of bounded size; a
+block's row of the matrix is the union of its members' tokens. A class is then held against every
+block with which it shares a prefix token: only where its overlap with the block's token union reaches
+the least overlap any partner must have is the block opened and its members compared, but for those
+tied to the class already.
 
 Prefix filter: with a total order of tokens, two sets of Jaccard similarity t or more share a token
 among the first n - ceil(t n) + 1 of each, and the first one they share leaves enough of both behind
@@ -154,38 +155,39 @@ def join(docs: DataFrame, size: int = 3, num: int = 90, den: int = 100) -> DataF
     stars = common.written(stars)
     ends = stars.select(F.col("a").alias("class")).unionByName(stars.select(F.col("b").alias("class"))).distinct()
     found = common.written(_linked(stars, token_sets(docs, classes.join(ends, "class", "left_semi").select("class", "doc_id"), size), num, den))
-    groups = common.components(found)
-
-    # the matrix: blocks of at most BLOCK members of a group, their token unions and size range
-    member = postings.select("class", "n").distinct().join(groups.withColumnRenamed("id", "class"), "class", "left").withColumn("grp", F.coalesce("component_id", "class"))
-    # members of one leader go to chunks by hash, then to blocks of a bounded size
-    sized = member.groupBy("grp").agg(F.count("*").alias("m"))
-    member = member.join(sized, "grp").withColumn("block", F.struct("grp", F.pmod(F.xxhash64("class"), F.greatest(F.lit(1), F.ceil(F.col("m") / (BLOCK // 2)))).alias("part")))
-    member = common.written(member.select("class", "n", "grp", "block"))
-    in_lists = postings.join(member.select("class", "grp", "block"), "class")
-    crossed = in_lists.groupBy("token").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).filter("lo <> hi").select("token")
-    in_lists = common.written(in_lists.join(crossed, "token", "left_semi"))
-    rows = in_lists.groupBy("token", "block", "grp").agg(F.min("n").alias("least"), F.max("n").alias("most"), F.min("at").alias("at_least"))
-    query = in_lists.select("token", "class", "n", "at", F.col("grp").alias("own"))
-    # each cross pair of groups is met from both sides; one is enough
-    cells = (
-        query.join(rows, "token").filter(F.col("own") < F.col("grp")).filter(_reach(*(F.col(c) for c in ("n", "at", "least", "at_least", "most")), num, den))
-        .select("class", "block").distinct()
+    tied = common.components(found).select(F.col("id").alias("class"), F.col("component_id").alias("tie"))
+
+    # groups: the least leader of a class's lists; blocks: bounded parts of a group
+    grouped = postings.join(leaders, ["token", "band"]).groupBy("class", "n").agg(F.min("l.class").alias("grp"))
+    sized = grouped.groupBy("grp").agg(F.count("*").alias("m"))
+    part = F.pmod(F.xxhash64("class"), F.ceil(F.col("m") / (BLOCK // 2)).cast("long"))
+    member = grouped.join(sized, "grp").select("class", "n", F.concat("grp", F.unhex(F.format_string("%08x", part))).alias("block"))
+    member = common.written(member.join(tied, "class", "left").withColumn("tie", F.coalesce("tie", "class")))
+
+    # cells of the matrix: a class and a block that share a token of their prefixes
+    query = postings.join(member.select("class", "tie", F.col("block").alias("own")), "class")
+    rows = query.groupBy("token", F.col("own").alias("block")).agg(
+        F.min("n").alias("least"), F.max("n").alias("most"), F.min("at").alias("at_least"), F.min("class").alias("lo"), F.max("class").alias("hi")
     )
-    cells = common.written(cells)
-    opened = cells.select("block").distinct()
-    ends = cells.select("class").unionByName(member.join(opened, "block", "left_semi").select("class")).distinct()
-    sets = common.written(token_sets(docs, classes.join(ends, "class", "left_semi").select("class", "doc_id"), size))
-    unions = (
-        member.join(opened, "block", "left_semi").join(sets, "class").groupBy("block").agg(F.array_distinct(F.flatten(F.collect_list("tokens"))).alias("union"))
-    )
-    bound = cells.join(sets, "class").join(unions, "block").filter(F.size(F.array_intersect("tokens", "union")) * den >= F.size("tokens") * num).select("class", "block")
-    partners = member.select("block", F.col("class").alias("b"), F.col("n").alias("nb"))
-    pairs = (
-        bound.join(classes.select("class", "n"), "class").join(partners, "block")
-        .filter((F.col("nb") * den >= F.col("n") * num) & (F.col("n") * den >= F.col("nb") * num)).select(F.col("class").alias("a"), "b")
+    cells = common.written(
+        query.join(rows, "token").filter("own < block or own = block and lo <> hi")
+        .filter(_reach(*(F.col(c) for c in ("n", "at", "least", "at_least", "most")), num, den)).select("class", "n", "tie", "block").distinct()
     )
-    links = common.written(found.unionByName(_linked(pairs, sets, num, den)))
+    opened = member.join(cells.select("block").distinct(), "block", "left_semi")
+    ends = cells.select("class").unionByName(opened.select("class")).distinct()
+    sets = common.written(token_sets(docs, classes.join(ends, "class", "left_semi").select("class", "doc_id"), size))
+    blocks = opened.join(sets, "class").groupBy("block").agg(F.collect_list(F.struct("class", "tie", "tokens")).alias("members"))
+    blocks = common.written(blocks.withColumn("union", F.array_distinct(F.flatten(F.col("members.tokens")))))
+
+    def close(m):
+        i = F.size(F.array_intersect(m["tokens"], F.col("tokens")))
+        return (m["tie"] != F.col("tie")) & (i * den >= (F.size(m["tokens"]) + F.size("tokens") - i) * num)
+
+    hit = F.array_distinct(F.transform(F.filter("members", close), lambda m: m["tie"]))
+    bound = cells.join(sets, "class").join(blocks, "block").filter(F.size(F.array_intersect("tokens", "union")) * den >= F.size("tokens") * num)
+    met = bound.select(F.col("tie").alias("a"), F.explode(hit).alias("b")).distinct()
+    # classes tied to each other stand for one another, so links join their ties
+    links = common.written(tied.select(F.col("class").alias("a"), F.col("tie").alias("b")).unionByName(met))
     part = common.components(links)
     rooted = classes.join(part.withColumnRenamed("id", "class"), "class", "left").withColumn("root", F.coalesce("component_id", "class"))
     lowest = rooted.groupBy("root").agg(F.min("doc_id").alias("component_id"))

@@ -43,12 +43,13 @@ def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 class Rolling:
-    """Hash of any byte run of ``data`` in constant time."""
+    """Hash of any run of ``data`` (bytes or code points) in constant time."""
 
     def __init__(self, data: np.ndarray):
         p, self.inverse = powers(len(data) + 1)
         self.sums = np.zeros(len(data) + 1, _U)
-        np.cumsum(_BYTE[data] * p[: len(data)], out=self.sums[1:])
+        values = _BYTE[data] if data.dtype == np.uint8 else mix(data.astype(_U) * _U(0x9E3779B97F4A7C15) + _U(1))
+        np.cumsum(values * p[: len(data)], out=self.sums[1:])
 
     def of(self, begin: np.ndarray, end: np.ndarray) -> np.ndarray:
         return mix((self.sums[end] - self.sums[begin]) * self.inverse[begin] + (end - begin).astype(_U) * _U(0xD6E8FEB86659FD93))
@@ -60,6 +61,12 @@ def hash_of(text: str | bytes) -> int:
     return int(Rolling(b).of(np.array([0]), np.array([len(b)]))[0])
 
 
+def points(body: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The code points of UTF-8 rows, and each row's offsets in them."""
+    data = np.frombuffer(body.tobytes().decode("utf-8", "surrogatepass").encode("utf-32-le", "surrogatepass"), np.uint32)
+    return data, np.concatenate([[0], np.cumsum((body & 0xC0) != 0x80)])[at]
+
+
 @dataclass
 class Words:
     """Words of the rows of a slice: byte runs, hashes, and where each row's words begin and end."""
