@@ -1,8 +1,9 @@
 """Hierarchical empirical Bayes quality classifier.
 
-Document evidence is a naive Bayes ratio of "junk" and "toxic" against good documents, over words, word
-stems and binned shape measures; every labelled document counts, summed per feature on the executors,
-and only features that differ beyond chance are kept. The soft verdicts of all documents are then
+Document evidence is the log ratio of a document as bad ("junk" or "toxic") against good, from a softmax
+regression over words, word stems and binned shape measures. Features are chosen from all labelled
+documents, by sums on the executors: those whose counts differ between the kinds beyond chance. The
+regression is fitted on at most ``SAMPLE`` labelled documents, those of least id hash. The soft verdicts of all documents are then
 summed per host and per path; host rates are shrunk toward the global rate, path rates toward their
 host's, with prior strengths found from the spread of the rates (method of moments). A document is
 judged by its evidence at the odds of its path.
@@ -24,7 +25,9 @@ from pyspark.sql import functions as F
 from evigraph.llm import common, text
 
 #: Features kept at most, the least count of one, and how many deviations from chance it must show.
-MOST, LEAST, DEVIATIONS = 50_000, 8, 6.0
+MOST, LEAST, DEVIATIONS = 4096, 8, 4.0
+#: Labelled documents that the regression is fitted on at most.
+SAMPLE = 20_000
 #: Sites that are broadcast at most; more are joined by shuffle.
 SITES = 100_000
 STEM = 5
@@ -71,7 +74,7 @@ def weights(docs: DataFrame, labels: DataFrame) -> dict:
     marked = labels.filter("doc_id is not null").groupBy("doc_id").agg(F.min("quality").alias("q"), F.max("toxic").alias("t"))
     kind = F.when(F.col("t") == 1, 2).when(F.col("q") == 0, 1).when(F.col("q") == 1, 0)
     marked = marked.select("doc_id", kind.cast("int").alias("kind")).filter("kind is not null")
-    known = common.joined_checked(docs.select("doc_id", "text"), marked, ["doc_id"], "inner", 1_000_000).select("text", "kind")
+    known = common.joined_checked(docs.select("doc_id", "text"), marked, ["doc_id"], "inner", 1_000_000)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -83,9 +86,9 @@ def weights(docs: DataFrame, labels: DataFrame) -> dict:
                 u, n = np.append(u, np.uint64(0)), np.vstack([n, np.bincount(kind, minlength=3)])  # feature 0: all documents
                 yield pa.RecordBatch.from_arrays([pa.array(u.view(np.int64)), *(pa.array(n[:, k]) for k in range(3))], names=["f", "n0", "n1", "n2"])
 
-    sums = common.written(known.mapInArrow(count, "f long, n0 long, n1 long, n2 long").groupBy("f").agg(*(F.sum(f"n{k}").alias(f"n{k}") for k in range(3))).filter(f"f = 0 or n0 + n1 + n2 >= {LEAST}"))
+    sums = common.written(known.select("text", "kind").mapInArrow(count, "f long, n0 long, n1 long, n2 long").groupBy("f").agg(*(F.sum(f"n{k}").alias(f"n{k}") for k in range(3))).filter(f"f = 0 or n0 + n1 + n2 >= {LEAST}"))
     total = sums.filter("f = 0").first()
-    empty = {"f": np.zeros(0, np.uint64), "w": np.zeros((0, 2)), "base": np.zeros(2), "share": np.full(2, 0.5), "rate": 0.1}
+    empty = {"f": np.zeros(0, np.uint64), "w": np.zeros((0, 2)), "base": np.zeros(2), "rate": 0.1}
     if total is None or not total["n0"] or not total["n1"] + total["n2"]:
         return empty
     t = [total[f"n{k}"] for k in range(3)]
@@ -95,37 +98,65 @@ def weights(docs: DataFrame, labels: DataFrame) -> dict:
         return F.abs(F.col(f"n{k}") - n * p) / F.sqrt(n * max(p * (1 - p), 1e-9) + 1)
 
     top = sums.filter("f <> 0").withColumn("z", F.greatest(deviation(1), deviation(2))).filter(F.col("z") >= DEVIATIONS).orderBy(F.desc("z"), "f").limit(MOST).toPandas()
-    n = top[["n0", "n1", "n2"]].to_numpy(float)
-    order = np.argsort(top["f"].to_numpy(np.int64).view(np.uint64))
-    p = np.clip((n + 0.5) / (np.array(t) + 1), 1e-6, 1 - 1e-6)
-    has, lacks = np.log(p[:, 1:] / p[:, :1]), np.log((1 - p[:, 1:]) / (1 - p[:, :1]))
-    for k in (0, 1):  # a feature speaks only for the kind that it deviates for
-        m, q = n[:, k + 1] + n[:, 0], t[k + 1] / (t[k + 1] + t[0])
-        mute = np.abs(n[:, k + 1] - m * q) / np.sqrt(m * max(q * (1 - q), 1e-9) + 1) < DEVIATIONS
-        has[mute, k] = lacks[mute, k] = 0
-    bad = t[1] + t[2]
-    return {
-        "f": top["f"].to_numpy(np.int64).view(np.uint64)[order], "w": (has - lacks)[order], "base": lacks.sum(axis=0),
-        "share": np.array(t[1:]) / bad, "rate": bad / sum(t),
-    }
+    f = np.sort(top["f"].to_numpy(np.int64).view(np.uint64))
+
+    def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in common.slices(batch, "text", 4 * common.SLICE_BYTES):
+                row, at = _chosen(part, f)
+                order = np.argsort(row, kind="stable")
+                bounds = np.searchsorted(row[order], np.arange(len(part) + 1))
+                lists = pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(at[order].astype(np.int32)))
+                yield pa.RecordBatch.from_arrays([part.column("h"), part.column("kind"), lists], names=["h", "kind", "at"])
+
+    known = known.withColumn("h", F.xxhash64("doc_id", "text"))
+    sample = known.mapInArrow(gather, "h long, kind int, at array<int>").orderBy("h", "kind").limit(SAMPLE).toPandas()
+    return {"f": f} | _softmax(sample["at"].tolist(), sample["kind"].to_numpy(np.int64), len(f))
+
+
+def _chosen(part: pa.RecordBatch, f: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(row, place in ``f``) of the chosen features of each row."""
+    rows, feature = _features(part)
+    at = np.minimum(np.searchsorted(f, feature), len(f) - 1)
+    ok = f[at] == feature
+    return rows[ok].astype(np.int64), at[ok]
+
+
+def _softmax(lists: list, kind: np.ndarray, size: int, penalty: float = 3e-5, steps: int = 400) -> dict:
+    """Weights of kinds 1 and 2 against kind 0, by full-batch steps with adaptive moments."""
+    counts = np.array([len(x) for x in lists])
+    row, at = np.repeat(np.arange(len(lists)), counts), np.concatenate([np.asarray(x, np.int64) for x in lists] or [np.zeros(0, np.int64)])
+    share = np.bincount(kind, minlength=3) / max(1, len(kind))
+    w, base = np.zeros((size, 2)), np.log(np.maximum(share[1:], 1e-9) / max(share[0], 1e-9))
+    m, v, mb, vb = np.zeros_like(w), np.zeros_like(w), np.zeros(2), np.zeros(2)
+    aim = (kind[:, None] == np.array([1, 2])).astype(float)
+    for k in range(1, steps + 1):
+        z = np.stack([np.bincount(row, weights=w[at, c], minlength=len(lists)) for c in (0, 1)], axis=1) + base
+        top = np.maximum(z.max(axis=1, initial=0), 0)[:, None]
+        e = np.exp(z - top)
+        gap = e / (e.sum(axis=1, keepdims=True) + np.exp(-top)) - aim
+        g = np.stack([np.bincount(at, weights=gap[row, c], minlength=size) for c in (0, 1)], axis=1) / len(lists) + penalty * w
+        gb = gap.mean(axis=0)
+        m, v, mb, vb = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g * g, 0.9 * mb + 0.1 * gb, 0.99 * vb + 0.01 * gb * gb
+        step, fix, root = 0.1 * (1 - 0.7 * k / steps), 1 - 0.9**k, 1 - 0.99**k
+        w -= step * (m / fix) / (np.sqrt(v / root) + 1e-8)
+        base -= step * (mb / fix) / (np.sqrt(vb / root) + 1e-8)
+    rate = 1 - share[0]
+    return {"w": w, "base": base, "rate": min(max(rate, 1e-3), 1 - 1e-3)}
 
 
 def evidence(docs: DataFrame, model: dict) -> DataFrame:
     """``docs`` with ``evidence``: the log ratio of the text as bad against as good."""
+    odds = float(np.log(model["rate"] / (1 - model["rate"])))
+
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in common.slices(batch, "text", 4 * common.SLICE_BYTES):
-                total = np.tile(model["base"], (len(part), 1))
+                both = np.zeros(len(part))
                 if len(model["f"]):
-                    rows, feature = _features(part)
-                    at = np.minimum(np.searchsorted(model["f"], feature), len(model["f"]) - 1)
-                    ok = model["f"][at] == feature
-                    for k in (0, 1):
-                        total[:, k] += np.bincount(rows[ok], weights=model["w"][at[ok], k], minlength=len(part))
-                    total = np.clip(total, -40, 40)
-                    both = np.logaddexp(*(total[:, k] + np.log(max(model["share"][k], 1e-9)) for k in (0, 1)))
-                else:
-                    both = np.zeros(len(part))
+                    rows, at = _chosen(part, model["f"])
+                    z = [np.bincount(rows, weights=model["w"][at, k], minlength=len(part)) + model["base"][k] for k in (0, 1)]
+                    both = np.clip(np.logaddexp(*z) - odds, -30, 30)
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(both)], names=[*part.schema.names, "evidence"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)

@@ -6,21 +6,58 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from evigraph.llm import decontamination, jaccard_join
+from pyspark.sql import functions as F
+
+from evigraph.llm import decontamination, embedding_join, jaccard_join, language_id, line_dedup, mixing, quality, style_tree
 from evigraph.llm.common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op2_site_style_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return style_tree.extracted(table(spark, sf_dir, "pages"))
+
+
 def op3_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontamination.judged(decontamination.matches(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), ["doc_id"]))
 
 
+def op5_mixing_to_target_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
+    columns = ("doc_id", "source", "lang", "topic", "n_tokens", "weight", "probability", "drawn")
+    return mixing.mixed(table(spark, sf_dir, "documents").select("doc_id", "source", "lang", "text")).select(*columns)
+
+
+def op6_rank_order_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    model = language_id.profiles(docs.filter(language_id.remainder("doc_id", 4) != 2))
+    rows = docs.select("doc_id", (language_id.remainder("doc_id", 4) == 2).alias("held_out"), "text")
+    return language_id.predicted(rows, model)
+
+
+def op7_epsilon_grid_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embedding_join.join(table(spark, sf_dir, "embeddings"))
+
+
+def op8_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "source", "lang", "text")
+    return quality.judged(docs, table(spark, sf_dir, "labels")).select("doc_id", "source", "lang", "evidence", "prior", "p_bad", "keep")
+
+
+def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup.deduplicated(table(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", "n_lines", "n_exact", "n_near", F.col("kept").alias("text"))
+
+
 def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_join.join(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op3_benchmark_decontamination, op10_ngram_jaccard_join)}
+QUERIES: dict[str, Query] = {
+    f.__name__: f
+    for f in (
+        op2_site_style_tree, op3_benchmark_decontamination, op5_mixing_to_target_weights, op6_rank_order_language, op7_epsilon_grid_join,
+        op8_quality_classifier, op9_line_dedup, op10_ngram_jaccard_join,
+    )
+}
 
 _LOWER = "translate({}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 
