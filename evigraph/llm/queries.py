@@ -2,18 +2,34 @@
 
 from __future__ import annotations
 
+import os
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
 from pyspark.sql import functions as F
 
-from evigraph.llm import decontamination, embedding_join, jaccard_join, language_id, line_dedup, mixing, quality, style_tree
+from evigraph.llm import decontamination, embedding_join, jaccard_join, language_id, lattice_lm, line_dedup, mixing, quality, style_tree, url_rules
 from evigraph.llm.common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def vocabulary_path() -> str:
+    """The unigram scores come from the public 32k piece vocabulary; EVIGRAPH_PIECES names another."""
+    named = os.environ.get("EVIGRAPH_PIECES", "")
+    if named:
+        return named
+    import public_tokenizers
+
+    return public_tokenizers.path("piece_bpe_32k.model")
+
+
+def op1_subword_lattice(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", F.col("lang").alias("class"), (language_id.remainder("doc_id", 7) == 2).alias("held_out"))
+    return lattice_lm.scored(docs, lattice_lm.Vocabulary.of(vocabulary_path()))
+
+
 def op2_site_style_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return style_tree.extracted(table(spark, sf_dir, "pages"))
 
@@ -22,6 +38,10 @@ def op3_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
     return decontamination.judged(decontamination.matches(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), ["doc_id"]))
 
 
+def op4_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_rules.judged(table(spark, sf_dir, "pages"), url_rules.labels_of(table(spark, sf_dir, "labels")))
+
+
 def op5_mixing_to_target_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
     columns = ("doc_id", "source", "lang", "topic", "n_tokens", "weight", "probability", "drawn")
     return mixing.mixed(table(spark, sf_dir, "documents").select("doc_id", "source", "lang", "text")).select(*columns)
@@ -54,7 +74,7 @@ def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Query] = {
     f.__name__: f
     for f in (
-        op2_site_style_tree, op3_benchmark_decontamination, op5_mixing_to_target_weights, op6_rank_order_language, op7_epsilon_grid_join,
+        op1_subword_lattice, op2_site_style_tree, op3_benchmark_decontamination, op4_url_rules, op5_mixing_to_target_weights, op6_rank_order_language, op7_epsilon_grid_join,
         op8_quality_classifier, op9_line_dedup, op10_ngram_jaccard_join,
     )
 }
