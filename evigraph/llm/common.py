@@ -10,6 +10,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType, IntegerType, LongType, StringType, StructField, StructType
 
 #: Bytes of text that the array kernels take at once; a longer document makes a slice of its own.
 SLICE_BYTES = 1_000_000
@@ -40,6 +41,30 @@ def written(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def wrapped(docs: DataFrame, *columns: str) -> DataFrame:
+    """All columns of ``docs`` in one struct ``doc``, beside the columns an operator works on, so that no
+    column of the input can clash with one that the operator adds."""
+    return docs.select(F.struct(*docs.columns).alias("doc"), *columns)
+
+
+def unwrapped(df: DataFrame, docs: DataFrame, **changed) -> DataFrame:
+    """The columns of ``docs`` again, some of them changed."""
+    return df.select(*(changed[c].alias(c) if c in changed else F.col("doc").getField(c).alias(c) for c in docs.columns))
+
+
+def with_fields(docs: DataFrame, drop: tuple[str, ...] = (), **more: str) -> StructType:
+    """The schema of ``docs`` without some columns and with more."""
+    kept = [f for f in docs.schema.fields if f.name not in drop]
+    return StructType([*kept, *(StructField(k, _parse(v)) for k, v in more.items())])
+
+
+_KINDS = {"long": LongType(), "int": IntegerType(), "double": DoubleType(), "string": StringType(), "array<int>": ArrayType(IntegerType()), "array<string>": ArrayType(StringType())}
+
+
+def _parse(kind: str):
+    return _KINDS[kind]
+
+
 def small(df: DataFrame, rows: int) -> bool:
     """Whether ``df`` has at most ``rows`` rows; reads no more than it must."""
     return df.limit(rows + 1).count() <= rows

@@ -119,9 +119,6 @@ def _blocks(bench: DataFrame, limit: int) -> list[DataFrame]:
     return [rows.filter(F.pmod(F.xxhash64("item_id"), F.lit(n)) == k) if n > 1 else rows for k in range(n)]
 
 
-_HITS = "n_words long, hit array<int>, items array<string>"
-
-
 def _matcher(phrases: Phrases, slop: int | None):
     """Adds n_words, the hit word places of each row and the items found to each batch."""
 
@@ -162,18 +159,16 @@ def matches(docs: DataFrame, bench: DataFrame, keep: list[str], window: int = 13
     """The columns ``keep`` of each row of ``docs`` with n_words, the places of words hit (``hit``)
     and the sorted ids of the items found (``items``). ``slop`` asks for proximity in place of exact
     phrases. A benchmark beyond ``block_bytes`` is matched in blocks whose results are united."""
-    kinds = dict(docs.dtypes)
-    schema = ", ".join([*(f"`{k}` {kinds[k]}" for k in keep), _HITS])
     blocks = _blocks(bench, block_bytes)
 
-    def run(source: DataFrame, block: DataFrame, extra: list[str], schema: str) -> DataFrame:
+    def run(source: DataFrame, block: DataFrame) -> DataFrame:
         phrases = Phrases.of([tuple(r) for r in block.collect()], window)
-        return source.select(*keep, *extra, "text").mapInArrow(_matcher(phrases, slop), schema)
+        return source.mapInArrow(_matcher(phrases, slop), common.with_fields(source, ("text",), n_words="long", hit="array<int>", items="array<string>"))
 
     if len(blocks) == 1:
-        return run(docs, blocks[0], [], schema)
+        return run(docs.select(*keep, "text"), blocks[0])
     rows = common.written(docs.select(*keep, "text", F.expr("uuid()").alias("row_key")))
-    parts = [run(rows, b, ["row_key"], ", ".join([*(f"`{k}` {kinds[k]}" for k in keep), "row_key string", _HITS])) for b in blocks]
+    parts = [run(rows, b) for b in blocks]
     united = parts[0]
     for p in parts[1:]:
         united = united.unionByName(p)
@@ -192,10 +187,8 @@ def judged(hits: DataFrame, share: int = 20) -> DataFrame:
 
 def decontaminated(docs: DataFrame, bench: DataFrame) -> DataFrame:
     """The rows of ``docs`` (with the columns of documents) that are not contaminated."""
-    columns = docs.columns
-    named = docs.withColumn("text_kept", F.col("text"))
-    hits = judged(matches(named, bench, [*(c for c in columns if c != "text"), "text_kept"]))
-    return hits.filter(~F.col("contaminated")).withColumnRenamed("text_kept", "text").select(*columns)
+    hits = judged(matches(common.wrapped(docs, "text"), bench, ["doc"]))
+    return common.unwrapped(hits.filter(~F.col("contaminated")), docs)
 
 
 def brute(doc: str | None, items: list[tuple[int, str]], window: int = 13) -> dict:

@@ -159,8 +159,7 @@ def predicted(docs: DataFrame, model: dict[str, list[tuple[int, float]]]) -> Dat
                 keep = [k for k in range(part.num_columns) if part.schema.names[k] != "text"]
                 yield pa.RecordBatch.from_arrays([*(part.column(k) for k in keep), pa.array(best, pa.string()), pa.array(score)], names=[*(part.schema.names[k] for k in keep), "lang_pred", "score"])
 
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields if f.name != "text")
-    return docs.mapInArrow(run, f"{schema}, lang_pred string, score double")
+    return docs.mapInArrow(run, common.with_fields(docs, ("text",), lang_pred="string", score="double"))
 
 
 def remainder(column: str, n: int):

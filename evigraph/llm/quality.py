@@ -98,6 +98,8 @@ def weights(docs: DataFrame, labels: DataFrame) -> dict:
         return F.abs(F.col(f"n{k}") - n * p) / F.sqrt(n * max(p * (1 - p), 1e-9) + 1)
 
     top = sums.filter("f <> 0").withColumn("z", F.greatest(deviation(1), deviation(2))).filter(F.col("z") >= DEVIATIONS).orderBy(F.desc("z"), "f").limit(MOST).toPandas()
+    if not len(top):
+        return empty
     f = np.sort(top["f"].to_numpy(np.int64).view(np.uint64))
 
     def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -159,8 +161,7 @@ def evidence(docs: DataFrame, model: dict) -> DataFrame:
                     both = np.clip(np.logaddexp(*z) - odds, -30, 30)
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(both)], names=[*part.schema.names, "evidence"])
 
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return docs.mapInArrow(score, f"{schema}, evidence double")
+    return docs.mapInArrow(score, common.with_fields(docs, evidence="double"))
 
 
 def site_rates(scored: DataFrame, host: str, path: str, rate: float) -> DataFrame:
@@ -204,4 +205,5 @@ def judged(docs: DataFrame, labels: DataFrame, host: str = "source", path: str =
 
 
 def good(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    return judged(docs, labels).filter("keep").select(*docs.columns)
+    rows = judged(common.wrapped(docs, "source", "lang", "text"), labels, known=docs.select("doc_id", "text"))
+    return common.unwrapped(rows.filter("keep"), docs)

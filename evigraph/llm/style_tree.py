@@ -241,7 +241,7 @@ def extracted(pages: DataFrame, low: float = LOW, least: int = PAGES, sent: int
         keys = np.sort(np.array([r["key"] for r in cut.collect()], np.int64))
         parts = [(pages, keys)]
     else:  # too many to send at once: each block of hosts gets the keys of its own trees
-        n = 2 * -(-cut.count() // sent)
+        n = 2 * -(-cut.count() // max(1, sent))
         block = F.pmod(F.xxhash64(F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), "://([^/?#]*)", 1))), F.lit(n))
         parts = []
         for k in range(n):
