@@ -8,8 +8,10 @@ it may match with the substrings at the places that the shift allows. Pairs that
 the parity of their bigram counts, which one edit changes in at most four bits, and then verified with
 a bit-parallel edit distance that stops once the threshold is passed.
 
-The first occurrence of a line (smallest doc_id, then line number) stays. A line goes if it repeats an
-earlier line, or is within ``edits`` of an earlier distinct line, whether or not that one stays.
+Lines within ``edits`` of each other, directly or through others, are a group. Of a group the line that
+occurs first (smallest doc_id, then line number) stays; repeats of any line go. To find the groups, each
+list of the index is first met by one line of it, which ties most of what belongs together; pairs that
+are tied already are not made again, so a large group of variants costs no square of its size.
 
 Defined results: null text has no lines and stays null, empty text is one empty line; lines shorter
 than ``least`` characters are never judged; rows that repeat a doc_id are told apart by
@@ -22,7 +24,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from evigraph.llm import common, text
@@ -187,36 +189,50 @@ def _verified(pairs: DataFrame, bodies: DataFrame, edits: int) -> DataFrame:
         for batch in batches:
             x, y = batch.column("x").to_pylist(), batch.column("y").to_pylist()
             ok = pa.array([within(a.encode(), b.encode(), edits) for a, b in zip(x, y, strict=True)], pa.bool_())
-            yield pa.RecordBatch.from_arrays([batch.column("line").filter(ok)], names=["line"])
+            yield pa.RecordBatch.from_arrays([batch.column("line").filter(ok), batch.column("other").filter(ok)], names=["a", "b"])
 
     both = pairs.join(bodies.withColumnRenamed("body", "x"), "line").join(bodies.select(F.col("line").alias("other"), F.col("body").alias("y")), "other")
-    return both.select("line", "x", "y").mapInArrow(run, "line long").distinct()
+    return both.select("line", "other", "x", "y").mapInArrow(run, "a long, b long")
 
 
 def judged(docs: DataFrame, edits: int = 2, least: int = 20) -> tuple[DataFrame, DataFrame]:
-    """(rows, drops): ``docs`` with a row_key, written once, and per row_key the line numbers dropped
-    as repeats (exact) and as near repeats (near)."""
+    """(rows, drops): ``docs`` wrapped and with a row_key, and per row_key the line numbers dropped as
+    repeats (exact) and as near repeats (near)."""
     if edits < 0 or least < 4 * (edits + 1):
         raise ValueError("lines must be long enough for segments of at least four characters")
     # equal rows get equal keys; the rows behind one key are told apart by their number
-    rows = docs.withColumn("row_key", F.xxhash64(F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.coalesce("text", F.lit(""))))
+    rows = common.wrapped(docs, "doc_id", "text").withColumn("row_key", F.xxhash64(F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.coalesce("text", F.lit(""))))
     seen = common.written(occurrences(rows, least).distinct())
     order = F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "row_key", "no")
     firsts = common.written(seen.groupBy("line").agg(F.min(order).alias("first")))
     exact = seen.join(firsts, "line").filter(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "row_key", "no") != F.col("first")).select("row_key", "no")
 
-    keyed = index_rows(rows, edits, least)
+    # keys that lines alone hold lead nowhere; what is left is small
+    whole = Window.partitionBy("key")
+    keyed = index_rows(rows, edits, least).withColumns({"lo": F.min("line").over(whole), "hi": F.max("line").over(whole), "any": F.bool_or("probe").over(whole), "all": F.bool_and("probe").over(whole)})
+    keyed = common.written(keyed.filter("lo <> hi and any and not all").drop("lo", "hi", "any", "all").distinct())
+    close = F.bit_count(F.col("pa").bitwiseXOR(F.col("pb"))) <= 4 * edits
     probe = keyed.filter("probe").select("key", F.col("line").alias("a"), F.col("parity").alias("pa"))
     index = keyed.filter("not probe").select("key", F.col("line").alias("b"), F.col("parity").alias("pb"))
-    met = probe.join(index, "key").filter("a <> b").filter(F.bit_count(F.col("pa").bitwiseXOR(F.col("pb"))) <= 4 * edits)
-    pairs = met.select(F.least("a", "b").alias("line"), F.greatest("a", "b").alias("other")).distinct()
-    ranked = pairs.join(firsts.select("line", F.col("first").alias("f1")), "line").join(firsts.select(F.col("line").alias("other"), F.col("first").alias("f2")), "other")
-    late = F.col("f1") > F.col("f2")
-    pairs = common.written(ranked.select(F.when(late, F.col("line")).otherwise(F.col("other")).alias("line"), F.when(late, F.col("other")).otherwise(F.col("line")).alias("other")))
-    ends = pairs.select("line").unionByName(pairs.select(F.col("other").alias("line"))).distinct()
-    wanted = firsts.join(ends, "line", "left_semi").select("line", F.col("first.row_key").alias("row_key"), F.col("first.no").alias("no"))
-    bodies = line_texts(rows.dropDuplicates(["row_key"]), wanted, least)
-    near = _verified(pairs, bodies, edits)
+
+    def verified(met: DataFrame) -> DataFrame:
+        pairs = common.written(met.select(F.least("a", "b").alias("line"), F.greatest("a", "b").alias("other")).distinct())
+        ends = pairs.select("line").unionByName(pairs.select(F.col("other").alias("line"))).distinct()
+        wanted = firsts.join(ends, "line", "left_semi").select("line", F.col("first.row_key").alias("row_key"), F.col("first.no").alias("no"))
+        return common.written(_verified(pairs, line_texts(rows.dropDuplicates(["row_key"]), wanted, least), edits))
+
+    # first one line of each list against the others: what it matches is tied and need not meet again
+    leaders = index.groupBy("key").agg(F.min(F.struct("b", "pb")).alias("l")).select("key", "l.*")
+    found = verified(probe.join(leaders, "key").filter("a <> b").filter(close))
+    tied = common.components(found)
+    tie_a, tie_b = (tied.select(F.col("id").alias(x), F.col("component_id").alias(f"t{x}")) for x in "ab")
+    probe = probe.join(tie_a, "a", "left").withColumn("ta", F.coalesce("ta", "a"))
+    index = index.join(tie_b, "b", "left").withColumn("tb", F.coalesce("tb", "b"))
+    more = verified(probe.join(index, "key").filter("ta <> tb").filter(close))
+    groups = common.components(found.unionByName(more)).withColumnRenamed("id", "line")
+    lead = firsts.join(groups, "line")
+    best = lead.groupBy("component_id").agg(F.min("first").alias("best"))
+    near = lead.join(best, "component_id").filter("first <> best").select("line")
     near = firsts.join(near, "line", "left_semi").select(F.col("first.row_key").alias("row_key"), F.col("first.no").alias("no"))
     drops = exact.select("row_key", "no", F.lit(True).alias("exact")).unionByName(near.select("row_key", "no", F.lit(False).alias("exact")))
     drops = drops.groupBy("row_key").agg(F.collect_list(F.when(F.col("exact"), F.col("no"))).alias("exact"), F.collect_list(F.when(~F.col("exact"), F.col("no"))).alias("near"))
@@ -228,24 +244,26 @@ def _kept(lines, drop):
 
 
 def deduplicated(docs: DataFrame, edits: int = 2, least: int = 20) -> DataFrame:
-    """``docs`` with the columns n_lines, n_exact, n_near and ``kept``, the text without dropped lines."""
+    """doc (the row's columns), doc_id, text, n_lines, n_exact, n_near and ``kept``, the text without
+    dropped lines."""
     rows, drops = judged(docs, edits, least)
     empty = F.array().cast("array<int>")
     out = rows.join(drops, "row_key", "left").withColumns({"exact": F.coalesce("exact", empty), "near": F.coalesce("near", empty), "lines": F.split("text", "\n")})
     out = out.withColumns({
-        "n_lines": F.coalesce(F.size("lines"), F.lit(0)).cast("long"), "n_exact": F.size("exact").cast("long"), "n_near": F.size("near").cast("long"),
+        "n_lines": F.when(F.col("text").isNull(), 0).otherwise(F.size("lines")).cast("long"), "n_exact": F.size("exact").cast("long"), "n_near": F.size("near").cast("long"),
         "kept": F.when(F.size("exact") + F.size("near") == 0, F.col("text")).otherwise(_kept(F.col("lines"), F.concat("exact", "near"))),
     })
-    return out.withColumn("n_lines", F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.col("n_lines"))).drop("row_key", "exact", "near", "lines")
+    return out.drop("row_key", "exact", "near", "lines")
 
 
 def without_repeats(docs: DataFrame) -> DataFrame:
     """``docs`` with repeated lines gone; a document that loses all it said goes too."""
-    out = deduplicated(docs).filter((F.col("n_exact") + F.col("n_near") == 0) | (F.trim("kept") != ""))
-    out = out.withColumn("text", F.col("kept"))
+    same = F.col("n_exact") + F.col("n_near") == 0
+    out = deduplicated(docs).filter(same | (F.trim("kept") != ""))
+    changed = {"text": F.col("kept")}
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("n_exact") + F.col("n_near") == 0, F.col("n_chars")).otherwise(F.length("text").cast(dict(docs.dtypes)["n_chars"])))
-    return out.select(*docs.columns)
+        changed["n_chars"] = F.when(same, F.col("doc.n_chars")).otherwise(F.length("kept").cast(dict(docs.dtypes)["n_chars"]))
+    return common.unwrapped(out, docs, **changed)
 
 
 def distance(a: str, b: str) -> int:
@@ -265,12 +283,22 @@ def brute(docs: list[tuple[int, str | None]], edits: int = 2, least: int = 20) -
     for d, s in sorted(docs):
         for k, x in enumerate((s or "").split("\n")):
             x = x.strip(_TRIM)
-            if len(x) < least:
-                continue
-            if x in first:
-                out[d][1] += 1
-            else:
-                if any(abs(len(x) - len(y)) <= edits and distance(x, y) <= edits for y in first):
-                    out[d][2] += 1
-                first[x] = (d, k)
+            if len(x) >= least:
+                out[d][1] += x in first
+                first.setdefault(x, (d, k))
+    up = {x: x for x in first}
+
+    def root(x: str) -> str:
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    lines = sorted(first, key=first.get)
+    for k, x in enumerate(lines):
+        for y in lines[:k]:
+            if abs(len(x) - len(y)) <= edits and distance(x, y) <= edits:
+                a, b = sorted((root(x), root(y)), key=first.get)
+                up[b] = a
+    for x in lines:
+        out[first[x][0]][2] += root(x) != x
     return {d: tuple(v) for d, v in out.items()}
