@@ -138,7 +138,7 @@ class Lattice:
         return out
 
 
-def _batches(words: list[bytes], cells: int = 400_000) -> Iterator[np.ndarray]:
+def _batches(words: list[bytes], cells: int = 150_000) -> Iterator[np.ndarray]:
     """Runs of words of like length whose tables stay small."""
     order = np.argsort([len(w) for w in words], kind="stable")
     begin = 0
@@ -169,7 +169,7 @@ def word_counts(docs: DataFrame, classes: list) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in common.slices(batch, "text", 8 * common.SLICE_BYTES):
+            for part in common.slices(batch, "text", 2 * common.SLICE_BYTES):
                 w, row, word, n, first = _counted(part)
                 own = np.array([-1 if held else number.get(c, width - 1) for c, held in zip(part.column("class").to_pylist(), part.column("held_out").to_pylist(), strict=True)], np.int64)
                 size = len(first)
@@ -209,7 +209,6 @@ def adapted(counts: DataFrame, v: Vocabulary, total) -> np.ndarray:
 def scored(docs: DataFrame, vocabulary: Vocabulary, hot: int = HOT) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of (doc_id, text, class,
     held_out) rows; those not held out teach."""
-    spark = docs.sparkSession
     known = docs.filter("not held_out").groupBy("class").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "class").limit(CLASSES).collect()
     classes = [r["class"] for r in known] or [None]
     width = len(classes)
@@ -258,7 +257,7 @@ def scored(docs: DataFrame, vocabulary: Vocabulary, hot: int = HOT) -> DataFrame
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in common.slices(batch, "text", 2 * common.SLICE_BYTES):
+            for part in common.slices(batch, "text"):
                 w, row, word, n, first = _counted(part)
                 rows = len(part)
                 h = w.hashes[first].view(np.int64)[word] if len(first) else np.zeros(0, np.int64)
@@ -299,5 +298,4 @@ def scored(docs: DataFrame, vocabulary: Vocabulary, hot: int = HOT) -> DataFrame
         "doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce((F.col("k2") / times).cast("long"), F.lit(0))).cast("long").alias("n_known"), F.lit(int(tokens)).cast("long").alias("train_tokens"),
         (F.col("base") + F.coalesce(F.col("b2") / times, zero)).alias("base_score"), (F.col("whole") / float(np.log(10))).alias("score"), F.explode(F.sequence(F.lit(1), times.cast("int"))).alias("copy"),
     )
-    assert spark is not None
     return result.drop("copy")
