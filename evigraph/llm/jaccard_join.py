@@ -230,10 +230,10 @@ def join(docs: DataFrame, size: int = 3, num: int = 90, den: int = 100) -> DataF
     )
 
 
-def one_of_each(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` that lead their component; rows without an id stay, repeated rows of a
-    leading id leave one."""
-    leads = join(docs).filter("doc_id = component_id").select("doc_id").distinct()
+def one_of_each(docs: DataFrame, size: int = 5, num: int = 80, den: int = 100) -> DataFrame:
+    """The rows of ``docs`` that lead their component of five-word shingles at 0.8; rows without an id
+    stay, repeated rows of a leading id leave one."""
+    leads = join(docs, size, num, den).filter("doc_id = component_id").select("doc_id").distinct()
     kept = docs.filter("doc_id is not null").join(leads, "doc_id", "left_semi").select(*docs.columns).dropDuplicates(["doc_id"])
     return kept.unionByName(docs.filter("doc_id is null"))
 

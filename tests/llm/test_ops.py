@@ -74,6 +74,22 @@ def test_jaccard_brute(spark, sf):
     assert got == want and len({v[1] for v in want.values()}) < len(docs) - 40
 
 
+def test_one_of_each_catches_copies_between_the_limits(spark):
+    docs = [(1, None), (2, ""), (3, "one two three"), (4, "One two three")]
+    rng = random.Random(11)
+    for g in range(6):
+        base = [f"{rng.choice('abcdefgh')}{rng.randint(0, 999)}" for _ in range(200)]
+        docs.append((10_000 + 10 * g, " ".join(base)))
+        for k in range(1, 5):  # 3-word similarity 0.886 and 5-word 0.815 at four edits
+            w = list(base)
+            for e in range(k + 1):
+                w[20 + 40 * e - 5 * k] = f"edit{g}x{k}x{e}"
+            docs.append((10_000 + 10 * g + k, " ".join(w)))
+    want = {d for d, (_, c) in jaccard_join.brute(docs, 5, 80, 100).items() if c == d}
+    got = {r["doc_id"] for r in jaccard_join.one_of_each(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert got == want and len(want) == 9
+
+
 def test_line_dedup_brute_and_distance(spark):
     rng = random.Random(1)
 
