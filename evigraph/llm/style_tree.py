@@ -6,7 +6,8 @@ id words), with the number of pages that show it, the spread of the child sequen
 entropy of both, relative to what its page count would allow: near 0 where every page shows the same, near 1
 where every page differs. Branches whose importance is low go from every page, as do those whose
 elements say what they are (navigation, forms, scripts, adverts, comments); where a host has few pages
-only the latter can tell.
+only the latter can tell. Pages of a host with equal html count once, and a branch that is or holds
+html, body, main or article never goes for its importance.
 
 The tree is counted by grouped sums of (host, path, style) and (host, path, text) over all pages; a hot
 host is one more set of keys, pre-summed in every task. The paths found unimportant are sent out as
@@ -57,14 +58,17 @@ AROUND = frozenset(
     "comment comments disqus respond reply replies discussion related recommended recommendations widget pagination pager search copyright legal disclaimer contentinfo complementary "
     "skip toc tags tagcloud login paywall toast".split())
 HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
+# what importance never cuts
+FRAME = frozenset("html body main article".split())
 
 
 class Node:
-    __slots__ = ("tag", "path", "around", "children", "parent", "article")
+    __slots__ = ("tag", "path", "around", "children", "parent", "article", "frame")
 
     def __init__(self, tag: str, path: str, around: bool, parent: Node | None, article: bool):
         self.tag, self.path, self.around, self.parent, self.article = tag, path, around, parent, article
         self.children: list[Node | str] = []
+        self.frame = False
 
 
 def _named(tag: str, attributes: str) -> tuple[str, bool]:
@@ -124,6 +128,10 @@ def parse(source: str) -> Node:
         name, around = _named(tag, m[3] or "")
         node = Node(tag, f"{here.path}/{name}", around, here, here.article or tag in ("article", "main"))
         here.children.append(node)
+        if tag in FRAME:
+            x = node
+            while x is not None and not x.frame and not _gone(x):
+                x.frame, x = True, x.parent
         if tag in RAW and not (m[3] or "").rstrip().endswith("/"):
             raw, here = tag, node
         elif tag not in VOID:
@@ -188,7 +196,7 @@ def main_text(root: Node, host: str, low) -> str:
                 run.append(c)
             elif c.tag == "br":
                 run.append(" ")
-            elif not _gone(c) and not low(_key(host, c.path)):
+            elif not _gone(c) and (c.frame or not low(_key(host, c.path))):
                 stack.append((x, i + 1))
                 stack.append((c, 0))
                 moved = True
@@ -205,12 +213,17 @@ def host_of(url: str | None) -> str:
     return re.split(r"[/?#]", url.partition("://")[2], maxsplit=1)[0].lower() if url and "://" in url else ""
 
 
-def importance(pages: DataFrame) -> DataFrame:
-    """(key, host_key, pages, importance) per node of every host's tree; key is a hash of (host, path)."""
+def _host():
+    return F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), "://([^/?#]*)", 1))
+
+
+def importance(pages: DataFrame, sent: int = SENT) -> DataFrame:
+    """(key, pages, importance) per node of every host's tree; key is a hash of (host, path). Each of the
+    pages of a host that are copies weighs its part of one page."""
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            sums: dict[tuple[int, bool, int], int] = {}
-            for url, source in zip(batch.column("url").to_pylist(), batch.column("html").to_pylist(), strict=True):
+            sums: dict[tuple[int, bool, int], float] = {}
+            for url, source, copies in zip(*(batch.column(c).to_pylist() for c in ("url", "html", "copies")), strict=True):
                 host, seen = host_of(url), {}
                 for path, style, own in nodes(parse(source or "")):
                     s = seen.setdefault(path, ([], []))
@@ -220,11 +233,15 @@ def importance(pages: DataFrame) -> DataFrame:
                     key = _key(host, path)
                     for content, value in ((False, "\1".join(styles)), (True, "\1".join(texts))):
                         k = (key, content, xxhash.xxh3_64_intdigest(value) - (1 << 63))
-                        sums[k] = sums.get(k, 0) + 1
+                        sums[k] = sums.get(k, 0.0) + 1 / copies
             cols = list(zip(*sums, strict=True)) or [(), (), ()]
-            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.bool_()), pa.array(cols[2], pa.int64()), pa.array(list(sums.values()), pa.int64())], names=["key", "content", "value", "n"])
+            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.bool_()), pa.array(cols[2], pa.int64()), pa.array(list(sums.values()), pa.float64())], names=["key", "content", "value", "n"])
 
-    counts = pages.select("url", "html").mapInArrow(count, "key long, content boolean, value long, n long").groupBy("key", "content", "value").agg(F.sum("n").alias("n"))
+    same = F.xxhash64(_host(), F.coalesce("html", F.lit("")))
+    copied = common.written(pages.select(same.alias("same")).groupBy("same").agg(F.count("*").alias("copies")).filter("copies > 1"))
+    weighed = common.joined_checked(pages.select("url", "html", same.alias("same")), copied, ["same"], "left", sent).select("url", "html", F.coalesce("copies", F.lit(1)).alias("copies"))
+    # the parts of copies add up to whole pages again
+    counts = weighed.mapInArrow(count, "key long, content boolean, value long, n double").groupBy("key", "content", "value").agg(F.round(F.sum("n")).cast("long").alias("n"))
     n = F.col("n").cast("double")
     spread = counts.groupBy("key", "content").agg(F.sum("n").alias("pages"), (F.log(F.sum(n)) - F.sum(n * F.log(n)) / F.sum(n)).alias("h"))
     share = F.when(F.col("pages") > 1, F.col("h") / F.log(F.col("pages").cast("double"))).otherwise(1.0)
@@ -234,7 +251,7 @@ def importance(pages: DataFrame) -> DataFrame:
 
 def extracted(pages: DataFrame, low: float = LOW, least: int = PAGES, sent: int = SENT) -> DataFrame:
     """page_id, url, text, n_chars."""
-    cut = common.written(importance(pages).filter((F.col("pages") >= least) & (F.col("importance") < low)).select("key"))
+    cut = common.written(importance(pages, sent).filter((F.col("pages") >= least) & (F.col("importance") < low)).select("key"))
     kinds = dict(pages.dtypes)
     schema = f"page_id {kinds['page_id']}, url string, text string, n_chars long"
     if common.small(cut, sent):
@@ -242,11 +259,11 @@ def extracted(pages: DataFrame, low: float = LOW, least: int = PAGES, sent: int
         parts = [(pages, keys)]
     else:  # too many to send at once: each block of hosts gets the keys of its own trees
         n = 2 * -(-cut.count() // max(1, sent))
-        block = F.pmod(F.xxhash64(F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), "://([^/?#]*)", 1))), F.lit(n))
+        block = F.pmod(F.xxhash64(_host()), F.lit(n))
         parts = []
         for k in range(n):
             own = pages.filter(block == k)
-            found = importance(own).filter((F.col("pages") >= least) & (F.col("importance") < low)).select("key")
+            found = importance(own, sent).filter((F.col("pages") >= least) & (F.col("importance") < low)).select("key")
             parts.append((own, np.sort(np.array([r["key"] for r in found.collect()], np.int64))))
 
     def run_with(keys: np.ndarray):

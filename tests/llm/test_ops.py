@@ -144,6 +144,24 @@ def test_style_tree_keeps_article_and_drops_the_rest(spark):
     assert {r["page_id"]: r["text"] for r in few.collect()} == {k: r["text"] for k, r in got.items()}
 
 
+def test_style_tree_copies_do_not_cut_the_article(spark):
+    def page(words, n):
+        return f"<html><body><div class='top'>Same site banner</div><div class='wrap'><article><h1>Head {words}</h1><p>Story {words}</article></div><!-- {n} --></body></html>"
+
+    rows = [(k, f"http://copied.example.org/{k}", page("one" if k < 15 else f"own {k}", 0)) for k in range(20)]
+    rows += [(100 + k, f"http://same.example.org/{k}", page("all", 0)) for k in range(20)]
+    rows += [(200 + k, f"http://large.example.org/{k}", page("one" if k < 60 else f"own {k}", 0)) for k in range(80)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    got = {r["page_id"]: r["text"] for r in style_tree.extracted(df).collect()}
+    banner = "Same site banner\n"
+    text_of = lambda words: f"Head {words}\nStory {words}"
+    assert all(got[k] == banner + text_of("one" if k < 15 else f"own {k}") for k in range(20))
+    assert all(got[100 + k] == banner + text_of("all") for k in range(20))
+    assert all(got[200 + k] == text_of("one" if k < 60 else f"own {k}") for k in range(80))
+    low = style_tree.main_text(style_tree.parse(page("one", 0)), "", lambda k: k in {style_tree._key("", p) for p in ("/html", "/html/body", "/html/body/div.wrap", "/html/body/div.wrap/article", "/html/body/div.top")})
+    assert low == text_of("one")
+
+
 def test_url_rules(spark):
     rows = [(1, "http://a.example.net/en/1"), (2, "http://b.net/x"), (3, "https://Example.com/de/2?q"), (4, "http://x.org/fr/"), (5, None), (6, "nohost"), (7, "http://notexample.com/de/"), (8, "http://example.net?en/")]
     labels = spark.createDataFrame([], "page_id long, label string")
