@@ -141,13 +141,13 @@ def greedy(scored: DataFrame, k: int) -> DataFrame:
     return scored.groupBy("scope").applyInPandas(run, scored.schema)
 
 
-def greedy_rounds(scored: DataFrame, k: int, rounds: int = 64) -> DataFrame:
+def greedy_rounds(scored: DataFrame, k: int) -> DataFrame:
     """The same set for scopes too large for one task: in each round every pair that is the best left
-    at both its ends is taken, and ends that are full take their pairs out."""
+    at both its ends is taken, and ends that are full take their pairs out, until no pair is left."""
     from evigraph.plans.store import written
 
-    left, kept = written(scored), None
-    for _ in range(rounds):
+    left, kept, more = written(scored), None, None
+    while more != 0:
         ends = left.withColumn("node", F.explode(F.array("src", "dst")))
         used = (kept.withColumn("node", F.explode(F.array("src", "dst"))).groupBy("scope", "node").agg(F.count("*").alias("u")) if kept is not None else ends.groupBy("scope", "node").agg(F.lit(0).cast("long").alias("u")))
         r = ends.withColumn("r", F.row_number().over(Window.partitionBy("scope", "node").orderBy(*_order()))).join(used, ["scope", "node"], "left")
@@ -159,8 +159,9 @@ def greedy_rounds(scored: DataFrame, k: int, rounds: int = 64) -> DataFrame:
         left = left.join(take, ["scope", "src", "dst"], "left_anti")
         left = left.join(full.withColumnRenamed("node", "src"), ["scope", "src"], "left_anti").join(full.withColumnRenamed("node", "dst"), ["scope", "dst"], "left_anti")
         left = written(left.select(scored.columns))
-        if not left.limit(1).count():
-            break
+        was, more = more, left.count()
+        if more and more == was:
+            raise RuntimeError("a round took no pair; pairs must differ in (scope, src, dst)")
     return kept
 
 

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from evigraph.operators import links as L
 from evigraph.operators import search
+from evigraph.plans.store import written
 
 
 def vector_rag(vectors: DataFrame, queries: DataFrame, k: int) -> DataFrame:
@@ -28,17 +29,22 @@ def entities(docs: DataFrame, least: int = 3, most_share: float = 0.02) -> DataF
     return w.join(df.select("entity"), "entity", "left_semi")
 
 
-def community_graph(mentions: DataFrame, least: int = 2, rounds: int = 4) -> DataFrame:
-    """(entity, community): co-occurrence graph over entities, then rounds of least-label propagation."""
+def community_graph(mentions: DataFrame, least: int = 2, max_rounds: int = 200) -> DataFrame:
+    """(entity, community): co-occurrence graph over entities, then rounds of least-label propagation, which
+    also follow the label of a label, until none moves."""
     a = mentions.select("doc_id", F.col("entity").alias("x"))
     b = mentions.select("doc_id", F.col("entity").alias("y"))
-    e = a.join(b, "doc_id").filter("x < y").groupBy("x", "y").agg(F.count("*").alias("w")).filter(F.col("w") >= least)
+    e = written(a.join(b, "doc_id").filter("x < y").groupBy("x", "y").agg(F.count("*").alias("w")).filter(F.col("w") >= least))
     both = e.select("x", "y").unionByName(e.select(F.col("y").alias("x"), F.col("x").alias("y")))
-    label = both.select(F.col("x").alias("entity"), F.col("x").alias("community")).distinct()
-    for _ in range(rounds):
+    label = written(both.groupBy(F.col("x").alias("entity")).agg(F.least("x", F.min("y")).alias("community")))
+    for _ in range(max_rounds):
         near = both.join(label.select(F.col("entity").alias("y"), F.col("community").alias("c")), "y").groupBy(F.col("x").alias("entity")).agg(F.min("c").alias("c"))
-        label = label.join(near, "entity").select("entity", F.least("community", "c").alias("community"))
-    return label
+        up = label.select(F.col("entity").alias("community"), F.col("community").alias("above"))
+        moved = written(label.join(near, "entity").join(up, "community").select("entity", F.least("community", "c", "above").alias("community"), F.col("community").alias("was")))
+        label = moved.select("entity", "community")
+        if not moved.filter("community <> was").limit(1).count():
+            return label
+    raise RuntimeError("communities did not settle; raise max_rounds")
 
 
 def community_update(before: DataFrame, after: DataFrame) -> DataFrame:

@@ -34,6 +34,23 @@ def test_retraction_of_retraction_and_chain(spark):
     assert s[1] == ("current", 1) and s[2][0] == "retracted" and s[4] == ("superseded", 6)
 
 
+def test_long_chains_end(spark):
+    rows = [(1, 1, 1, "signal", None, False)] + [(k, 1, k, "retraction", k - 1, False) for k in range(2, 8)]  # six retractions in chain
+    rows += [(11, 1, 11, "signal", None, False)] + [(k, 1, k, "amendment", k - 1, True) for k in range(12, 19)]
+    s = _status(spark, rows)
+    assert [s[k][0] for k in range(1, 8)] == ["current", "retracted", "current", "retracted", "current", "retracted", "current"]
+    assert all(s[k] == ("superseded", 18) for k in range(11, 18)) and s[18] == ("current", 18)
+
+
+def test_greedy_rounds_and_communities_run_to_the_end(spark):
+    # scores fall along a path, so a round takes one pair only
+    chain = spark.createDataFrame([(1, k, k + 1, 1000 - k) for k in range(14)], "scope long, src long, dst long, score long")
+    assert {(r["src"], r["dst"]) for r in links.greedy_rounds(chain, 1).collect()} == {(k, k + 1) for k in range(0, 14, 2)}
+    path = [(d, f"e{k + i:02d}") for k in range(20) for d in (2 * k, 2 * k + 1) for i in (0, 1)]
+    got = baselines.community_graph(spark.createDataFrame(path, "doc_id long, entity string")).collect()
+    assert len(got) == 21 and {r["community"] for r in got} == {"e00"}
+
+
 def test_bad_targets(spark):
     df = spark.createDataFrame([(1, 1, 1, "signal", None, False), (2, 2, 2, "retraction", 1, False), (3, 1, 3, "retraction", 99, False)], NODE)
     assert {(r["node"], r["reason"]) for r in status.bad_targets(df).collect()} == {(2, "cross_scope"), (3, "missing")}
