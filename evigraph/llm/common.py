@@ -41,6 +41,14 @@ def written(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def removed(df: DataFrame) -> None:
+    """Delete a table of :func:`written` that nothing reads any more."""
+    jvm = df.sparkSession._jvm
+    for folder in {f.rpartition("/")[0] for f in df.inputFiles()}:
+        path = jvm.org.apache.hadoop.fs.Path(folder)
+        path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+
+
 def wrapped(docs: DataFrame, *columns: str) -> DataFrame:
     """All columns of ``docs`` in one struct ``doc``, beside the columns an operator works on, so that no
     column of the input can clash with one that the operator adds."""

@@ -236,6 +236,19 @@ def test_mixing_table_way_agrees(spark, sf):
     assert max(abs(a[k] - b[k]) for k in a) < 0.05
 
 
+def test_mixing_ways_meet_the_same_gap(spark):
+    # sources and languages go together, so the fit needs more than ten sweeps
+    cells = [(f"s{i}" if i else None, f"l{j}", t, (1000 * (i + 1) if i == j else 300 + 7 * i) * (t + 1)) for i in range(3) for j in range(3) for t in range(2)]
+    profile = spark.createDataFrame(cells, "source string, lang string, topic int, n_tokens long")
+    run = lambda **o: {(r["source"], r["lang"], r["topic"]): r["probability"] for r in mixing.calibrated(profile, profile=profile, **o).collect()}
+    a, b = run(), run(cells_limit=3)
+    assert a.keys() == b.keys() and max(abs(a[k] - b[k]) for k in a) < 1e-6
+    with pytest.warns(RuntimeWarning, match="after 2 sweeps"):
+        run(sweeps=2)
+    with pytest.warns(RuntimeWarning, match="after 2 sweeps"):
+        run(cells_limit=3, sweeps=2)
+
+
 def test_quality_on_held_out(spark):
     sf = "/root/testdata/sf0.01"
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
