@@ -2,11 +2,13 @@
 
 URLs are cut into tokens (host labels and domain suffixes, path segments and their words, query keys).
 Spark's FP-growth mines the token sets of labelled pages with their label for frequent combinations;
-those that imply a label with enough support, confidence and lift become rules, and a rule goes where a
-shorter one says the same as surely. Rules are matched by an inverted index from token to rule: a rule
+those that imply a label with enough support and confidence, and more surely than no tokens at all, become
+rules; a rule goes where a shorter one says the same as surely, unless it is an exception to a rule of
+another verdict. Rules are matched by an inverted index from token to rule: a rule
 fires when all its tokens are met, which a count per (page, rule) tells without comparing every page to
-every rule. The best rule that fires (confidence, then support, then tokens) gives the verdict;
-pages on which none fires are allowed.
+every rule. A rule that fires silences those of other verdicts whose tokens are a part of its own; of
+the others the best (confidence, then support, then tokens) gives the verdict; pages on which none
+fires are allowed.
 
 A list of given (host, path) rules goes before the mined ones: a rule fits its host and subdomains if
 the path starts with the rule's, the longest fits best. They are matched by an equi-join on the host's
@@ -27,8 +29,9 @@ from pyspark.sql import functions as F
 
 from evigraph.llm import common
 
-#: Least share of labelled pages, confidence and lift of a rule, most tokens, and rules kept at most.
-SUPPORT, CONFIDENCE, LIFT, TOKENS, RULES = 0.002, 0.6, 1.5, 3, 50_000
+#: Least share of labelled pages and confidence of a rule, the lift it must pass (a verdict's share may be
+#: near 1, so no more than 1 can be asked), most tokens, and rows of the index that are broadcast at most.
+SUPPORT, CONFIDENCE, LIFT, TOKENS, SENT = 0.002, 0.6, 1.0, 3, 150_000
 #: Least labelled pages behind a rule, whatever the share.
 PAGES = 20
 
@@ -49,10 +52,11 @@ def _lower(c):
 
 
 def parts(url: str = "url") -> dict:
-    """host and path columns of a url column."""
+    """host, path and query columns of a url column."""
     u = F.coalesce(F.col(url), F.lit(""))
     rest = F.when(F.instr(u, "://") > 0, F.substring(u, F.instr(u, "://") + 3, F.length(u))).otherwise("")
     return {
+        "query": F.regexp_extract(rest, r"(?s)^[^?#]*\?([^#]*)", 1),
         "host": _lower(F.regexp_extract(rest, r"(?s)^([^/?#]*)", 1)),
         "path": F.regexp_extract(F.substring(rest, F.length(F.regexp_extract(rest, r"(?s)^([^/?#]*)", 1)) + 1, F.length(rest)), r"(?s)^([^?#]*)", 1),
     }
@@ -63,20 +67,23 @@ def _suffixes(host):
     return F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), "."))
 
 
-def tokens(host, path):
+def tokens(host, path, query):
     """Distinct tokens of a url, each with the kind it is of."""
     words = F.filter(F.split(F.lower(path), r"[^a-z0-9]+"), lambda w: (w != "") & ~w.rlike("^[0-9]+$"))
+    keys = F.filter(F.transform(F.split(F.lower(query), "[&;]"), lambda w: F.substring_index(w, "=", 1)), lambda w: w != "")
     return F.when(host == "", F.array().cast("array<string>")).otherwise(F.array_distinct(F.concat(
         F.transform(_suffixes(host), lambda x: F.concat(F.lit("host:"), x)),
         F.transform(F.filter(F.split(host, r"[.\-]"), lambda w: w != ""), lambda w: F.concat(F.lit("label:"), w)),
         F.transform(words, lambda w: F.concat(F.lit("path:"), w)),
+        F.transform(keys, lambda w: F.concat(F.lit("query:"), w)),
     )))
 
 
 def mined(labelled: DataFrame, support: float = SUPPORT, confidence: float = CONFIDENCE, lift: float = LIFT) -> DataFrame:
-    """Rules (rule_id, tokens, verdict, confidence, support) from (tokens, label) rows."""
+    """Rules (rule_id, tokens, verdict, confidence, support, over) from (tokens, label) rows; ``over`` has the
+    ids of the rules to which one is an exception."""
     spark = labelled.sparkSession
-    schema = "rule_id long, tokens array<string>, verdict string, confidence double, support double"
+    schema = "rule_id long, tokens array<string>, verdict string, confidence double, support double, over array<long>"
     base = {r["label"]: r["n"] for r in labelled.groupBy("label").agg(F.count("*").alias("n")).collect()}
     total = sum(base.values())
     if not total or len(base) < 2:
@@ -90,33 +97,39 @@ def mined(labelled: DataFrame, support: float = SUPPORT, confidence: float = CON
         F.array_sort(F.filter("items", lambda x: ~x.startswith("="))).alias("tokens"), F.substring(marks[0], 2, 100).alias("verdict"), F.col("freq").alias("n"))
     rules = heads.join(bodies, "tokens").withColumns({"confidence": F.col("n") / F.col("all"), "support": F.col("n") / F.lit(float(total))})
     expected = F.create_map(*(x for k, v in base.items() for x in (F.lit(k), F.lit(v / total))))
-    rules = rules.filter(F.col("confidence") >= confidence).filter(F.col("confidence") >= lift * expected[F.col("verdict")])
-    rules = common.written(rules.orderBy(F.desc("confidence"), F.desc("support"), F.size("tokens"), "tokens").limit(RULES).withColumn("rule_id", F.abs(F.xxhash64("tokens", "verdict"))).select(*("rule_id", "tokens", "verdict", "confidence", "support")))
-    # prune: a part of the tokens that is as sure says it already
-    short = rules.select(F.col("tokens").alias("part"), F.col("verdict").alias("v2"), F.col("confidence").alias("c2"), F.get("tokens", F.lit(0)).alias("first"))
-    longer = rules.withColumn("first", F.explode("tokens"))
-    said = longer.join(short, "first").filter((F.col("verdict") == F.col("v2")) & (F.size("part") < F.size("tokens")) & (F.size(F.array_except("part", "tokens")) == 0) & (F.col("c2") >= F.col("confidence"))).select("rule_id").distinct()
-    return common.written(rules.join(said, "rule_id", "left_anti"))
-
-
-def fired(pages: DataFrame, rules: DataFrame, key: str) -> DataFrame:
+    rules = rules.filter(F.col("confidence") >= confidence).filter(F.col("confidence") > lift * expected[F.col("verdict")])
+    rules = common.written(rules.withColumn("rule_id", F.abs(F.xxhash64("tokens", "verdict"))).select("rule_id", "tokens", "verdict", "confidence", "support"))
+    # each rule meets the rules of a part of its tokens, of which there are few
+    part = F.explode(F.transform(F.sequence(F.lit(1), F.lit((1 << TOKENS) - 2)), lambda m: F.filter("tokens", lambda x, i: F.getbit(m, i) == 1)))
+    parts_of = rules.select("rule_id", "verdict", "confidence", F.size("tokens").alias("n"), part.alias("part")).filter("size(part) > 0 and size(part) < n").dropDuplicates(["rule_id", "part"])
+    short = rules.select(F.col("tokens").alias("part"), F.col("rule_id").alias("id2"), F.col("verdict").alias("v2"), F.col("confidence").alias("c2"))
+    same = F.col("verdict") == F.col("v2")
+    met = parts_of.join(short, "part").groupBy("rule_id").agg(F.bool_or(same & (F.col("c2") >= F.col("confidence"))).alias("said"), F.collect_list(F.when(~same, F.col("id2"))).alias("over"))
+    rules = rules.join(met, "rule_id", "left").withColumn("over", F.coalesce("over", F.array().cast("array<long>")))
+    return common.written(rules.filter(~F.coalesce("said", F.lit(False)) | (F.size("over") > 0)).drop("said"))
+
+
+def fired(pages: DataFrame, rules: DataFrame, key: str, sent: int = SENT) -> DataFrame:
     """(key, verdict) of the best rule whose tokens a page has, by the index from token to rule."""
-    index = rules.select("rule_id", F.size("tokens").alias("size"), "verdict", "confidence", "support", F.explode("tokens").alias("token"))
-    met = pages.select(key, F.explode("tokens").alias("token")).join(F.broadcast(index), "token")
-    full = met.groupBy(key, "rule_id").agg(F.count("*").alias("n"), F.first("size").alias("size"), F.first("verdict").alias("verdict"), F.first("confidence").alias("confidence"), F.first("support").alias("support")).filter("n = size")
-    return full.groupBy(key).agg(F.max_by("verdict", F.struct("confidence", "support", F.negate("size"), "rule_id")).alias("mined"))
+    said = ("verdict", "confidence", "support", "over")
+    index = rules.select("rule_id", F.size("tokens").alias("size"), *said, F.explode("tokens").alias("token"))
+    met = common.joined_checked(pages.select(key, F.explode("tokens").alias("token")), index, ["token"], "inner", sent)
+    full = met.groupBy(key, "rule_id").agg(F.count("*").alias("n"), F.first("size").alias("size"), *(F.first(c).alias(c) for c in said)).filter("n = size")
+    rank = F.struct("confidence", "support", F.negate("size").alias("less"), "rule_id", "verdict")
+    all_of = full.groupBy(key).agg(F.collect_list(rank).alias("ranks"), F.flatten(F.collect_list("over")).alias("silent"))
+    return all_of.select(key, F.array_max(F.filter("ranks", lambda r: ~F.array_contains("silent", r["rule_id"])))["verdict"].alias("mined"))
 
 
-def judged(pages: DataFrame, labels: DataFrame, given: tuple[Given, ...] = GIVEN, **options) -> DataFrame:
+def judged(pages: DataFrame, labels: DataFrame, given: tuple[Given, ...] = GIVEN, sent: int = SENT, **options) -> DataFrame:
     """page_id, host, path, rule, verdict. ``labels`` (page_id, label) hold ``block`` or ``allow``."""
     spark = pages.sparkSession
     cut = pages.select("page_id", F.coalesce("url", F.lit("")).alias("url")).withColumns(parts())
-    cut = cut.withColumns({"tokens": tokens(F.col("host"), F.col("path")), "url_key": F.xxhash64("host", "path")})
+    cut = cut.withColumns({"tokens": tokens(F.col("host"), F.col("path"), F.col("query")), "url_key": F.xxhash64("host", "path", "query")})
     worst = labels.filter("page_id is not null and label is not null").groupBy("page_id").agg(F.max("label").alias("label"))  # block sorts last
     labelled = common.written(cut.join(worst, "page_id").select("tokens", "label"))
     rules = mined(labelled, **options)
     urls = cut.select("url_key", "tokens").dropDuplicates(["url_key"])
-    best = fired(urls, rules, "url_key")
+    best = fired(urls, rules, "url_key", sent)
     listed = spark.createDataFrame([(g.host, g.path, g.verdict) for g in given], "rule_host string, rule_path string, given string")
     fit = (
         cut.select("url_key", "host", "path").dropDuplicates(["url_key"]).select("url_key", "path", F.explode(_suffixes(F.col("host"))).alias("rule_host"))

@@ -176,6 +176,33 @@ def test_url_rules(spark):
     assert sum(got[k] == ("block" if k % 4 == 0 else "allow") for k in range(200)) >= 190
 
 
+def test_url_rules_of_the_majority_of_queries_and_of_narrow_sections(spark):
+    rows, lab = [], []
+
+    def add(n, url, block):
+        for k in range(n):
+            rows.append((len(rows), url.format(k)))
+            lab.append((len(lab), "block" if k < block * n else "allow"))
+
+    add(400, "http://clean.example.org/x/{}", 0)
+    add(100, "http://shop.example.com/offers/{}", 0.9)
+    add(40, "http://shop.example.com/manual/{}", 0.05)  # the host is blocked at 0.66, this section is clean
+    add(40, "http://wiki.example.com/p/{}?print=1&sessionid=7", 1)
+    add(60, "http://wiki.example.com/p/{}?page=2", 0)
+    pages, labels = spark.createDataFrame(rows, "page_id long, url string"), spark.createDataFrame(lab, "page_id long, label string")
+    allowed = sum(v == "allow" for _, v in lab) / len(lab)
+    assert allowed > 2 / 3
+    cut = pages.withColumns(url_rules.parts())
+    made = url_rules.mined(cut.select("page_id", url_rules.tokens(F.col("host"), F.col("path"), F.col("query")).alias("tokens")).join(labels, "page_id").select("tokens", "label")).collect()
+    assert {r["verdict"] for r in made} == {"allow", "block"} and any("query:sessionid" in r["tokens"] for r in made)
+    new = [(1, "http://shop.example.com/offers/new"), (2, "http://shop.example.com/manual/new"), (3, "http://wiki.example.com/p/new?print=1&SessionID=8"), (4, "http://wiki.example.com/p/new?page=9"), (5, "http://wiki.example.com/p/new")]
+    both = pages.select((F.col("page_id") + 100).alias("page_id"), "url").unionByName(spark.createDataFrame(new, "page_id long, url string"))
+    moved = labels.withColumn("page_id", F.col("page_id") + 100)
+    for sent in (url_rules.SENT, 0):
+        got = {r["page_id"]: r["verdict"] for r in url_rules.judged(both, moved, given=(url_rules.Given("nowhere.test", "/", "block"),), sent=sent).filter("page_id < 100").collect()}
+        assert got == {1: "block", 2: "allow", 3: "block", 4: "allow", 5: "allow"}
+
+
 def test_language_on_held_out(spark, sf):
     r = queries.op6_rank_order_language(spark, sf).join(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "lang"), "doc_id")
     n = r.filter("held_out and lang is not null")
