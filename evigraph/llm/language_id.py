@@ -6,6 +6,9 @@ Language profiles are counted over all learning documents and cut to ``PROFILE``
 profile over its whole text is compared with each by the out-of-place distance: the sum, over the
 document's n-grams, of the difference of ranks, or of ``PROFILE`` for one that the language lacks.
 
+All languages of the learning rows get a profile. Texts of any length are counted whole; extra columns are
+carried along.
+
 Defined results: null text, or a text without a letter, gives ``und`` with score 0, as does an empty
 model; ties go to the language under which the n-grams have the higher mean log frequency, then to the
 smaller name; rows with a null lang teach nothing; repeated rows are judged alike.
@@ -13,7 +16,9 @@ smaller name; rows with a null lang teach nothing; repeated rows are judged alik
 
 from __future__ import annotations
 
+import sys
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -22,17 +27,18 @@ from pyspark.sql import functions as F
 
 from evigraph.llm import common, text
 
-#: N-grams of a language's profile, of a document's, the learned languages at most, and n at most.
-PROFILE, OWN, LANGUAGES, LONGEST = 400, 400, 500, 3
+#: N-grams of a language's profile, of a document's, and n at most.
+PROFILE, OWN, LONGEST = 400, 400, 3
 _U = np.uint64
+_TABLE: np.ndarray | None = None
 
 
 def _letters() -> np.ndarray:
-    """Lower-cased letter of each code point below 0x30000; 0 for what is no letter."""
+    """Lower-cased letter of each code point; 0 for what is no letter."""
     global _TABLE
     if _TABLE is None:
-        _TABLE = np.zeros(0x30000, np.uint32)
-        for c in range(0x30000):
+        _TABLE = np.zeros(sys.maxunicode + 1, np.uint32)
+        for c in range(sys.maxunicode + 1):
             x = chr(c)
             if x.isalpha():
                 low = x.lower()
@@ -40,82 +46,112 @@ def _letters() -> np.ndarray:
     return _TABLE
 
 
-_TABLE: np.ndarray | None = None
-
-
-def grams(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(row, n-gram, count) and whether each row has a letter. Rows without letters have no n-grams."""
-    data, at = text.points(*common.raw(part.column("text")))
-    table = _letters()
-    low = np.where(data < len(table), table[np.minimum(data, len(table) - 1)], 0).astype(_U)
-    # each row between two gaps; runs of other characters count as one gap
+@dataclass
+class Grams:
+    """The distinct n-grams of each row with their counts, by row and n-gram. An n-gram is ``bits`` wide and
+    has ``width`` bits a character, each the place of a letter in ``letters``; places keep the order of
+    the letters, so n-grams sort as their characters do."""
+
+    row: np.ndarray
+    gram: np.ndarray
+    count: np.ndarray
+    has: np.ndarray
+    letters: np.ndarray
+    width: int
+
+    @property
+    def bits(self) -> int:
+        return LONGEST * self.width
+
+    def packed(self, gram: np.ndarray) -> np.ndarray:
+        """N-grams as integers that mean the same in every slice: 21 bits a character."""
+        out = np.zeros(len(gram), _U)
+        for k in range(LONGEST):
+            place = (gram >> _U((LONGEST - 1 - k) * self.width)) & _U((1 << self.width) - 1)
+            out = out << _U(21) | self.letters[place]
+        return out
+
+
+def grams(body: pa.Array, group: np.ndarray | None = None) -> Grams:
+    """N-grams of the texts of a column; ``group`` gives rows a number under which they are counted
+    together. Rows without letters have none."""
+    data, at = text.points(*common.raw(body))
     n = len(at) - 1
-    row = np.repeat(np.arange(n), np.diff(at))
-    letter = low > 0
-    start = letter & ~np.concatenate([[False], letter[:-1] & (row[1:] == row[:-1])]) if len(low) else letter
-    keep = np.flatnonzero(letter)
-    # position of each letter after one gap is put before every word
-    place = np.cumsum(start)[keep] + np.arange(len(keep))
-    size = int(place[-1]) + 2 if len(keep) else 0
-    c = np.full(size, 0x20, _U)
-    c[place] = low[keep]
-    owner = np.zeros(size, np.int64)
-    owner[place] = row[keep]
-    gap = c == 0x20
-    if size:
-        following = np.flatnonzero(gap[:-1])
-        owner[following] = owner[following + 1]
-        owner[-1] = owner[-2]
-    rows, out = [owner[~gap]], [c[~gap]]
-    for length in range(2, LONGEST + 1):
-        x = np.zeros(max(0, size - length + 1), _U)
-        ok = np.ones(len(x), bool)
-        for k in range(length):
-            x = x << _U(21) | c[k : k + len(x)]
-            if 0 < k < length - 1:
-                ok &= ~gap[k : k + len(x)]
-        # an n-gram that ends on the next word's gap belongs to the word it starts in
-        rows.append(owner[: len(x)][ok])
-        out.append(x[ok])
-    r, g = np.concatenate(rows), np.concatenate(out)
-    order = np.lexsort((g, r))
-    r, g = r[order], g[order]
-    new = np.flatnonzero(np.concatenate([[True], (r[1:] != r[:-1]) | (g[1:] != g[:-1])])) if len(r) else np.zeros(0, np.int64)
+    keep = np.flatnonzero(_letters()[data])
+    row = np.searchsorted(at, keep, side="right") - 1
+    low = _letters()[data[keep]]
+    known = np.zeros(sys.maxunicode + 1, np.uint32)
+    known[low] = 1
+    letters = np.flatnonzero(known)
+    width = int(len(letters) + 1).bit_length()
+    known[letters] = np.arange(2, len(letters) + 2)  # 0 is nothing, 1 the gap between words
     has = np.zeros(n, bool)
-    has[row[keep]] = True
-    return r[new], g[new], np.diff(np.append(new, len(r))), has
+    has[row] = True
+    owner = row if group is None else group[row]
+    # a word starts where the letter before is not next to it or is of another row; a gap goes before each
+    start = np.ones(len(keep), bool)
+    start[1:] = (np.diff(keep) > 1) | (np.diff(row) > 0)
+    place = np.cumsum(start) + np.arange(len(keep))
+    size = int(place[-1]) + 2 if len(keep) else 0
+    c, own = np.ones(size, _U), np.zeros(size, _U)
+    c[place], own[place] = known[low], owner
+    gap = np.ones(size, bool)
+    gap[place] = False
+    own[:-1][gap[:-1]] = own[1:][gap[:-1]]
+    own = own << _U(LONGEST * width)
+    # an n-gram that ends on the next word's gap belongs to the word it starts in
+    two = own[:-1] | c[:-1] << _U(width) | c[1:] if size else own
+    keys = [(own | c)[~gap], two]
+    if size > 2:
+        whole = ~gap[1:-1]
+        keys.append((two[:-1] << _U(width) | c[2:])[whole] & _U((1 << LONGEST * width) - 1) | own[:-2][whole])
+    key = np.sort(np.concatenate(keys))
+    new = np.flatnonzero(np.append(True, key[1:] != key[:-1])) if len(key) else np.zeros(0, np.int64)
+    count = np.diff(np.append(new, len(key)))
+    key = key[new]
+    return Grams((key >> _U(LONGEST * width)).astype(np.int64), key & _U((1 << LONGEST * width) - 1), count, has, np.concatenate([[0, 0x20], letters]).astype(_U), width)
+
+
+def ranked(g: Grams, most: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(row, packed n-gram, count, rank from 0) of the most frequent n-grams of each row; ties by n-gram."""
+    if not len(g.row):
+        return g.row, g.gram, g.count, g.row
+    high = int(g.count.max())
+    room = high.bit_length()
+    if int(g.row.max()).bit_length() + room + g.bits <= 64:
+        key = np.sort((g.row.astype(_U) << _U(room) | (high - g.count).astype(_U)) << _U(g.bits) | g.gram)
+        row, count, gram = (key >> _U(g.bits + room)).astype(np.int64), high - ((key >> _U(g.bits)) & _U((1 << room) - 1)).astype(np.int64), key & _U((1 << g.bits) - 1)
+    else:
+        order = np.lexsort((g.gram, -g.count, g.row))
+        row, count, gram = g.row[order], g.count[order], g.gram[order]
+    new = np.append(True, row[1:] != row[:-1])
+    rank = np.arange(len(row)) - np.flatnonzero(new)[np.cumsum(new) - 1]
+    top = rank < most
+    return row[top], g.packed(gram[top]), count[top], rank[top]
 
 
-def ranked(r: np.ndarray, g: np.ndarray, n: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """The most frequent n-grams of each row with their ranks from 0; ties by n-gram."""
-    order = np.lexsort((g, -n, r))
-    r, g, n = r[order], g[order], n[order]
-    rank = np.arange(len(r)) - np.searchsorted(r, r)
-    top = rank < most
-    return r[top], g[top], n[top], rank[top]
+def _slices(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+    """Slices whose rows can be numbered beside an n-gram in 64 bits."""
+    for part in common.slices(batch, "text"):
+        for k in range(0, len(part), 4096):
+            yield part.slice(k, 4096)
 
 
 def profiles(docs: DataFrame) -> dict[str, list[tuple[int, float]]]:
     """The profile of every language: its n-grams by rank with log frequencies."""
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in common.slices(batch, "text"):
-                r, g, n, _ = grams(part)
+            for part in _slices(batch):
                 code = part.column("lang").dictionary_encode()
-                names = code.dictionary
-                own = code.indices.to_numpy(zero_copy_only=False)[r]
-                order = np.lexsort((g, own))
-                own, g, n = own[order], g[order], n[order]
-                if not len(g):
-                    continue
-                new = np.flatnonzero(np.concatenate([[True], (own[1:] != own[:-1]) | (g[1:] != g[:-1])]))
-                yield pa.RecordBatch.from_arrays([names.take(pa.array(own[new])), pa.array(g[new].view(np.int64)), pa.array(np.add.reduceat(n, new))], names=["lang", "g", "n"])
+                g = grams(part.column("text"), code.indices.to_numpy(zero_copy_only=False).astype(np.int64))
+                if len(g.row):
+                    yield pa.RecordBatch.from_arrays([code.dictionary.take(pa.array(g.row)), pa.array(g.packed(g.gram).view(np.int64)), pa.array(g.count)], names=["lang", "g", "n"])
 
     learn = docs.filter("lang is not null and text is not null").select("lang", "text")
     sums = learn.mapInArrow(count, "lang string, g long, n long").groupBy("lang", "g").agg(F.sum("n").alias("n"))
     sums = common.written(sums)
-    total = sums.groupBy("lang").agg(F.sum("n").alias("total")).orderBy(F.desc("total"), "lang").limit(LANGUAGES)
-    best = sums.join(F.broadcast(total), "lang").withColumn("rank", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "g"))).filter(F.col("rank") <= PROFILE)
+    total = sums.groupBy("lang").agg(F.sum("n").alias("total"))
+    best = sums.withColumn("rank", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "g"))).filter(F.col("rank") <= PROFILE).join(total, "lang")
     out: dict[str, list[tuple[int, float]]] = {}
     for x in best.orderBy("lang", "rank").collect():
         out.setdefault(x["lang"], []).append((x["g"], float(np.log(x["n"] / x["total"]))))
@@ -136,26 +172,25 @@ def predicted(docs: DataFrame, model: dict[str, list[tuple[int, float]]]) -> Dat
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in common.slices(batch, "text"):
+            for part in _slices(batch):
                 n = len(part)
-                r, g, count, has = grams(part)
-                r, g, count, rank = ranked(r, g, count, OWN)
-                at = np.searchsorted(every, g)
-                at[at == len(every)] = 0
-                at = np.where(every[at] == g, at, len(every)) if len(every) else np.zeros(len(g), np.int64)
-                far, mean = np.zeros((n, len(names))), np.zeros((n, len(names)))
-                for k in range(len(names)):
-                    place = rank_of[at, k]
-                    far[:, k] = np.bincount(r, weights=np.where(place < 0, PROFILE, np.abs(rank - place)), minlength=n)
-                    mean[:, k] = np.bincount(r, weights=log_of[at, k] * count, minlength=n)
-                best, score = [], np.zeros(n)
-                for i in range(n):
-                    if not has[i] or not names:
-                        best.append("und")
-                        continue
-                    order = sorted(range(len(names)), key=lambda k, i=i: (far[i, k], -mean[i, k], k))
-                    best.append(names[order[0]])
-                    score[i] = 1.0 if len(names) == 1 else (1 - far[i, order[0]] / far[i, order[1]] if far[i, order[1]] > 0 else 0.0)
+                found = grams(part.column("text"))
+                best, score = np.full(n, "und", object), np.zeros(n)
+                if names:
+                    r, g, count, rank = ranked(found, OWN)
+                    at = np.minimum(np.searchsorted(every, g), len(every) - 1)
+                    at = np.where(every[at] == g, at, len(every))
+                    far, mean = np.zeros((n, len(names))), np.zeros((n, len(names)))
+                    for k in range(len(names)):
+                        place = rank_of[at, k]
+                        far[:, k] = np.bincount(r, weights=np.where(place < 0, PROFILE, np.abs(rank - place)), minlength=n)
+                        mean[:, k] = np.bincount(r, weights=log_of[at, k] * count, minlength=n)
+                    least = far.min(axis=1)
+                    first = np.argmax(np.where(far == least[:, None], mean, -np.inf), axis=1)
+                    second = np.partition(far, 1, axis=1)[:, 1] if len(names) > 1 else np.full(n, np.inf)
+                    has = found.has
+                    best[has] = np.array(names, object)[first[has]]
+                    score[has] = np.where(second > 0, 1 - least / np.where(second > 0, second, 1), 0.0)[has]
                 keep = [k for k in range(part.num_columns) if part.schema.names[k] != "text"]
                 yield pa.RecordBatch.from_arrays([*(part.column(k) for k in keep), pa.array(best, pa.string()), pa.array(score)], names=[*(part.schema.names[k] for k in keep), "lang_pred", "score"])
 
