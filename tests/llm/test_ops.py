@@ -226,25 +226,108 @@ def test_lattice_counts_and_probability(spark, sf):
         assert r["base_score"] == pytest.approx(sum(math.log10((c[x] + 1) / (n + v + 1)) for x in w), rel=1e-9) and r["score"] < 0
 
 
+def _cuts(word, v):
+    """All cuts of a word: lists of (piece, whether it ends the word)."""
+    if not word:
+        yield []
+        return
+
+    def rest(i):
+        if i == len(word):
+            yield []
+            return
+        arcs = [(word[i] + (256 if i == 0 else 0), 1)] + [(512 + k, len(b)) for k, (b, starts) in enumerate(v.pieces) if starts == (i == 0) and word[i : i + len(b)] == b]
+        for piece, size in arcs:
+            for more in rest(i + size):
+                yield [(piece, i + size == len(word)), *more]
+
+    yield from rest(0)
+
+
+SMALL = [(b"a", True), (b"ab", True), (b"b", False), (b"ba", False), (b"a", False), (b"cab", True)]
+
+
 def test_lattice_forward_is_the_sum_over_cuts():
-    v = lattice_lm.Vocabulary([(b"a", True), (b"ab", True), (b"b", False), (b"ba", False), (b"a", False)], np.arange(5.0))
-    p = np.exp(v.logp)
-
-    def cuts(w, i=0):
-        if i == len(w):
-            return 1.0
-        total = p[1 + (256 if i == 0 else 0) + w[i]] * cuts(w, i + 1)
-        for k, (b, starts) in enumerate(v.pieces):
-            if starts == (i == 0) and w[i : i + len(b)] == b:
-                total += p[513 + k] * cuts(w, i + len(b))
-        return total
-
-    words = [b"ab", b"aba", b"b", b"abab", b"c"]
+    v = lattice_lm.Vocabulary(SMALL, -np.log(np.arange(6) + 2.0))
+    rng = np.random.default_rng(3)
+    p = rng.random((2, len(v.logs), 3))
+    s = lattice_lm.Scores(v.starts, p[0], p[1])
+    words = [b"ab", b"aba", b"b", b"abab", b"c", "é".encode(), b"cabba"]
     lat = lattice_lm.Lattice(words, v)
-    assert np.allclose(np.exp(lat.scores(v.logp)), [cuts(w) for w in words], rtol=1e-9)
-    used = lat.expected(v.logp, np.ones(len(words)))
-    sizes = np.array([0, *([1] * 512), *(len(b) for b, _ in v.pieces)])
-    assert (used * sizes).sum() == pytest.approx(sum(map(len, words)))
+    of = lambda cut: np.exp(sum((s.final if last else s.inside)[piece] for piece, last in cut))
+    want = np.array([sum(of(c) for c in _cuts(w, v)) for w in words])
+    assert np.allclose(np.exp(lat.scores(s)), want, rtol=1e-9)
+    weight = rng.random((len(words), 3))
+    inside, final = np.zeros((len(v.logs), 3)), np.zeros((len(v.logs), 3))
+    for w, m, whole in zip(words, weight, want, strict=True):
+        for c in _cuts(w, v):
+            for piece, last in c:
+                (final if last else inside)[piece] += m * of(c) / whole
+    got = lat.expected(s, weight)
+    assert np.allclose(got[0], inside) and np.allclose(got[1], final)
+
+
+def test_lattice_word_probabilities_sum_to_one():
+    """Every word of up to six letters of a one-letter alphabet, and the rest by its geometric tail."""
+    v = lattice_lm.Vocabulary([(b"a", True), (b"aa", False)], np.zeros(2))
+    p = np.zeros((len(v.logs), 1))
+    p[[ord("a"), ord("a") + 256, 512, 513]] = [[0.2], [0.3], [0.5], [0.1]]
+    s = lattice_lm.Scores(v.starts, p + 1e-300, 3 * p + 1e-300)
+    words = [b"a" * k for k in range(1, 60)]
+    assert np.exp(lattice_lm.Lattice(words, v).scores(s)).sum() == pytest.approx(1.0, abs=1e-9)
+
+
+def test_lattice_scores_against_brute(spark):
+    texts = ["ab aba Ab b", "ab cab ba\tab", "b b aba", None, "", "cab cab ab zz", "abab b", "ba ab é", "same text", "same text"]
+    rows = [(k if k < 8 else 8, t, "xy"[k % 2] if k != 4 else None, k % 4 == 3) for k, t in enumerate(texts)]
+    v = lattice_lm.Vocabulary(SMALL, -np.log(np.arange(6) + 2.0))
+    df = spark.createDataFrame(rows, "doc_id long, text string, class string, held_out boolean")
+    split = lambda t: re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), t or ""))
+    learn = [r for r in rows if not r[3]]
+    classes = sorted({r[2] for r in learn}, key=lambda c: (-sum(r[2] == c for r in learn), c is not None, c or ""))
+    counts = [Counter(w for r in learn if r[2] == c for w in split(r[1])) for c in classes]
+    ends = [sum(r[2] == c for r in learn) for c in classes]
+    width = len(classes)
+    first = np.repeat(np.exp(v.logs)[:, None] / 2, width, axis=1)
+    s = lattice_lm.Scores(v.starts, first, first)
+    of = lambda cut, k: math.exp(sum((s.final if last else s.inside)[piece, k] for piece, last in cut))
+    prob = lambda w, k: sum(of(c, k) for c in _cuts(w.encode(), v))
+    for _ in range(lattice_lm.ROUNDS):
+        n = np.zeros((len(v.logs), 2, width))
+        for k in range(width):
+            for w, m in counts[k].items():
+                for c in _cuts(w.encode(), v):
+                    for piece, last in c:
+                        n[piece, int(last), k] += m * of(c, k) / prob(w, k)
+        every = n.sum(axis=2) + lattice_lm.FIRST * np.exp(v.logs)[:, None] / 2
+        n = n + lattice_lm.HELD * (every / every.sum())[:, :, None]
+        s = lattice_lm.Scores(v.starts, n[:, 0], n[:, 1])
+    size = [sum(c.values()) + e for c, e in zip(counts, ends, strict=True)]
+    kinds = [len(c) + (e > 0) for c, e in zip(counts, ends, strict=True)]
+    stop = [(e + 0.5) / (n + 1) for e, n in zip(ends, size, strict=True)]
+
+    def text_score(words, arcs):
+        out = []
+        for k in range(width):
+            z = math.log((ends[k] + 1e-3) / sum(e + 1e-3 for e in ends))
+            for w in [*words, None]:
+                p = (1 - stop[k]) * prob(w, k) if w is not None else stop[k]
+                c = counts[k][w] if w is not None else ends[k]
+                z += math.log((c + kinds[k] * p) / (size[k] + kinds[k]) if arcs else p)
+            out.append(z)
+        return (max(out) + math.log(sum(math.exp(z - max(out)) for z in out))) / math.log(10)
+
+    for hot in (lattice_lm.HOT, 2, 0):
+        got = sorted((r["doc_id"], r["score"], r["piece_score"]) for r in lattice_lm.scored(df, v, hot=hot).collect())
+        want = sorted((r[0], text_score(split(r[1]), True), text_score(split(r[1]), False)) for r in rows)
+        assert len(got) == len(want)
+        for g, w in zip(got, want, strict=True):
+            assert g == pytest.approx(w, rel=1e-9)
+
+
+def test_lattice_beats_the_base_on_held_out(spark):
+    r = queries.op1_subword_lattice(spark, "/root/testdata/sf0.1").filter("held_out").agg(F.sum("score"), F.sum("base_score"), F.sum("piece_score")).first()
+    assert r[0] > r[1] and r[0] > r[2]
 
 
 def test_raking_meets_both_margins():
@@ -300,7 +383,7 @@ def test_odd_inputs(spark, make):
     assert quality.judged(docs.select("doc_id", "source", "lang", "text"), labels).count() == n and quality.good(docs, labels).columns == docs.columns
     assert mixing.mixed(docs.select("doc_id", "source", "lang", "text")).count() == n and mixing.sampled(docs).columns == docs.columns
     rows = docs.select("doc_id", "text", F.col("lang").alias("class"), F.lit(False).alias("held_out"))
-    assert lattice_lm.scored(rows, lattice_lm.Vocabulary([(b"a", True)], np.zeros(1))).count() == n
+    assert lattice_lm.scored(rows, lattice_lm.Vocabulary(SMALL, np.zeros(6))).count() == n
     model = language_id.profiles(docs)
     assert language_id.predicted(docs.select("doc_id", "text"), model).count() == n
     v = spark.createDataFrame([], "vec_id long, embedding array<float>, label int")
