@@ -38,6 +38,21 @@ def tenant_filter(nodes: DataFrame, caller: Caller) -> DataFrame:
     return nodes.filter(F.col("tenant") == caller.tenant)
 
 
+def permitted(nodes: DataFrame, caller: Caller) -> DataFrame:
+    """What level, tenant and purpose allow together: outside of care a node also needs the consent of its
+    subject, where the table tells it; an emergency passes level and consent, never the tenant."""
+    out = visible(nodes, caller)
+    if caller.purpose != "care" and not caller.emergency and "consent" in nodes.columns:
+        out = out.filter(F.coalesce("consent", F.lit(False)))
+    return out
+
+
+def emergency_log(caller: Caller, seen: DataFrame) -> DataFrame:
+    """A row for each node that an emergency showed; no rows otherwise."""
+    log = access_log(caller, seen)
+    return log if caller.emergency else log.filter("false")
+
+
 def edges(links: DataFrame, seen: DataFrame) -> DataFrame:
     """Links both ends of which are visible; others go whole."""
     ids = seen.select("node")

@@ -79,13 +79,24 @@ def within(gap: Column, rule: LinkRule) -> Column:
 
 
 def candidates(tags: DataFrame, rule: LinkRule, bound: bool = True) -> DataFrame:
-    """Pairs of nodes of one scope that share enough tags: src is the earlier by (us, node)."""
+    """Pairs of nodes of one scope that share enough tags: src is the earlier by (us, node). Where the rule
+    has a window, a node meets only those of its own span of time, as long as the window, and of the
+    next one, so a busy scope costs its neighbours in time and not its square, and spans are dealt to
+    tasks apart."""
     t = tags.filter(F.col("ns").isin(*rule.namespaces))
+    if rule.kinds and "kind" in tags.columns:
+        t = t.filter(F.col("kind").isin(*rule.kinds))
     if bound and rule.frequency != (1, 1 << 40):
         t = bound_tags(t, *rule.frequency)
     a = t.select("scope", "ns", "code", F.col("node").alias("src"), F.col("us").alias("src_us"), F.col("k").alias("src_k"))
     b = t.select("scope", "ns", "code", F.col("node").alias("dst"), F.col("us").alias("dst_us"), F.col("k").alias("dst_k"))
-    pairs = a.join(b, ["scope", "ns", "code"]).filter(F.struct("src_us", "src") < F.struct("dst_us", "dst"))
+    keys = ["scope", "ns", "code"]
+    if rule.window_us:
+        span = lambda c: F.floor(F.col(c) / F.lit(rule.window_us)).cast("long")
+        a = a.withColumn("span", F.explode(F.array(span("src_us"), span("src_us") + 1)))
+        b = b.withColumn("span", span("dst_us"))
+        keys.append("span")
+    pairs = a.join(b, keys).filter(F.struct("src_us", "src") < F.struct("dst_us", "dst")).drop("span")
     pairs = pairs.filter(within(F.col("dst_us") - F.col("src_us"), rule))
     if rule.min_shared == 1 and len(rule.namespaces) == 1:
         return pairs.withColumn("shared", F.lit(1).cast("long")).withColumn("tag", F.concat_ws(":", "ns", "code")).drop("ns", "code")
@@ -108,9 +119,21 @@ def score(cands: DataFrame, rule: LinkRule) -> DataFrame:
     return cands.withColumn("score", value.cast("long")).withColumn("gap_us", gap)
 
 
+def ranks(links: DataFrame) -> DataFrame:
+    """Severity and basis as numbers, the higher the sooner a link is taken."""
+    of = lambda c, known: F.coalesce(F.create_map(*(F.lit(x) for kv in known.items() for x in kv))[F.col(c)], F.lit(0))
+    return links.withColumns({"rank_severity": of("severity", SEVERITY), "rank_basis": of("basis", BASIS)})
+
+
+def order(several_rules: bool = False) -> list[Column]:
+    """The complete total order: severity, basis and score down, then the keys up. Within one rule severity
+    and basis are equal, so score and keys are left."""
+    within_rule = [F.desc("score"), F.asc("src"), F.asc("dst")]
+    return [F.desc("rank_severity"), F.desc("rank_basis"), *within_rule, F.asc("relation"), F.asc("rule_id")] if several_rules else within_rule
+
+
 def _order() -> list[Column]:
-    """The complete total order within one rule: score down, then the keys up."""
-    return [F.desc("score"), F.asc("src"), F.asc("dst")]
+    return order()
 
 
 def cap(scored: DataFrame, k: int, mode: str = "both") -> DataFrame:

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from evigraph.plans.store import written
 
+
 def spine_edges(capsules: DataFrame) -> DataFrame:
     return capsules.select(F.col("capsule_id").alias("child"), F.explode("parents").alias("parent"), "scope_root")
 
@@ -16,40 +17,55 @@ def dangling(capsules: DataFrame) -> DataFrame:
     return spine_edges(capsules).join(capsules.select(F.col("capsule_id").alias("parent")), "parent", "left_anti")
 
 
-def check_dag(edges: DataFrame, rounds: int = 32) -> DataFrame:
-    """Nodes on or below a cycle: peel nodes without remaining parents until none is left to peel.
-    Content ids make cycles impossible; the check is for edges of other origin."""
-    left = edges.select("child", "parent").distinct()
-    for _ in range(rounds):
-        free = left.select(F.col("parent").alias("n")).distinct().join(left.select(F.col("child").alias("n")).distinct(), "n", "left_anti")
-        if not free.limit(1).count():
-            break
-        left = written(left.join(free.withColumnRenamed("n", "parent"), "parent", "left_anti"))
-    return left.select(F.col("child").alias("node")).distinct()
-
-
-def closure(seeds: DataFrame, edges: DataFrame, direction: str = "down", max_depth: int = 3) -> DataFrame:
-    """(seed, node, distance) by an unrolled join per level; each node at its least distance."""
-    a, b = ("parent", "child") if direction == "down" else ("child", "parent")
+def check_dag(edges: DataFrame) -> DataFrame:
+    """Nodes between cycles or on one: peel the nodes without remaining parents and those without
+    remaining children until none is left to peel. Content ids make cycles impossible; the check is for
+    edges of other origin."""
+    left, size = written(edges.select("child", "parent").distinct()), -1
+    while True:
+        n = left.count()
+        if n in (0, size):
+            return left.select(F.col("child").alias("node")).distinct()
+        size = n
+        inner = left.join(left.select(F.col("child").alias("parent")).distinct(), "parent", "left_semi")
+        left = written(inner.join(left.select(F.col("parent").alias("child")).distinct(), "child", "left_semi").select("child", "parent"))
+
+
+def closure(seeds: DataFrame, edges: DataFrame, direction: str = "down", max_depth: int | None = None) -> DataFrame:
+    """(seed, node, distance), each node at its least distance: an unrolled join per level up to
+    ``max_depth``; without one level after level until nothing new is met, cycles or not."""
+    if direction == "both":
+        edges = edges.select("child", "parent").unionByName(edges.select(F.col("parent").alias("child"), F.col("child").alias("parent")))
+    a, b = ("child", "parent") if direction == "up" else ("parent", "child")
     step = edges.select(F.col(a).alias("node"), F.col(b).alias("next"))
     out = front = seeds.select(F.col("seed"), F.col("seed").alias("node"), F.lit(0).alias("distance"))
-    for k in range(1, max_depth + 1):
+    k = 0
+    while max_depth is None or k < max_depth:
+        k += 1
         front = front.join(step, "node").select("seed", F.col("next").alias("node"), F.lit(k).alias("distance")).distinct()
+        if max_depth is None:
+            front = written(front.join(out.select("seed", "node"), ["seed", "node"], "left_anti"))
+            if not front.limit(1).count():
+                break
         out = out.unionByName(front)
     return out.groupBy("seed", "node").agg(F.min("distance").alias("distance"))
 
 
-def scope_of(capsules: DataFrame, depth: int = 3) -> DataFrame:
-    """(capsule_id, roots): the roots found by going up; more than one is a conflict."""
-    edges = spine_edges(capsules)
-    up = capsules.select(F.col("capsule_id"), F.col("capsule_id").alias("node"))
-    top = None
-    for _ in range(depth + 1):
-        step = up.join(edges.select(F.col("child").alias("node"), "parent"), "node", "left")
-        ends = step.filter("parent is null").select("capsule_id", F.col("node").alias("root"))
+def scope_of(capsules: DataFrame) -> DataFrame:
+    """(capsule_id, roots): the roots found by going up to the end; more than one is a conflict. Each level
+    is one join; a chain that never ends is an error."""
+    edges = written(spine_edges(capsules).select(F.col("child").alias("node"), "parent"))
+    up = written(capsules.select("capsule_id", F.col("capsule_id").alias("node")).distinct())
+    top, seen = None, written(up)
+    while True:
+        step = up.join(edges, "node", "left")
+        ends = written(step.filter("parent is null").select("capsule_id", F.col("node").alias("root")))
         top = ends if top is None else top.unionByName(ends)
-        up = step.filter("parent is not null").select("capsule_id", F.col("parent").alias("node")).distinct()
-    return top.groupBy("capsule_id").agg(F.array_sort(F.collect_set("root")).alias("roots"))
+        above = step.filter("parent is not null").select("capsule_id", F.col("parent").alias("node")).distinct()
+        up = written(above.join(seen, ["capsule_id", "node"], "left_anti"))
+        if not up.limit(1).count():
+            return top.groupBy("capsule_id").agg(F.array_sort(F.collect_set("root")).alias("roots"))
+        seen = seen.unionByName(up)
 
 
 def chapters(items: DataFrame, episode: str, at: str, kind: str) -> DataFrame:

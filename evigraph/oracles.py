@@ -95,3 +95,5 @@ got1 AS (SELECT anchor, node, 0 AS hop FROM anchors UNION SELECT DISTINCT anchor
 beyond1 AS (SELECT DISTINCT anchor, y AS node FROM got1 JOIN both_ways ON x = node WHERE hop = 1 AND (anchor, y) NOT IN (SELECT (anchor, node) FROM got1)),
 got2 AS (SELECT anchor, node, hop FROM got1 UNION ALL SELECT anchor, node, 2 FROM beyond1) """
 CONTAINS = "WITH truth AS (SELECT item_id, doc_id FROM benchmark b JOIN documents d ON contains(d.text, b.text)) "
+#: The same with facts up to a time only.
+CONTEXT_AS_OF = "WITH " + _OBS.replace("obs AS (", "obs_all AS (", 1) + f", obs AS (SELECT * FROM obs_all WHERE us <= {AS_OF}) " + CONTEXT.removeprefix(OBS)

@@ -88,14 +88,31 @@ def unordered_cap(scored: DataFrame, k: int, seed: int) -> DataFrame:
     return L.cap(scored.withColumn("score", F.xxhash64(F.lit(seed), "src", "dst")), k, "source")
 
 
-def sync_migration(scopes: DataFrame) -> DataFrame:
-    """Stop-the-world: one transaction over all scopes."""
-    return scopes.agg(F.count("*").alias("scopes_locked")).withColumn("transactions", F.lit(1))
+def sync_migration(store, tags: DataFrame, scopes: DataFrame, rules: list[L.LinkRule], target: str) -> None:
+    """Stop-the-world: all scopes in one transaction; no reader sees the target before the last is done."""
+    from evigraph.plans import projection
 
+    projection.project_scopes(store, tags, scopes.select("scope", "watermark"), rules, target)
 
-def materialized_queue(scopes: DataFrame) -> DataFrame:
-    """A queue that copies every scope up front, against a backlog that copies none."""
-    return scopes.agg(F.count("*").alias("queued_rows")).withColumn("virtual_rows", F.lit(0).cast("long"))
+
+def transactions(store) -> DataFrame:
+    """(transactions, largest): how many publications a store saw, and the scopes that the largest held."""
+    return store.history().groupBy("attempt").agg(F.count("*").alias("n")).agg(F.count("*").alias("transactions"), F.max("n").alias("largest"))
+
+
+def materialized_queue(scopes: DataFrame, target: str) -> DataFrame:
+    """A queue that copies every scope up front, where the backlog is a filter and copies none."""
+    return written(scopes.select("scope", F.lit(target).alias("target"), F.lit("waiting").alias("state")))
+
+
+def community_reports(mentions: DataFrame, communities: DataFrame, words: int = 5) -> DataFrame:
+    """(community, entities, documents, report): a line for each community, its commonest entities first."""
+    of = mentions.join(communities, "entity")
+    n = of.groupBy("community", "entity").agg(F.count_distinct("doc_id").alias("docs"))
+    top = n.withColumn("r", F.row_number().over(Window.partitionBy("community").orderBy(F.desc("docs"), "entity"))).filter(F.col("r") <= words)
+    text = top.groupBy("community").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("r", "entity", "docs"))), lambda x: F.format_string("%s (%d)", x["entity"], x["docs"])), ", ").alias("report"))
+    size = of.groupBy("community").agg(F.count_distinct("entity").alias("entities"), F.count_distinct("doc_id").alias("documents"))
+    return size.join(text, "community")
 
 
 def last_rule_wins(links: DataFrame) -> DataFrame:
@@ -126,6 +143,18 @@ def layout_stats(frames: DataFrame, per_file: int) -> DataFrame:
     return frames.agg(F.count("*").alias("object_files"), F.count_distinct("scope_root").alias("scopes"), F.sum("frame_len").alias("chars")).withColumn("pack_files", F.ceil(F.col("object_files") / per_file))
 
 
+def one_file_per_object(frames: DataFrame, path: str) -> DataFrame:
+    """Write each object to a file of its own, and read back what that makes: (files, bytes, objects)."""
+    frames.withColumn("object", F.col("capsule_id")).write.partitionBy("object").parquet(path)
+    return laid_out(frames.sparkSession.read.parquet(path))
+
+
+def laid_out(stored: DataFrame) -> DataFrame:
+    """(files, bytes, objects) of a stored table."""
+    per = stored.select(F.col("_metadata.file_path").alias("file"), F.col("_metadata.file_size").alias("size"), "capsule_id").groupBy("file").agg(F.max("size").alias("size"), F.count("*").alias("n"))
+    return per.agg(F.count("*").alias("files"), F.sum("size").alias("bytes"), F.sum("n").alias("objects"))
+
+
 def unscoped_links(tags: DataFrame, rule: L.LinkRule) -> DataFrame:
     """Matching without the scope: how many pairs would cross scopes."""
     t = tags.filter(F.col("ns").isin(*rule.namespaces))

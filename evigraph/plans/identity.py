@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -12,10 +12,34 @@ def same_object(objects: DataFrame) -> DataFrame:
 
 
 def candidates(objects: DataFrame) -> DataFrame:
-    """(a, b) owners of equal content: neighbours in order, so a group of n owners proposes n - 1 links."""
-    s = same_object(objects)
-    pairs = s.select(F.explode(F.zip_with(F.slice("owners", 1, F.size("owners") - 1), F.slice("owners", 2, F.size("owners") - 1), lambda a, b: F.struct(a.alias("a"), b.alias("b")))).alias("p"))
-    return pairs.select("p.a", "p.b").distinct()
+    """(a, b) owners of equal content: neighbours in order, so a group of n owners proposes n - 1 links and
+    is never gathered in one row."""
+    after = F.lead("owner").over(Window.partitionBy("content_id").orderBy("owner"))
+    return objects.select("content_id", "owner").distinct().select(F.col("owner").alias("a"), after.alias("b")).filter("b is not null").distinct()
+
+
+ASSERTION = "a long, b long, state string, at int, by string, digest string"
+
+
+def _asserted(pairs: DataFrame, state: str, by: str, at: int) -> DataFrame:
+    """Assertions of a state, each with the digest that its author signs."""
+    said = F.sha2(F.concat_ws("|", F.col("a").cast("string"), F.col("b").cast("string"), F.lit(state), F.lit(at), F.lit(by)), 256)
+    return pairs.select("a", "b", F.lit(state).alias("state"), F.lit(at).alias("at"), F.lit(by).alias("by"), said.alias("digest"))
+
+
+def adjudicate(pairs: DataFrame, by: str, at: int) -> DataFrame:
+    return _asserted(pairs, "approved", by, at)
+
+
+def retract(pairs: DataFrame, by: str, at: int) -> DataFrame:
+    return _asserted(pairs, "retracted", by, at)
+
+
+def states(pairs: DataFrame, assertions: DataFrame) -> DataFrame:
+    """The state of each candidate: that of its latest assertion whose digest holds, else ``candidate``."""
+    said = F.sha2(F.concat_ws("|", F.col("a").cast("string"), F.col("b").cast("string"), "state", F.col("at").cast("string"), "by"), 256)
+    latest = assertions.filter(said == F.col("digest")).groupBy("a", "b").agg(F.max_by("state", "at").alias("state"))
+    return pairs.join(latest, ["a", "b"], "left").select("a", "b", F.coalesce("state", F.lit("candidate")).alias("state"))
 
 
 def current(assertions: DataFrame) -> DataFrame:

@@ -79,6 +79,23 @@ def truncation(truncated: DataFrame) -> DataFrame:
     return truncated.groupBy("cause").agg(F.count("*").alias("refs"), F.count_distinct("anchor").alias("responses"))
 
 
+def expansion_violations(reached: DataFrame, nodes: DataFrame, level: int) -> DataFrame:
+    """One row: reached nodes (anchor, scope, node) outside their anchor's scope, above the caller's level,
+    withdrawn, or superseded, of all that were reached."""
+    j = reached.select("anchor", "scope", "node").distinct().join(nodes.select("node", F.col("scope").alias("own"), "level", "current"), "node", "left")
+    count = lambda c: F.coalesce(F.sum(F.coalesce(c, F.lit(False)).cast("long")), F.lit(0)).cast("long")
+    return j.agg(
+        F.count("*").alias("reached"), count(F.col("own").isNull() | (F.col("own") != F.col("scope"))).alias("out_of_scope"), count(F.col("level") > level).alias("hidden"),
+        count(F.col("own").isNotNull() & F.col("current").isNull()).alias("withdrawn"), count(F.col("current") != F.col("node")).alias("superseded"))
+
+
+def support(truth: DataFrame, usable: DataFrame) -> DataFrame:
+    """(truth, supported, ppm): of the passages that hold the evidence, those in a document that may be
+    used; it stands in for what a model could be given, not for what one would say."""
+    n = truth.select("item_id", "doc_id").join(usable.select("doc_id"), "doc_id", "left_semi").agg(F.count("*").alias("supported"))
+    return truth.agg(F.count("*").alias("truth")).crossJoin(n).withColumn("ppm", F.expr("case when truth = 0 then 0 else (supported * 1000000) div truth end"))
+
+
 def timed(run: Callable[[], object], repeats: int = 5) -> float:
     """Median seconds after one warm-up."""
     run()

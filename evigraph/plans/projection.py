@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -26,53 +27,137 @@ def fingerprint(df: DataFrame, *keys: str) -> DataFrame:
     return df.agg(F.count("*").alias("n"), F.coalesce(F.bit_xor(F.xxhash64(*keys)), F.lit(0)).alias("fingerprint"))
 
 
-def manifest_row(spark: SparkSession, run: str, projection: str, rules: list[L.LinkRule], config: dict) -> DataFrame:
-    config_hash = hashlib.sha256(json.dumps(config, sort_keys=True).encode()).hexdigest()
-    return spark.createDataFrame([(run, projection, config_hash, CONTRACT, sorted(r.rule_id() for r in rules))], "run_id string, projection string, config_hash string, contract string, rule_ids array<string>")
+LINKS = "link_id string, scope long, src long, dst long, relation string, tag string, severity string, basis string, rule_id string, score long, link_us long, run_id string, attempt string"
+STATE = "scope long, watermark long, generation string, run_id string, attempt string, seq long"
+MANIFEST = "run_id string, generation string, projection string, facts string, config string, config_hash string, contract string, rule_ids array<string>, seq long"
+ACTIVE = "generation string, seq long"
+FAILURES = "scope long, target string, error string, at long"
 
 
 class Store:
-    """Derived links under runs, and the pointer rows by which readers see exactly one run a scope.
+    """Derived links under attempts of runs, and the pointer rows by which readers see exactly one attempt
+    a scope.
 
-    Links of a run are written first, then one ``scope_state`` row per scope; a reader joins the newest
-    state row, so a run that was cut short is invisible and nothing is updated in place."""
+    An attempt's links are written first, then its manifest, then one ``state`` row per scope; a reader
+    joins the newest state row, so an attempt that was cut short stays invisible, a run that is published
+    again replaces itself, and nothing is updated in place. Pointer rows are numbered on from what the
+    store holds, so a store that is opened again goes on where it was."""
 
     def __init__(self, spark: SparkSession, root: str | None = None):
         self.spark, self.root = spark, root or path_for(spark, "store")
-        self.seq = 0
 
     def _read(self, name: str, schema: str) -> DataFrame:
         from evigraph.sources.pack import exists
 
         path = f"{self.root}/{name}"
-        return self.spark.read.parquet(path) if exists(self.spark, path) else self.spark.createDataFrame([], schema)
+        return self.spark.read.schema(schema).parquet(path) if exists(self.spark, path) else self.spark.createDataFrame([], schema)
+
+    def _append(self, name: str, rows: DataFrame) -> None:
+        rows.write.mode("append").parquet(f"{self.root}/{name}")
+
+    def _next(self, name: str, schema: str, column: str = "seq") -> int:
+        return 1 + (self._read(name, schema).agg(F.max(column)).first()[0] or 0)
 
     def links(self) -> DataFrame:
-        """Links of every scope's current run."""
-        s = self.state().select("scope", F.col("run_id"))
-        rows = self._read("links", "link_id string, scope long, src long, dst long, relation string, tag string, severity string, basis string, rule_id string, score long, link_us long, run_id string")
-        return rows.join(s, ["scope", "run_id"])
+        """Links of every scope's current attempt."""
+        return self._read("links", LINKS).join(self.state().select("scope", "attempt"), ["scope", "attempt"]).drop("attempt")
+
+    def history(self) -> DataFrame:
+        """All pointer rows."""
+        return self._read("state", STATE)
 
     def state(self) -> DataFrame:
-        s = self._read("state", "scope long, watermark long, generation string, run_id string, seq long")
-        return s.groupBy("scope").agg(F.max_by(F.struct("watermark", "generation", "run_id"), F.struct("watermark", "seq")).alias("s")).select("scope", "s.*")
+        """The pointer row of each scope: the highest watermark, then the newest."""
+        return self.history().groupBy("scope").agg(F.max_by(F.struct("watermark", "generation", "run_id", "attempt", "seq"), F.struct("watermark", "seq", "attempt")).alias("s")).select("scope", "s.*")
 
-    def publish(self, derived: DataFrame, scopes: DataFrame, generation: str, run: str) -> None:
+    def manifests(self) -> DataFrame:
+        """One row for each published run; one that was published again shows once."""
+        return self._read("manifest", MANIFEST).dropDuplicates(["run_id"])
+
+    def publish(self, derived: DataFrame, scopes: DataFrame, generation: str, run: str, manifest: DataFrame | None = None) -> None:
         """scopes: (scope, watermark) that the run covers, also those without links."""
-        self.seq += 1
-        derived.withColumn("run_id", F.lit(run)).write.mode("append").parquet(f"{self.root}/links")
-        scopes.select("scope", "watermark", F.lit(generation).alias("generation"), F.lit(run).alias("run_id"), F.lit(self.seq).cast("long").alias("seq")).write.mode("append").parquet(f"{self.root}/state")
+        attempt, seq = uuid.uuid4().hex, self._next("state", STATE)
+        self._append("links", derived.withColumns({"run_id": F.lit(run), "attempt": F.lit(attempt)}))
+        if manifest is not None:
+            self._append("manifest", manifest.withColumn("seq", F.lit(seq).cast("long")))
+        self._append("state", scopes.select("scope", "watermark", F.lit(generation).alias("generation"), F.lit(run).alias("run_id"), F.lit(attempt).alias("attempt"), F.lit(seq).cast("long").alias("seq")))
+
+    def activate(self, generation: str) -> None:
+        """Point readers' target at a generation; one that no manifest names is refused."""
+        if not self.manifests().filter(F.col("generation") == generation).limit(1).count():
+            raise ValueError(f"no manifest of generation {generation}")
+        self._append("active", self.spark.createDataFrame([(generation, self._next("active", ACTIVE))], ACTIVE))
+
+    def active(self) -> str | None:
+        r = self._read("active", ACTIVE).agg(F.max_by("generation", "seq")).first()
+        return r[0]
+
+    def progress(self, scopes: DataFrame) -> DataFrame:
+        """(generation, scopes): how many stand at each generation; the pointer does not tell that."""
+        return scopes.select("scope").join(self.state().select("scope", "generation"), "scope", "left").groupBy("generation").agg(F.count("*").alias("scopes"))
+
+    def failed(self, scopes: DataFrame, target: str, error: str) -> None:
+        at = self._next("failures", FAILURES, "at")
+        self._append("failures", scopes.select("scope", F.lit(target).alias("target"), F.lit(error).alias("error"), F.lit(at).cast("long").alias("at")))
+
+    def failures(self) -> DataFrame:
+        return self._read("failures", FAILURES)
+
+    def compacted(self) -> Store:
+        """A new store of the live links, the newest pointers and all manifests; dead attempts are left
+        behind."""
+        new = Store(self.spark)
+        new._append("links", self._read("links", LINKS).join(self.state().select("scope", "attempt"), ["scope", "attempt"], "left_semi"))
+        new._append("state", self.state().select("scope", "watermark", "generation", "run_id", "attempt", "seq"))
+        for name, schema in (("manifest", MANIFEST), ("active", ACTIVE), ("failures", FAILURES)):
+            new._append(name, self._read(name, schema))
+        return new
+
+
+def facts_of(tags: DataFrame, scopes: DataFrame) -> str:
+    """A name for the facts a run reads: the content of its tags, and the scopes with their watermarks."""
+    parts = [fingerprint(tags, *sorted(tags.columns)).first(), fingerprint(scopes, "scope", "watermark").first()]
+    return ":".join(f"{p['n']}.{p['fingerprint']}" for p in parts)
+
+
+def manifest_row(spark: SparkSession, run: str, generation: str, projection: str, facts: str, rules: list[L.LinkRule], config: dict) -> DataFrame:
+    """What a run depends on, enough to tell whether it can be run again."""
+    text = json.dumps(config, sort_keys=True)
+    row = (run, generation, projection, facts, text, hashlib.sha256(text.encode()).hexdigest(), CONTRACT, sorted(r.rule_id() for r in rules), 0)
+    return spark.createDataFrame([row], MANIFEST).drop("seq")
 
 
 def project_scopes(store: Store, tags: DataFrame, scopes: DataFrame, rules: list[L.LinkRule], generation: str, mode: str = "both") -> str:
     """Recompute and replace the whole link set of ``scopes`` (scope, watermark); others are untouched."""
     own = tags.join(scopes.select("scope"), "scope", "left_semi")
-    marks = fingerprint(scopes, "scope", "watermark").first()
-    run = run_id(f"{marks['n']}:{marks['fingerprint']}", rules, {"mode": mode, "generation": generation})
-    store.publish(L.project(own, rules, run, mode), scopes, generation, run)
+    facts, config = facts_of(own, scopes), {"mode": mode, "generation": generation}
+    run = run_id(facts, rules, config)
+    store.publish(L.project(own, rules, run, mode), scopes, generation, run, manifest_row(store.spark, run, generation, "links", facts, rules, config))
     return run
 
 
+def reproduce(store: Store, run: str, tags: DataFrame, rules: list[L.LinkRule]) -> DataFrame:
+    """The links of an earlier run, derived again from what its manifest names. Refused if the code's
+    contract, a rule or the facts are not those of the run. ``rules`` may hold more than the run used;
+    ``tags`` are the facts as of then."""
+    m = store.manifests().filter(F.col("run_id") == run).first()
+    if m is None:
+        raise ValueError(f"no manifest of run {run}")
+    used = [r for r in rules if r.rule_id() in m["rule_ids"]]
+    if m["contract"] != CONTRACT or len(used) != len(m["rule_ids"]):
+        raise ValueError("the run's contract or rules are not at hand")
+    scopes = store.history().filter(F.col("run_id") == run).select("scope", "watermark").distinct()
+    own = tags.join(scopes.select("scope"), "scope", "left_semi")
+    if run_id(facts_of(own, scopes), used, json.loads(m["config"])) != run:
+        raise ValueError("the facts are not those of the run")
+    return L.project(own, used, run, json.loads(m["config"])["mode"])
+
+
+def institution(spark: SparkSession, root: str, name: str) -> Store:
+    """An institution's own generations and links over the shared facts."""
+    return Store(spark, f"{root}/institution-{name}")
+
+
 def mismatched(packed: DataFrame, state: DataFrame) -> DataFrame:
     """Scopes whose stored watermark and projected watermark differ, either way or on one side only."""
     j = packed.select("scope", F.col("watermark").alias("stored")).join(state.select("scope", F.col("watermark").alias("projected")), "scope", "full_outer")
@@ -109,23 +194,30 @@ def page(classed: DataFrame, n: int) -> DataFrame:
     return classed.orderBy("class", F.sha2(F.col("scope").cast("string"), 256)).limit(n)
 
 
-def drain(store: Store, tags: DataFrame, scopes: DataFrame, rules: list[L.LinkRule], target: str, size: int, fail: Callable[[DataFrame], bool] | None = None, most: int = 1000) -> list[tuple[int, int]]:
-    """Project page after page until the backlog is empty; a page that fails goes to retry. Returns
-    (class, scopes) per page in the order drained."""
-    done, failed = [], None
-    for _ in range(most):
-        left = backlog(scopes, store.state(), target)
-        if failed is not None:
-            left = left.join(failed, "scope", "left_anti")
-        p = written(page(left, size))
-        n = p.count()
-        if not n:
+def drain(store: Store, tags: DataFrame, scopes: DataFrame, rules: list[L.LinkRule], target: str, size: int, fail: Callable[[DataFrame], str | None] | None = None, tries: int = 3) -> list[tuple[int, int]]:
+    """Project page after page until the backlog is empty. The scopes of a page that fails are noted with
+    the error and wait; once the others are done they are tried again, ``tries`` times in all. Returns
+    (class, scopes) per page in the order drained; scopes that keep failing stay in the backlog."""
+    done = []
+    for _ in range(tries):
+        waiting = None
+        while True:
+            left = backlog(scopes, store.state(), target)
+            if waiting is not None:
+                left = left.join(waiting, "scope", "left_anti")
+            p = written(page(left, size))
+            n = p.count()
+            if not n:
+                break
+            error = fail(p) if fail is not None else None
+            if error:
+                store.failed(p, target, error)
+                waiting = p.select("scope") if waiting is None else written(waiting.unionByName(p.select("scope")))
+                continue
+            project_scopes(store, tags, p, rules, target)
+            done.append((p.agg(F.min("class")).first()[0], n))
+        if waiting is None:
             break
-        if fail is not None and fail(p):
-            failed = p.select("scope") if failed is None else failed.unionByName(p.select("scope"))
-            continue
-        project_scopes(store, tags, p, rules, target)
-        done.append((p.agg(F.min("class")).first()[0], n))
     return done
 
 

@@ -4,9 +4,11 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from evigraph.sources.pack import exists
+
 
 def source_key(pages: DataFrame) -> DataFrame:
     """Pages with server, logical id, language as type and digest of the raw bytes."""
@@ -44,6 +46,18 @@ def sync(pages: list[DataFrame], land: Callable[[DataFrame], None], checkpoint:
     return since
 
 
+def mark(spark: SparkSession, path: str, page: int) -> None:
+    """Note that a page has landed."""
+    spark.createDataFrame([(page,)], "page int").write.mode("append").parquet(path)
+
+
+def checkpoint_of(spark: SparkSession, path: str) -> int:
+    """The last page that landed; -1 before the first."""
+    if not exists(spark, path):
+        return -1
+    return spark.read.schema("page int").parquet(path).agg(F.coalesce(F.max("page"), F.lit(-1))).first()[0]
+
+
 def remap(snapshots: DataFrame, version: str) -> DataFrame:
     """A new mapping version gives new mapped ids for the same snapshots."""
     return snapshots.select("capsule_id", F.sha2(F.concat_ws("|", "capsule_id", F.lit(version)), 256).alias("mapped_id"), F.lit(version).alias("mapping_version"))

@@ -10,6 +10,8 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from evigraph.functions.canonical import CAPSULE, rehash
+from evigraph.operators import status
+from evigraph.operators.search import terms
 from evigraph.operators.structure import dangling, spine_edges
 
 BUCKETS = 64
@@ -86,6 +88,41 @@ def recover(packed: DataFrame) -> DataFrame:
     return out.filter("before = 0").drop("broken", "before")
 
 
+#: Kinds whose bodies hold words to search.
+WORDED = ("subject", "episode", "note", "tag_dictionary")
+
+
 def reindex(packed: DataFrame) -> dict[str, DataFrame]:
-    """Everything that can be rebuilt from frames alone."""
-    return {"spine_edge": spine_edges(packed), "watermark": watermarks(packed), "kinds": packed.groupBy("scope_root", "kind").agg(F.count("*").alias("n"))}
+    """Everything that frames alone can give again: objects, parent edges, tags (over the dictionary that is
+    packed too), postings of the words in bodies, record status, both active views, watermarks."""
+    field = lambda name: F.get_json_object("body", f"$.{name}")
+    kind = lambda *names: packed.filter(F.col("kind").isin(*names))
+    part = kind("tag_dictionary").filter(field("table") == "part").select(field("key").alias("part"), field("brand").alias("brand"), field("class").alias("class"))
+    tagged = kind("item").select("capsule_id", field("part").alias("part")).join(part, "part")
+    tags = tagged.select("capsule_id", F.explode(F.array(*(F.struct(F.lit(n).alias("ns"), F.col(n).alias("code")) for n in ("brand", "class")))).alias("t")).select("capsule_id", "t.ns", "t.code")
+    text = kind(*WORDED).select("capsule_id", F.explode(F.array_distinct(terms(F.col("body")))).alias("term"))
+    target = F.when(F.col("amends") != "", F.col("amends")).when(F.col("retracts") != "", F.col("retracts"))
+    observed = kind("signal", "amendment", "retraction").select(
+        F.col("capsule_id").alias("node"), F.col("scope_root").alias("scope"), F.col("clinical_us").alias("us"), "kind", target.alias("target"), (field("k").cast("int") % 2 == 0).alias("attested"))
+    latest = F.row_number().over(Window.partitionBy("scope_root", field("priority")).orderBy(F.desc("clinical_us"), F.desc(field("key").cast("long"))))
+    episodes = kind("episode").withColumn("r", latest).filter("r = 1")
+    return {
+        "objects": packed.select("capsule_id", "kind", "scope_root"), "edges": spine_edges(packed), "tags": tags, "text": text,
+        "status": status.resolve(observed).select("node", "status", "current"),
+        "problems": episodes.filter(field("status") == "O").select("scope_root", field("priority").alias("category"), "capsule_id"),
+        "therapies": kind("item").filter((field("state") == "O") & (field("flag") != "R")).select("scope_root", "capsule_id"),
+        "watermarks": watermarks(packed),
+    }
+
+
+#: What tells the rows of each of these apart.
+KEYS = {
+    "objects": ["capsule_id", "kind", "scope_root"], "edges": ["child", "parent"], "tags": ["capsule_id", "ns", "code"], "text": ["capsule_id", "term"], "status": ["node", "status", "current"],
+    "problems": ["scope_root", "category", "capsule_id"], "therapies": ["scope_root", "capsule_id"], "watermarks": ["scope_root", "watermark"],
+}
+
+
+def copied(packed: DataFrame, path: str) -> DataFrame:
+    """A copy of packs, laid out as they are."""
+    packed.repartition("pack_bucket").sortWithinPartitions("pack_bucket", "scope_root", "pack_seq").write.partitionBy("pack_bucket").parquet(path)
+    return packed.sparkSession.read.parquet(path)

@@ -185,16 +185,34 @@ def idempotent_append(s, d):
     return pack.append(c, store).agg(F.count("*").alias("second_append"))
 
 
-@query("SELECT true AS same_edges, true AS same_watermarks, true AS same_kinds")
+def corpus(s, d):
+    """All capsules that have a scope, and the dictionary they refer to."""
+    return ingest.star(s, d).unionByName(ingest.signals(s, d).select(CAPSULE)).unionByName(ingest.notes(s, d).select(CAPSULE)).unionByName(ingest.dictionary(s, d))
+
+
+_FAMILIES = """, ev AS (SELECT st.* FROM st JOIN obs ON event_id = node JOIN customer ON c_custkey = user_id), notes AS (SELECT doc_id FROM documents, (SELECT count(*) AS n FROM customer) JOIN customer ON c_custkey = doc_id % n),
+words AS (SELECT (SELECT count(*) FROM customer) + (SELECT count(*) FROM orders) + (SELECT count(*) FROM notes) + (SELECT count(*) FROM part) + (SELECT count(*) FROM supplier) + (SELECT count(*) FROM nation) + (SELECT count(*) FROM region) AS n)
+SELECT 'objects' AS family, true AS same, n + (SELECT count(*) FROM lineitem) + (SELECT count(*) FROM ev) AS n FROM words
+UNION ALL SELECT 'edges', true, (SELECT count(*) FROM orders) + (SELECT count(*) FROM lineitem) + (SELECT count(*) FROM ev) + (SELECT count(*) FROM notes)
+UNION ALL SELECT 'tags', true, 2 * count(*) FROM lineitem JOIN part ON p_partkey = l_partkey
+UNION ALL SELECT 'text', true, n FROM words
+UNION ALL SELECT 'status', true, count(*) FROM ev WHERE status <> 'current'
+UNION ALL SELECT 'problems', true, count(*) FROM (SELECT *, row_number() OVER (PARTITION BY o_custkey, o_orderpriority ORDER BY o_orderdate DESC, o_orderkey DESC) AS r FROM orders) WHERE r = 1 AND o_orderstatus = 'O'
+UNION ALL SELECT 'therapies', true, count(*) FROM lineitem WHERE l_linestatus = 'O' AND l_returnflag <> 'R'"""
+
+
+@query(O.STATUS + _FAMILIES)
 def reconstruction(s, d):
+    """Copy the packs, rebuild seven families from the copy, and hold ids and counts against what the
+    sources give."""
     from evigraph.plans.store import path_for
 
-    store = path_for(s, "pack")
-    c = written(ingest.subjects(s, d).select(CAPSULE).unionByName(ingest.episodes(s, d).select(CAPSULE)))
-    pack.append(c, store)
-    a, b = pack.reindex(s.read.parquet(store)), pack.reindex(pack.frames(c))
-    r = measures.reconstruction(a, b, {"spine_edge": ["child", "parent"], "watermark": ["scope_root", "watermark"], "kinds": ["scope_root", "kind", "n"]})
-    return s.createDataFrame([(r["spine_edge"], r["watermark"], r["kinds"])], "same_edges boolean, same_watermarks boolean, same_kinds boolean")
+    c, store = written(corpus(s, d)), path_for(s, "pack")
+    pack.append(c, store, buckets=8)
+    a, b = pack.reindex(pack.copied(s.read.parquet(store), path_for(s, "copy"))), pack.reindex(pack.frames(c))
+    same = measures.reconstruction(a, b, pack.KEYS)
+    counted = a | {"text": a["text"].select("capsule_id").distinct(), "status": a["status"].filter("status <> 'current'")}
+    return s.createDataFrame([(k, same[k], counted[k].count()) for k in same if k != "watermarks"], "family string, same boolean, n long")
 
 
 # structure
@@ -225,7 +243,7 @@ def dangling_parents(s, d):
 @query("SELECT 1 AS roots, (SELECT count(*) FROM customer) + (SELECT count(*) FROM orders) AS n")
 def multi_root(s, d):
     c = written(ingest.subjects(s, d).select(CAPSULE).unionByName(ingest.episodes(s, d).select(CAPSULE)))
-    return structure.scope_of(c, 1).groupBy(F.size("roots").alias("roots")).agg(F.count("*").alias("n"))
+    return structure.scope_of(c).groupBy(F.size("roots").alias("roots")).agg(F.count("*").alias("n"))
 
 
 @query(O.OBS + """, m AS (SELECT user_id, us, event_id, CASE WHEN us - lag(us) OVER (PARTITION BY user_id ORDER BY us, event_id) < 21600000000 THEN 0 ELSE 1 END AS fresh FROM obs),
@@ -417,10 +435,14 @@ def generation_diff(s, d):
     return L.diff(a, b, ["scope", "src", "dst"]).groupBy("change").agg(F.count("*").alias("n"))
 
 
-@query(f"SELECT 'links' AS projection, '{projection.CONTRACT}' AS contract, 2 AS n_rules")
+@query(f"SELECT 'links' AS projection, '{projection.CONTRACT}' AS contract, g AS generation, n AS n_rules, n AS runs FROM (VALUES ('g1', 1), ('g2', 2)) t(g, n)")
 def manifest(s, d):
-    m = projection.manifest_row(s, projection.run_id("f", [L.R1, L.R3], {}), "links", [L.R1, L.R3], {"mode": "both"})
-    return m.select("projection", "contract", F.size("rule_ids").alias("n_rules"))
+    """One run under g1, published twice, and two under g2, each of two rules: the store keeps a row a run."""
+    store, tags = projection.Store(s), written(event_tags(s, d))
+    marks = written(user_watermarks(s, d))
+    for scopes, rules, generation in ((marks, [L.R1], "g1"), (marks, [L.R1], "g1"), (marks.filter("scope % 2 = 0"), [L.R1, L.R2], "g2"), (marks.filter("scope % 2 = 1"), [L.R2, L.R1], "g2")):
+        projection.project_scopes(store, tags, scopes, rules, generation)
+    return store.manifests().groupBy("projection", "contract", "generation", F.size("rule_ids").alias("n_rules")).agg(F.count("*").alias("runs"))
 
 
 def user_watermarks(s, d):
@@ -745,7 +767,7 @@ def _truth(s, d):
     # candidates share the item's longest word; containment decides
     anchor = F.array_max(F.transform(words(F.col("text")), lambda w: F.struct(F.length(w).alias("n"), w.alias("w"))))["w"]
     q = b.select("item_id", "text", anchor.alias("w"))
-    post = docs.select("doc_id", "t", F.explode(words(F.col("t"))).alias("w")).join(F.broadcast(q), "w")
+    post = docs.select("doc_id", "t", F.explode(words(F.col("t"))).alias("w")).join(q, "w")
     return post.filter(F.contains("t", "text")).select("item_id", "doc_id").distinct()
 
 
@@ -761,8 +783,9 @@ def evidence_recall(s, d):
 
 @query()
 def vector_topk(s, d):
+    """Queries are the rows whose id is divisible by 20, against all rows."""
     v = ingest.read(s, d, "embeddings")
-    return search.vector_topk(v, v.filter("vec_id < 5"), 10)
+    return search.vector_topk(v, v.filter("vec_id % 20 = 0"), 10)
 
 
 # exchange and contamination
@@ -815,7 +838,7 @@ def ingest_root_check(s, d):
 @query()
 def base_vector_rag(s, d):
     v = ingest.read(s, d, "embeddings")
-    return B.vector_rag(v, v.filter("vec_id < 3"), 5)
+    return B.vector_rag(v, v.filter("vec_id % 20 = 0"), 5)
 
 
 @query()
@@ -828,6 +851,12 @@ def base_community_graph(s, d):
     return B.community_graph(B.entities(ingest.read(s, d, "documents"))).groupBy("community").agg(F.count("*").alias("entities"))
 
 
+@query()
+def base_community_reports(s, d):
+    m = written(B.entities(ingest.read(s, d, "documents")))
+    return B.community_reports(m, B.community_graph(m))
+
+
 @query()
 def base_community_update(s, d):
     docs = ingest.read(s, d, "documents")
@@ -879,14 +908,25 @@ def base_unordered_cap(s, d):
     return measures.jaccard(B.unordered_cap(c, 3, 1), B.unordered_cap(c, 3, 2), ["scope", "src", "dst"])
 
 
-@query("SELECT count(*) AS scopes_locked, 1 AS transactions FROM customer")
+_PAGES = "WITH u AS (SELECT count(DISTINCT user_id) AS n FROM events) SELECT 'at once' AS way, 1 AS transactions, n AS largest FROM u UNION ALL SELECT 'rolling', CAST(ceil(n / ceil(n / 4.0)) AS BIGINT), CAST(ceil(n / 4.0) AS BIGINT) FROM u"
+
+
+@query(_PAGES)
 def base_sync_migration(s, d):
-    return B.sync_migration(_classed(s, d))
+    """One transaction over all scopes, against pages of a quarter of them."""
+    tags, m = written(event_tags(s, d)), written(user_watermarks(s, d).withColumn("class", F.lit(2)))
+    once, rolling = projection.Store(s), projection.Store(s)
+    B.sync_migration(once, tags, m, [L.R2], "g2")
+    projection.drain(rolling, tags, m, [L.R2], "g2", -(-m.count() // 4))
+    return B.transactions(once).select(F.lit("at once").alias("way"), "*").unionByName(B.transactions(rolling).select(F.lit("rolling").alias("way"), "*"))
 
 
-@query("SELECT count(*) AS queued_rows, 0 AS virtual_rows FROM customer")
+@query("SELECT count(*) AS queued_rows, count(*) FILTER (c_custkey % 3 <> 0) AS backlog FROM customer")
 def base_materialized_queue(s, d):
-    return B.materialized_queue(_classed(s, d))
+    """Rows that a queue copies up front, those already at the target among them, and the backlog that a
+    filter finds without copying."""
+    c = _classed(s, d)
+    return B.materialized_queue(c, "g2").agg(F.count("*").alias("queued_rows")).crossJoin(projection.backlog(c, _migrated(s, d), "g2").agg(F.count("*").alias("backlog")))
 
 
 @query(O.R3 + "SELECT count(*) AS kept, count(*) AS lost FROM cand")
@@ -920,9 +960,16 @@ def base_silent_budget(s, d):
     return B.silent_budget(r.nodes, 20).agg(F.count("*").alias("shown"))
 
 
-@query(ORACLE_SQL["layout_files_vs_packs"])
+@query("WITH n AS (SELECT (SELECT count(*) FROM nation) + (SELECT count(*) FROM region) AS n) SELECT 'a file an object' AS layout, n AS files, n AS objects FROM n UNION ALL SELECT 'packs', 1, n FROM n")
 def base_one_file_per_object(s, d):
-    return layout_files_vs_packs(s, d)
+    """The nation and region rows of the dictionary, written both ways."""
+    from evigraph.plans.store import path_for
+
+    f = pack.frames(ingest.dictionary(s, d).filter(F.get_json_object("body", "$.table").isin("nation", "region")))
+    store = path_for(s, "pack")
+    pack.append(f.select(CAPSULE), store, buckets=1)
+    a, b = B.one_file_per_object(f, path_for(s, "objects")), B.laid_out(s.read.parquet(store))
+    return a.select(F.lit("a file an object").alias("layout"), "files", "objects").unionByName(b.select(F.lit("packs").alias("layout"), "files", "objects"))
 
 
 @query("SELECT count(*) AS pairs, count(*) FILTER (a.user_id <> b.user_id) AS cross_scope FROM events a JOIN events b ON a.event_type = b.event_type AND epoch_us(a.ts) < epoch_us(b.ts) AND epoch_us(b.ts) - epoch_us(a.ts) <= 3600000000 WHERE a.event_type IN ('view', 'click', 'purchase')")
