@@ -2,20 +2,29 @@
 
 The pages of a host are merged into one tree: a node for each path of elements (tag with its class and
 id words), with the number of pages that show it, the spread of the child sequences in which it appears
-(presentation) and the spread of the texts that stand in it (content). A node's importance is the
-entropy of both, relative to what its page count would allow: near 0 where every page shows the same, near 1
-where every page differs. Branches whose importance is low go from every page, as do those whose
-elements say what they are (navigation, forms, scripts, adverts, comments); where a host has few pages
-only the latter can tell. Pages of a host with equal html count once, and a branch that is or holds
-html, body, main or article never goes for its importance.
+(presentation) and the spread of the texts that stand in it (content). Both are entropies relative to
+what the page count would allow: near 0 where every page shows the same, near 1 where every page differs.
+All branches are judged, whatever they are called:
 
-The tree is counted by grouped sums of (host, path, style) and (host, path, text) over all pages; a hot
-host is one more set of keys, pre-summed in every task. The paths found unimportant are sent out as
-hashes if there are at most ``SENT``; else host block by host block.
+* one whose presentation and content are both below ``LOW`` goes from every page;
+* one of low presentation whose content is below ``HIGH`` is filled from a stock that several pages draw
+  from (menus, adverts, footers); outside of an article it goes from each page on which it holds what
+  another page holds too.
+
+Pages with the same article, or the same html, count once, and a branch that is or holds html, body,
+main or article never goes for its importance. What the tree leaves, names may still take: elements
+that say what they are (navigation, forms, adverts, comments), as reader comments differ on every page
+and hosts of fewer than ``PAGES`` pages tell nothing. ``names=False`` leaves only the tree.
+
+The tree is counted by grouped sums of (path, kind, value) over all pages, a path being a hash of its
+host and its elements, so deep pages cost no more a node than flat ones; a hot host is one more set of
+keys, pre-summed in every task. What is to be cut is sent out as hashes if there are at most ``SENT``;
+else host block by host block.
 
 Text of a page: of what is left, white space inside a block becomes one space, blocks are trimmed and
 joined by line feeds; character references are decoded. Null or empty html gives an empty text, pages
-that repeat are treated alike, a null or odd url puts a page on the host "".
+that repeat are treated alike, a null or odd url puts a page on the host ""; pages of any length and
+depth are read whole; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -32,8 +41,9 @@ from pyspark.sql import functions as F
 
 from evigraph.llm import common
 
-#: Least pages of a node before its entropy counts, importance below which it goes, and hashes sent.
-PAGES, LOW, SENT = 8, 0.35, 1_000_000
+#: Least pages of a node before its entropy counts, importance below which a branch goes, content below
+#: which what pages share goes, and hashes sent.
+PAGES, LOW, HIGH, SENT = 8, 0.35, 0.95, 1_000_000
 
 _TAG = re.compile(
     r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<[!?][^>]*(?:>|$)"
@@ -46,10 +56,9 @@ BLOCKS = frozenset(
     "address article aside blockquote body caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hgroup hr html "
     "legend li main menu nav ol optgroup option p pre search section summary table tbody td tfoot th thead title tr ul".split())
 CLOSES_P = BLOCKS - frozenset("body caption dd dt head html legend li optgroup option summary tbody td tfoot th thead title tr".split())
-# what is never text of the article
-GONE = frozenset(
-    "script style noscript template iframe head title nav footer aside form button select input textarea label fieldset menu dialog svg canvas object embed audio video map search "
-    "noembed noframes xmp datalist option optgroup".split())
+# what is never shown as text, and what stands around an article by its own tag
+HIDDEN = frozenset("script style noscript template iframe head title textarea svg canvas object embed audio video map noembed noframes xmp datalist".split())
+BESIDE = frozenset("nav footer aside form button select input label fieldset menu dialog search option optgroup".split())
 _WORDS = re.compile(r"[a-z]+|[A-Z](?:[a-z]+|[A-Z]*(?![a-z]))|[0-9]+")
 # words of class, id and role that name what stands around an article
 AROUND = frozenset(
@@ -63,12 +72,19 @@ FRAME = frozenset("html body main article".split())
 
 
 class Node:
-    __slots__ = ("tag", "path", "around", "children", "parent", "article", "frame")
+    __slots__ = ("tag", "name", "key", "around", "children", "parent", "article", "frame", "digest")
 
-    def __init__(self, tag: str, path: str, around: bool, parent: Node | None, article: bool):
-        self.tag, self.path, self.around, self.parent, self.article = tag, path, around, parent, article
+    def __init__(self, tag: str, name: str, key: int, around: bool, parent: Node | None, article: bool):
+        self.tag, self.name, self.key, self.around, self.parent, self.article = tag, name, key, around, parent, article
         self.children: list[Node | str] = []
-        self.frame = False
+        self.frame, self.digest = False, 0
+
+
+def _child(parent: Node, tag: str, name: str, around: bool) -> Node:
+    key = xxhash.xxh3_64_intdigest(name, seed=parent.key)
+    node = Node(tag, name, key, around, parent, parent.article or tag in ("article", "main"))
+    parent.children.append(node)
+    return node
 
 
 def _named(tag: str, attributes: str) -> tuple[str, bool]:
@@ -85,10 +101,20 @@ def _named(tag: str, attributes: str) -> tuple[str, bool]:
     return ".".join([tag, *sorted(set(kept))]), hidden or any(w in AROUND for w in kept)
 
 
-def parse(source: str) -> Node:
+def parse(source: str, host: str = "") -> Node:
     """A forgiving DOM: implied ends of paragraphs, items and cells, unclosed and stray tags allowed."""
-    root = here = Node("", "", False, None, False)
+    root = here = Node("", "", xxhash.xxh3_64_intdigest(host), False, None, False)
+    open_tags: dict[str, int] = {}
     at, raw = 0, None
+
+    def leave(x: Node) -> Node:
+        """Close ``here`` up to and with ``x``."""
+        y = here
+        while y is not x.parent:
+            open_tags[y.tag] -= 1
+            y = y.parent
+        return y
+
     for m in _TAG.finditer(source):
         if raw:
             if not (m[2] and m[1] and m[2].lower() == raw):
@@ -100,81 +126,102 @@ def parse(source: str) -> Node:
             continue
         tag = m[2].lower()
         if m[1]:
-            x = here
-            while x is not root and x.tag != tag:
-                x = x.parent
-            # the end of an inline element does not close the blocks around it
-            if x is not root:
-                if tag not in BLOCKS:
-                    y = here
-                    while y is not x and y.tag not in BLOCKS:
-                        y = y.parent
-                    if y is not x:
-                        continue
-                here = x.parent
+            if open_tags.get(tag):
+                x = here
+                while x.tag != tag:
+                    # the end of an inline element does not close the blocks around it
+                    if tag not in BLOCKS and x.tag in BLOCKS:
+                        break
+                    x = x.parent
+                if x.tag == tag:
+                    here = leave(x)
             elif tag == "p":
-                here.children.append(Node("p", f"{here.path}/p", False, here, here.article))
+                _child(here, "p", "p", False)
             continue
-        if tag in CLOSES_P or tag in ("li", "dt", "dd", "tr", "td", "th", "option", "tbody", "thead", "tfoot"):
-            ends = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",)}.get(tag, ()) + (("p",) if tag in CLOSES_P else ())
-            stops = {"li": ("ul", "ol", "menu"), "dt": ("dl",), "dd": ("dl",), "tr": ("table",), "td": ("tr", "table"), "th": ("tr", "table"), "option": ("select",)}.get(tag, ("table", "td", "th", "button", "div", "article", "section"))
+        ends = _ENDS.get(tag, ()) + (("p",) if tag in CLOSES_P else ())
+        if any(open_tags.get(t) for t in ends):
+            stops = _STOPS.get(tag, _P_STOPS)
             x = here
             while x is not root and x.tag not in stops:
                 if x.tag in ends:
-                    here = x.parent
+                    up = x.parent
+                    here = leave(x)
                     if tag != "tr" or x.tag == "tr":
                         break
+                    x = up
+                    continue
                 x = x.parent
         name, around = _named(tag, m[3] or "")
-        node = Node(tag, f"{here.path}/{name}", around, here, here.article or tag in ("article", "main"))
-        here.children.append(node)
+        node = _child(here, tag, name, around)
         if tag in FRAME:
             x = node
-            while x is not None and not x.frame and not _gone(x):
+            while x is not None and not x.frame and not (hidden(x) or named(x)):
                 x.frame, x = True, x.parent
-        if tag in RAW and not (m[3] or "").rstrip().endswith("/"):
-            raw, here = tag, node
-        elif tag not in VOID:
+        if tag not in VOID:
+            open_tags[tag] = open_tags.get(tag, 0) + 1
             here = node
+            if tag in RAW and not (m[3] or "").rstrip().endswith("/"):
+                raw = tag
     if at < len(source):
         here.children.append(source[at:] if raw else html_lib.unescape(source[at:]))
     return root
 
 
-def _gone(node: Node) -> bool:
-    if node.tag in GONE:
+_ENDS = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",), "tbody": ("tr", "td", "th"), "thead": (), "tfoot": ("tr", "td", "th")}
+_STOPS = {"li": ("ul", "ol", "menu"), "dt": ("dl",), "dd": ("dl",), "tr": ("table",), "td": ("tr", "table"), "th": ("tr", "table"), "option": ("select",), "tbody": ("table",), "tfoot": ("table",)}
+_P_STOPS = ("table", "td", "th", "button", "div", "article", "section")
+
+
+def hidden(node: Node) -> bool:
+    """Whether the element's text is never shown."""
+    return node.tag in HIDDEN
+
+
+def named(node: Node) -> bool:
+    """Whether the element says itself that it stands around the article."""
+    if node.tag in BESIDE:
         return True
     if node.tag == "header":
         return not node.article
-    return node.around and node.tag not in ("html", "body", "article", "main")
-
+    return node.around and node.tag not in FRAME
 
-def _key(host: str, path: str) -> int:
-    return xxhash.xxh3_64_intdigest(f"{host}\0{path}") - (1 << 63)
 
-
-def nodes(root: Node) -> list[tuple[str, str, str]]:
-    """(path, style, text) of every element that may stay; the text is that of the whole branch, so a
-    branch is important if anything in it is."""
-    out: list[tuple[str, str, str]] = []
+def nodes(root: Node) -> list[Node]:
+    """The elements that are shown, with the digest of the text of each one's whole branch, so a branch
+    is important if anything in it is."""
     order, todo = [], [root]
     while todo:
         x = todo.pop()
         order.append(x)
-        todo += [c for c in x.children if isinstance(c, Node) and not _gone(c)]
-    digest: dict[int, int] = {}
+        todo += [c for c in x.children if isinstance(c, Node) and not hidden(c)]
     for x in reversed(order):
-        inner = [c for c in x.children if isinstance(c, Node) and id(c) in digest]
         own = " ".join(" ".join(c for c in x.children if isinstance(c, str)).split())
-        value = ",".join(str(digest[id(c)]) for c in inner) + own
-        digest[id(x)] = xxhash.xxh3_64_intdigest(value) if value.strip("0,") else 0
-        if x.path:
-            out.append((x.path, ",".join(c.path[len(x.path) :] for c in inner), str(digest[id(x)])))
-    return out
+        value = ",".join([str(c.digest) for c in x.children if isinstance(c, Node) and not hidden(c)]) + own
+        x.digest = xxhash.xxh3_64_intdigest(value) if value.strip("0,") else 0
+    return order[1:]
+
+
+def _by_path(found: list[Node]) -> dict[int, tuple[str, int, bool]]:
+    """(style, content, inside an article) of each path of a page; elements of one path go together."""
+    seen: dict[int, tuple[list[str], list[str], bool]] = {}
+    for x in found:
+        s = seen.setdefault(x.key, ([], [], x.article))
+        s[0].append(",".join(c.name for c in x.children if isinstance(c, Node) and not hidden(c)))
+        s[1].append(str(x.digest))
+    return {k: ("\1".join(a), xxhash.xxh3_64_intdigest("\1".join(b)), c) for k, (a, b, c) in seen.items()}
+
+
+def _signed(x: int) -> int:
+    return x - (1 << 63)
+
+
+def _value_key(path: int, content: int) -> int:
+    return xxhash.xxh3_64_intdigest(content.to_bytes(8, "little"), seed=path)
 
 
-def main_text(root: Node, host: str, low) -> str:
-    """The blocks of what is left once gone and unimportant branches are cut."""
+def main_text(root: Node, cut, names: bool = True) -> str:
+    """The blocks of what is left once hidden, unimportant and named branches are gone. ``cut`` tells of a
+    branch whether it is unimportant."""
     blocks: list[str] = []
     run: list[str] = []
 
@@ -196,7 +243,7 @@ def main_text(root: Node, host: str, low) -> str:
                 run.append(c)
             elif c.tag == "br":
                 run.append(" ")
-            elif not _gone(c) and (c.frame or not low(_key(host, c.path))):
+            elif not hidden(c) and (c.frame or not cut(c)) and not (names and named(c)):
                 stack.append((x, i + 1))
                 stack.append((c, 0))
                 moved = True
@@ -209,6 +256,18 @@ def main_text(root: Node, host: str, low) -> str:
     return "\n".join(blocks)
 
 
+def page_text(source: str | None, host: str, held: set[int] | frozenset[int] = frozenset(), names: bool = True) -> str:
+    root = parse(source or "", host)
+    if not held:
+        return main_text(root, lambda c: False, names)
+    paths = _by_path(nodes(root))
+
+    def cut(c: Node) -> bool:
+        return _signed(c.key) in held or not c.article and c.key in paths and _signed(_value_key(c.key, paths[c.key][1])) in held
+
+    return main_text(root, cut, names)
+
+
 def host_of(url: str | None) -> str:
     return re.split(r"[/?#]", url.partition("://")[2], maxsplit=1)[0].lower() if url and "://" in url else ""
 
@@ -217,60 +276,65 @@ def _host():
     return F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), "://([^/?#]*)", 1))
 
 
-def importance(pages: DataFrame, sent: int = SENT) -> DataFrame:
-    """(key, pages, importance) per node of every host's tree; key is a hash of (host, path). Each of the
-    pages of a host that are copies weighs its part of one page."""
+def counted(pages: DataFrame) -> DataFrame:
+    """(path, content, value, article, n): on how many pages of different articles each path of a host has
+    a style (content false) or a text (content true)."""
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            sums: dict[tuple[int, bool, int], float] = {}
-            for url, source, copies in zip(*(batch.column(c).to_pylist() for c in ("url", "html", "copies")), strict=True):
-                host, seen = host_of(url), {}
-                for path, style, own in nodes(parse(source or "")):
-                    s = seen.setdefault(path, ([], []))
-                    s[0].append(style)
-                    s[1].append(own)
-                for path, (styles, texts) in seen.items():
-                    key = _key(host, path)
-                    for content, value in ((False, "\1".join(styles)), (True, "\1".join(texts))):
-                        k = (key, content, xxhash.xxh3_64_intdigest(value) - (1 << 63))
-                        sums[k] = sums.get(k, 0.0) + 1 / copies
-            cols = list(zip(*sums, strict=True)) or [(), (), ()]
-            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.bool_()), pa.array(cols[2], pa.int64()), pa.array(list(sums.values()), pa.float64())], names=["key", "content", "value", "n"])
-
-    same = F.xxhash64(_host(), F.coalesce("html", F.lit("")))
-    copied = common.written(pages.select(same.alias("same")).groupBy("same").agg(F.count("*").alias("copies")).filter("copies > 1"))
-    weighed = common.joined_checked(pages.select("url", "html", same.alias("same")), copied, ["same"], "left", sent).select("url", "html", F.coalesce("copies", F.lit(1)).alias("copies"))
-    # the parts of copies add up to whole pages again
-    counts = weighed.mapInArrow(count, "key long, content boolean, value long, n double").groupBy("key", "content", "value").agg(F.round(F.sum("n")).cast("long").alias("n"))
+            rows: set[tuple[int, bool, int, bool, int]] = set()
+            for url, source in zip(*(batch.column(c).to_pylist() for c in ("url", "html")), strict=True):
+                root = parse(source or "", host_of(url))
+                page = _signed(xxhash.xxh3_64_intdigest(main_text(root, lambda c: False)))
+                for path, (style, content, article) in _by_path(nodes(root)).items():
+                    rows.add((_signed(path), False, _signed(xxhash.xxh3_64_intdigest(style)), article, page))
+                    rows.add((_signed(path), True, _signed(_value_key(path, content)), article, page))
+            cols = list(zip(*rows, strict=True)) or [(), (), (), (), ()]
+            kinds = (pa.int64(), pa.bool_(), pa.int64(), pa.bool_(), pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=["path", "content", "value", "article", "page"])
+
+    rows = pages.select("url", "html").mapInArrow(count, "path long, content boolean, value long, article boolean, page long").distinct()
+    return rows.groupBy("path", "content", "value", "article").agg(F.count("*").alias("n"))
+
+
+def importance(counts: DataFrame) -> DataFrame:
+    """(path, article, pages, presentation, content) of every node of the hosts' trees."""
     n = F.col("n").cast("double")
-    spread = counts.groupBy("key", "content").agg(F.sum("n").alias("pages"), (F.log(F.sum(n)) - F.sum(n * F.log(n)) / F.sum(n)).alias("h"))
+    spread = counts.groupBy("path", "article", "content").agg(F.sum("n").alias("pages"), (F.log(F.sum(n)) - F.sum(n * F.log(n)) / F.sum(n)).alias("h"))
     share = F.when(F.col("pages") > 1, F.col("h") / F.log(F.col("pages").cast("double"))).otherwise(1.0)
-    # a node matters if its texts or the arrangements of its children differ from page to page
-    return spread.groupBy("key").agg(F.max("pages").alias("pages"), F.max(share).alias("importance"))
+    of = lambda c: F.max(F.when(F.col("content") == c, share))
+    return spread.groupBy("path", "article").agg(F.max("pages").alias("pages"), of(False).alias("presentation"), of(True).alias("content"))
+
+
+def cuts(pages: DataFrame, low: float = LOW, high: float = HIGH, least: int = PAGES) -> DataFrame:
+    """key: paths that go from every page, and of stock-filled ones what several pages hold."""
+    counts = common.written(counted(pages))
+    nodes_of = importance(counts).filter((F.col("pages") >= least) & (F.col("presentation") < low))
+    whole = nodes_of.filter(F.col("content") < low).select(F.col("path").alias("key"))
+    stocked = nodes_of.filter(~F.col("article") & (F.col("content") >= low) & (F.col("content") < high)).select("path")
+    shared = counts.filter(F.col("content") & ~F.col("article") & (F.col("n") > 1)).join(stocked, "path", "left_semi").select(F.col("value").alias("key"))
+    return whole.unionByName(shared)
 
 
-def extracted(pages: DataFrame, low: float = LOW, least: int = PAGES, sent: int = SENT) -> DataFrame:
+def extracted(pages: DataFrame, low: float = LOW, high: float = HIGH, least: int = PAGES, sent: int = SENT, names: bool = True) -> DataFrame:
     """page_id, url, text, n_chars."""
-    cut = common.written(importance(pages, sent).filter((F.col("pages") >= least) & (F.col("importance") < low)).select("key"))
+    cut = common.written(cuts(pages, low, high, least))
     kinds = dict(pages.dtypes)
     schema = f"page_id {kinds['page_id']}, url string, text string, n_chars long"
     if common.small(cut, sent):
-        keys = np.sort(np.array([r["key"] for r in cut.collect()], np.int64))
-        parts = [(pages, keys)]
+        parts = [(pages, np.array([r["key"] for r in cut.collect()], np.int64))]
     else:  # too many to send at once: each block of hosts gets the keys of its own trees
         n = 2 * -(-cut.count() // max(1, sent))
         block = F.pmod(F.xxhash64(_host()), F.lit(n))
         parts = []
         for k in range(n):
             own = pages.filter(block == k)
-            found = importance(own, sent).filter((F.col("pages") >= least) & (F.col("importance") < low)).select("key")
-            parts.append((own, np.sort(np.array([r["key"] for r in found.collect()], np.int64))))
+            parts.append((own, np.array([r["key"] for r in cuts(own, low, high, least).collect()], np.int64)))
 
     def run_with(keys: np.ndarray):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             held = set(keys.tolist())
             for batch in batches:
-                texts = [main_text(parse(source or ""), host_of(url), held.__contains__) for url, source in zip(batch.column("url").to_pylist(), batch.column("html").to_pylist(), strict=True)]
+                texts = [page_text(source, host_of(url), held, names) for url, source in zip(batch.column("url").to_pylist(), batch.column("html").to_pylist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([batch.column("page_id"), batch.column("url"), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
         return run
