@@ -3,7 +3,9 @@
 The index is partitioned by document: each slice of the corpus keeps, for the terms that the
 benchmark has, the sorted positions at which they stand. A phrase is looked up in every slice by
 intersecting position lists, each moved back by the term's place in the phrase, from the phrase's
-rarest term in that slice to its commonest. No posting is shuffled; only the benchmark travels.
+rarest term in that slice to its commonest. No posting is shuffled; only the benchmark travels, as
+numbers of its terms in text order, a phrase being a place in them. :func:`stored` keeps the index of all
+terms as a table for benchmarks to come, and :func:`searched` asks it.
 
 Defined results: null or empty text has no words and no hits; repeated rows each give a row; items
 without words or without an id match nothing, rows that share an item_id count as one item; an empty
@@ -24,30 +26,41 @@ from pyspark.sql import functions as F
 from evigraph.llm import common, text
 
 #: Benchmark text that goes to every task at once; a larger benchmark is matched in blocks of items.
-BLOCK_BYTES = 32_000_000
+BLOCK_BYTES = 8_000_000
+#: Phrases looked up at once.
+CHUNK = 100_000
 
 
 @dataclass
 class Phrases:
-    """Distinct phrases over a vocabulary of term hashes, and the items that hold each."""
+    """Phrases over a vocabulary of term hashes: each a begin and a length in the benchmark's terms in
+    text order, and the number of its item."""
 
     vocabulary: np.ndarray
-    terms: np.ndarray  # phrase x place: index into the vocabulary, -1 past the phrase's end
-    lengths: np.ndarray
-    items: list[list[str]]
+    flat: np.ndarray
+    begin: np.ndarray
+    length: np.ndarray
+    item: np.ndarray
+    names: list[str]
 
     @classmethod
     def of(cls, rows: list[tuple[str, str]], size: int) -> Phrases:
-        held: dict[tuple[int, ...], set[str]] = {}
-        for item, body in rows:
-            w = text.words(*common.raw(pa.array([body], pa.string())), text.ALNUM).hashes.tolist()
-            for k in range(max(1, len(w) - size + 1) if w else 0):
-                held.setdefault(tuple(w[k : k + size]), set()).add(item)
-        vocabulary = np.array(sorted({t for p in held for t in p}), np.uint64)
-        terms = np.full((len(held), size), -1, np.int64)
-        for k, p in enumerate(held):
-            terms[k, : len(p)] = np.searchsorted(vocabulary, np.array(p, np.uint64))
-        return cls(vocabulary, terms, np.array([len(p) for p in held], np.int64), [sorted(x) for x in held.values()])
+        w = text.words(*common.raw(pa.array([body for _, body in rows], pa.string())), text.ALNUM)
+        vocabulary, flat = np.unique(w.hashes, return_inverse=True)
+        n = np.diff(w.bounds)
+        count = np.where(n >= size, n - size + 1, np.minimum(n, 1))
+        row = np.repeat(np.arange(len(n)), count)
+        begin = w.bounds[:-1][row] + np.arange(len(row)) - np.repeat(np.cumsum(count) - count, count)
+        names = sorted({item for item, _ in rows})
+        at = {name: k for k, name in enumerate(names)}
+        number = np.array([at[item] for item, _ in rows], np.int32)
+        return cls(vocabulary, flat.astype(np.int32), begin, np.minimum(n, size)[row].astype(np.int32), number[row], names)
+
+    def terms(self, which: np.ndarray) -> np.ndarray:
+        """phrase x place: the term, -1 past the phrase's end."""
+        place = np.arange(int(self.length.max(initial=1)))
+        inside = place < self.length[which][:, None]
+        return np.where(inside, self.flat[np.where(inside, self.begin[which][:, None] + place, 0)], -1)
 
 
 class Shard:
@@ -70,46 +83,58 @@ class Shard:
         which = np.repeat(np.arange(len(term)), n)
         return self.postings[np.repeat(self.starts[term] - np.cumsum(n) + n, n) + np.arange(n.sum())], which
 
+    def _live(self, p: Phrases):
+        """(phrases, their terms, counts of these) of which every term stands in the slice, in chunks."""
+        for a in range(0, len(p.begin), CHUNK):
+            which = np.arange(a, min(a + CHUNK, len(p.begin)))
+            terms = p.terms(which)
+            counts = np.where(terms >= 0, self.counts[terms], np.iinfo(np.int64).max)
+            live = np.flatnonzero(counts.min(axis=1) > 0)
+            if len(live):
+                yield which[live], terms[live], counts[live]
+
     def phrases(self, p: Phrases) -> tuple[np.ndarray, np.ndarray]:
         """(first position, phrase) of every exact occurrence that stays inside a document."""
-        counts = np.where(p.terms >= 0, self.counts[p.terms], np.iinfo(np.int64).max)
-        live = np.flatnonzero(counts.min(axis=1, initial=np.iinfo(np.int64).max) > 0)
-        if not len(live):
-            return np.zeros(0, np.int64), np.zeros(0, np.int64)
-        by_rarity = np.argsort(counts[live], axis=1, kind="stable")
-        rarest = by_rarity[:, 0]
-        at, which = self.listed(p.terms[live, rarest])
-        at = at - rarest[which]
-        ends = at + p.lengths[live[which]]
-        row = np.searchsorted(self.bounds, np.maximum(at, 0), side="right") - 1
-        ok = (at >= 0) & (at >= self.bounds[row]) & (ends <= self.bounds[np.minimum(row + 1, len(self.bounds) - 1)])
-        at, which = at[ok], which[ok]
-        for k in range(1, p.terms.shape[1]):
-            place = by_rarity[which, k]
-            term = p.terms[live[which], place]
-            past = term < 0
-            same = past | (self.term_at[np.where(past, 0, at + place)] == term)
-            at, which = at[same], which[same]
-        return at, live[which]
+        out = [(np.zeros(0, np.int64), np.zeros(0, np.int64))]
+        for live, terms, counts in self._live(p):
+            by_rarity = np.argsort(counts, axis=1, kind="stable")
+            rarest = by_rarity[:, 0]
+            at, which = self.listed(terms[np.arange(len(live)), rarest])
+            at = at - rarest[which]
+            ends = at + p.length[live[which]]
+            row = np.searchsorted(self.bounds, np.maximum(at, 0), side="right") - 1
+            ok = (at >= 0) & (at >= self.bounds[row]) & (ends <= self.bounds[np.minimum(row + 1, len(self.bounds) - 1)])
+            at, which = at[ok], which[ok]
+            for k in range(1, terms.shape[1]):
+                place = by_rarity[which, k]
+                term = terms[which, place]
+                past = term < 0
+                same = past | (self.term_at[np.where(past, 0, at + place)] == term)
+                at, which = at[same], which[same]
+            out.append((at, live[which]))
+        return tuple(np.concatenate(x) for x in zip(*out, strict=True))
 
     def near(self, p: Phrases, slop: int) -> tuple[np.ndarray, np.ndarray]:
         """(position of the rarest term, phrase) where all other terms of the phrase stand within
         ``slop`` words of their exact place, in the same document."""
-        counts = np.where(p.terms >= 0, self.counts[p.terms], np.iinfo(np.int64).max)
-        live = np.flatnonzero(counts.min(axis=1, initial=np.iinfo(np.int64).max) > 0)
-        rarest = np.argmin(counts[live], axis=1) if len(live) else np.zeros(0, np.int64)
-        at, which = self.listed(p.terms[live, rarest]) if len(live) else (np.zeros(0, np.int64),) * 2
-        row = np.searchsorted(self.bounds, at, side="right") - 1
-        low, high = self.bounds[row], self.bounds[row + 1]
-        for k in range(p.terms.shape[1]):
-            term = p.terms[live[which], k] if len(which) else np.zeros(0, np.int64)
-            found = term < 0
-            for move in range(-slop, slop + 1):
-                where = at + k - rarest[which] + move
-                inside = (where >= low) & (where < high)
-                found |= inside & (self.term_at[np.where(inside, where, 0)] == term) if len(at) else found
-            at, which, low, high = at[found], which[found], low[found], high[found]
-        return at, live[which] if len(live) else which
+        out = [(np.zeros(0, np.int64), np.zeros(0, np.int64))]
+        for live, terms, counts in self._live(p):
+            by_rarity = np.argsort(counts, axis=1, kind="stable")
+            rarest = by_rarity[:, 0]
+            at, which = self.listed(terms[np.arange(len(live)), rarest])
+            row = np.searchsorted(self.bounds, at, side="right") - 1
+            low, high = self.bounds[row], self.bounds[row + 1]
+            for k in range(1, terms.shape[1]):
+                place = by_rarity[which, k]
+                term = terms[which, place]
+                found = term < 0
+                for move in range(-slop, slop + 1):
+                    where = at + place - rarest[which] + move
+                    inside = (where >= low) & (where < high)
+                    found |= inside & (self.term_at[np.where(inside, where, 0)] == term)
+                at, which, low, high = at[found], which[found], low[found], high[found]
+            out.append((at, live[which]))
+        return tuple(np.concatenate(x) for x in zip(*out, strict=True))
 
 
 def _blocks(bench: DataFrame, limit: int) -> list[DataFrame]:
@@ -129,11 +154,11 @@ def _matcher(phrases: Phrases, slop: int | None):
                 n = len(w.bounds) - 1
                 hits: list[list[int]] = [[] for _ in range(n)]
                 items: list[list[str]] = [[] for _ in range(n)]
-                if len(phrases.items) and len(w.hashes):
+                if len(phrases.begin) and len(w.hashes):
                     shard = Shard(w, phrases.vocabulary)
                     if slop is None:
                         at, which = shard.phrases(phrases)
-                        lengths = phrases.lengths[which]
+                        lengths = phrases.length[which]
                     else:
                         at, which = shard.near(phrases, slop)
                         lengths = np.ones(len(at), np.int64)
@@ -142,11 +167,12 @@ def _matcher(phrases: Phrases, slop: int | None):
                     np.add.at(marks, at + lengths, -1)
                     hit = np.flatnonzero(np.cumsum(marks[:-1]) > 0)
                     rows = np.searchsorted(w.bounds, hit, side="right") - 1
-                    for r in np.unique(rows):
-                        hits[r] = (hit[rows == r] - w.bounds[r]).tolist()
-                    pairs = np.unique(np.stack([np.searchsorted(w.bounds, at, side="right") - 1, which]), axis=1)
-                    for r, p in pairs.T:
-                        items[r] += phrases.items[p]
+                    some, first = np.unique(rows, return_index=True)
+                    for r, a, b in zip(some, first, np.append(first, len(rows))[1:], strict=True):
+                        hits[r] = (hit[a:b] - w.bounds[r]).tolist()
+                    pairs = np.unique((np.searchsorted(w.bounds, at, side="right") - 1) * len(phrases.names) + phrases.item[which])
+                    for r, i in zip(pairs // len(phrases.names), pairs % len(phrases.names), strict=True):
+                        items[r].append(phrases.names[i])
                 out = [part.column(k) for k in range(part.num_columns) if part.schema.names[k] != "text"]
                 names = [k for k in part.schema.names if k != "text"]
                 out += [pa.array(np.diff(w.bounds)), pa.array(hits, pa.list_(pa.int32())), pa.array([sorted(set(x)) for x in items], pa.list_(pa.string()))]
@@ -178,6 +204,56 @@ def matches(docs: DataFrame, bench: DataFrame, keep: list[str], window: int = 13
     ).drop("row_key")
 
 
+def stored(docs: DataFrame, key: str = "doc_id") -> DataFrame:
+    """The positional index of all terms as a table in the shared folder: term hash, document, its number of
+    words and the sorted positions of the term in it, dealt and sorted by term so that a scan for a few
+    terms reads a few row groups."""
+    kind = dict(docs.dtypes)[key]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in common.slices(batch, "text"):
+                w = text.words(*common.raw(part.column("text")), text.ALNUM)
+                rows = w.rows
+                order = np.lexsort((np.arange(len(rows)), w.hashes, rows))
+                rows, hashes, at = rows[order], w.hashes[order], (order - w.bounds[rows[order]] if len(order) else order)
+                new = np.flatnonzero(np.append(True, (rows[1:] != rows[:-1]) | (hashes[1:] != hashes[:-1])))[: len(rows)] if len(rows) else np.zeros(0, np.int64)
+                lists = pa.ListArray.from_arrays(pa.array(np.append(new, len(rows)).astype(np.int32)), pa.array(at.astype(np.int32)))
+                yield pa.RecordBatch.from_arrays([
+                    pa.array(hashes[new].view(np.int64)), part.column(key).take(pa.array(rows[new])), pa.array(np.diff(w.bounds)[rows[new]]), lists,
+                ], names=["term", "doc", "n_words", "positions"])
+
+    rows = docs.select(key, "text").mapInArrow(run, f"term long, doc {kind}, n_words long, positions array<int>")
+    return common.written(rows.repartition("term", F.pmod(F.xxhash64("doc"), F.lit(16))).sortWithinPartitions("term", "doc"))
+
+
+def _back(place: int):
+    return lambda p: p - place
+
+
+def searched(index: DataFrame, phrase: str, slop: int = 0) -> DataFrame:
+    """(doc, at) of a phrase in a stored index: the lists of its terms, from the one of fewest documents on,
+    each moved back by the term's place; with ``slop`` a term may stand so many words off its place. ``at``
+    is where the rarest term has the phrase begin."""
+    w = text.words(*common.raw(pa.array([phrase], pa.string())), text.ALNUM).hashes.view(np.int64).tolist()
+    if not w:
+        return index.select("doc", F.lit(0).alias("at")).filter("false")
+    own = index.filter(F.col("term").isin(*set(w)))
+    held = {r["term"]: r["n"] for r in own.groupBy("term").agg(F.sum(F.size("positions")).alias("n")).collect()}
+    order = sorted(range(len(w)), key=lambda k: (held.get(w[k], 0), k))
+    found = None
+    for k in order:
+        lists = own.filter(F.col("term") == w[k]).groupBy("doc", "n_words").agg(F.array_distinct(F.flatten(F.collect_list("positions"))).alias("positions"))
+        moved = F.transform("positions", _back(k))
+        if found is None:
+            inside = F.filter(moved, lambda p: (p >= 0) & (p + len(w) <= F.col("n_words"))) if not slop else moved
+            found = lists.select("doc", inside.alias("at"))
+            continue
+        reach = moved if not slop else F.array_distinct(F.flatten(F.transform(moved, lambda p: F.sequence(p - slop, p + slop))))
+        found = found.join(lists.select("doc", reach.alias("next")), "doc").select("doc", F.array_intersect("at", "next").alias("at")).filter(F.size("at") > 0)
+    return found.select("doc", F.explode("at").alias("at"))
+
+
 def judged(hits: DataFrame, share: int = 20) -> DataFrame:
     """Counts, digest of the items and verdict: contaminated if hit words are at least 1/``share``."""
     return hits.withColumns({

@@ -38,6 +38,12 @@ def op3_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
     return decontamination.judged(decontamination.matches(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), ["doc_id"]))
 
 
+def benchmark_proximity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents with all words of a benchmark window within one word of their place."""
+    near = decontamination.matches(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), ["doc_id"], slop=1)
+    return near.select("doc_id", "n_words", F.size("items").cast("long").alias("n_items"), F.array_join("items", ",").alias("items"))
+
+
 def op4_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_rules.judged(table(spark, sf_dir, "pages"), url_rules.labels_of(table(spark, sf_dir, "labels")))
 
@@ -75,7 +81,7 @@ QUERIES: dict[str, Query] = {
     f.__name__: f
     for f in (
         op1_subword_lattice, op2_site_style_tree, op3_benchmark_decontamination, op4_url_rules, op5_mixing_to_target_weights, op6_rank_order_language, op7_epsilon_grid_join,
-        op8_quality_classifier, op9_line_dedup, op10_ngram_jaccard_join,
+        op8_quality_classifier, op9_line_dedup, op10_ngram_jaccard_join, benchmark_proximity,
     )
 }
 
