@@ -144,8 +144,9 @@ class Lattice:
         return np.where(self.last[:, None], s.final[self.piece], s.inside[self.piece])
 
     def forward(self, score: np.ndarray) -> np.ndarray:
-        """alpha[w, i]: log probability of the first i bytes, over all cuts."""
-        alpha = np.full((len(self.sizes), self.width + 1, score.shape[1]), -np.inf)
+        """alpha[w, i]: log probability of the first i bytes, over all cuts, for scores of arcs (one, or
+        one a class)."""
+        alpha = np.full((len(self.sizes), self.width + 1, *score.shape[1:]), -np.inf)
         alpha[:, 0] = 0
         for a, b in self.by_end:
             w, e = self.word[a:b], self.end[a]
@@ -154,12 +155,14 @@ class Lattice:
 
     def scores(self, s: Scores) -> np.ndarray:
         """Log probability of each word under each class."""
-        return self.forward(self._scored(s))[np.arange(len(self.sizes)), self.sizes]
-
-    def expected(self, s: Scores, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Expected piece counts inside and at the end of words over all cuts; words and classes are
-        counted by ``weight``."""
-        score = self._scored(s)
+        score = np.where(self.last[:, None], s.final[self.piece], s.inside[self.piece])
+        return self.forward(score)[np.arange(len(self.sizes)), self.sizes]
+
+    def expected(self, s: Scores, own: np.ndarray, weight: np.ndarray) -> np.ndarray:
+        """Expected counts over all cuts, piece x (inside, end of word) x class, each word under its ``own``
+        class and counted by ``weight``."""
+        c = own[self.word]
+        score = np.where(self.last, s.final[self.piece, c], s.inside[self.piece, c])
         alpha = self.forward(score)
         n = np.arange(len(self.sizes))
         whole = alpha[n, self.sizes]
@@ -170,12 +173,9 @@ class Lattice:
             w, i = self.word[x], self.begin[x[0]]
             score[x] += beta[w, self.end[x]]
             beta[w, i] = np.logaddexp(beta[w, i], score[x])
-        score += alpha[self.word, self.begin] - whole[self.word]
-        used = np.exp(score) * weight[self.word]
+        used = np.exp(score + alpha[self.word, self.begin] - whole[self.word]) * weight[self.word]
         size, width = s.inside.shape
-        at = (self.piece * 2 + self.last)[:, None] * width + np.arange(width)
-        both = np.bincount(at.ravel(), weights=used.ravel(), minlength=size * 2 * width).reshape(size, 2, width)
-        return both[:, 0], both[:, 1]
+        return np.bincount((self.piece * 2 + self.last) * width + c, weights=used, minlength=size * 2 * width).reshape(size, 2, width)
 
 
 def _batches(words: list[bytes], cells: int = 150_000) -> Iterator[np.ndarray]:
@@ -242,8 +242,10 @@ def adapted(known: DataFrame, v: Vocabulary, width: int, rounds: int = ROUNDS) -
             for batch in batches:
                 words = [x.encode() for x in batch.column("word").to_pylist()]
                 weight = _columns(batch, width)
+                row, c = np.nonzero(weight)  # few words are of more than one class
+                words, weight = [words[i] for i in row], weight[row, c]
                 for own in _batches(words):
-                    total[:, 0], total[:, 1] = (t + x for t, x in zip((total[:, 0], total[:, 1]), Lattice([words[i] for i in own], v).expected(scores, weight[own]), strict=True))
+                    total += Lattice([words[i] for i in own], v).expected(scores, c[own], weight[own])
             at = np.flatnonzero(total)
             yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total.ravel()[at])], names=["at", "n"])
 
