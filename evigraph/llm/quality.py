@@ -1,16 +1,19 @@
 """Hierarchical empirical Bayes quality classifier.
 
 Document evidence is the log ratio of a document as bad ("junk" or "toxic") against good, from a softmax
-regression over words, word stems and binned shape measures. Features are chosen from all labelled
-documents, by sums on the executors: those whose counts differ between the kinds beyond chance. The
-regression is fitted on at most ``SAMPLE`` labelled documents, those of least id hash. The soft verdicts of all documents are then
-summed per host and per path; host rates are shrunk toward the global rate, path rates toward their
-host's, with prior strengths found from the spread of the rates (method of moments). A document is
-judged by its evidence at the odds of its path.
+regression over words, word stems and binned shape measures, hashed to ``BUCKETS`` features. Features are
+chosen from all labelled documents, by sums on the executors: all those whose counts differ between
+the kinds beyond chance. The regression is fitted on the labelled documents whose hash is below that
+share which gives ``SAMPLE`` of them on average (all, if there are no more). The soft verdicts of all
+documents are then summed per host and per path; host rates are shrunk toward the global rate, path
+rates toward their host's, with prior strengths found from the spread of the rates (method of moments).
+A document is judged by its evidence at the odds of its path.
 
 Defined results: null text counts as empty; null host or path is a site of its own; without labels, or
-with labels of one class, evidence is 0 and every document is kept; repeated label rows of a document
-unite (worst wins), repeated documents are judged alike; an empty table gives no rows.
+with labels of one class, evidence is 0 and every document is kept; a document that is bad with a
+probability of exactly 0.5 goes; repeated label rows of a document unite (worst wins), repeated documents
+are judged alike; texts of any length are read whole; an empty table gives no rows; extra columns are
+carried along.
 """
 
 from __future__ import annotations
@@ -24,35 +27,38 @@ from pyspark.sql import functions as F
 
 from evigraph.llm import common, text
 
-#: Features kept at most, the least count of one, and how many deviations from chance it must show.
-MOST, LEAST, DEVIATIONS = 4096, 8, 4.0
-#: Labelled documents that the regression is fitted on at most.
-SAMPLE = 20_000
+#: Features that words, stems and shapes are hashed to, the least count of one that is chosen, and how many
+#: deviations from chance it must show.
+BUCKETS, LEAST, DEVIATIONS = 1 << 18, 8, 4.0
+#: Labelled documents that the regression is fitted on, on average.
+SAMPLE = 8_000
 #: Sites that are broadcast at most; more are joined by shuffle.
 SITES = 100_000
 STEM = 5
 
 
+def _distinct(rows: np.ndarray, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct (row, hash) pairs by one sort; 42 bits of the hash are kept."""
+    pairs = np.unique(rows.astype(np.uint64) << np.uint64(42) | hashes >> np.uint64(22))
+    return (pairs >> np.uint64(42)).astype(np.int64), pairs & np.uint64((1 << 42) - 1)
+
+
 def _features(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
-    """(row, feature hash) pairs, each once."""
+    """(row, feature) pairs, each once."""
     body, at = common.raw(part.column("text"))
     w = text.words(body, at, text.ALNUM)
     rows, n = w.rows, len(part)
-    stems = text.Rolling(w.data).of(w.begin, np.minimum(w.end, w.begin + STEM)) ^ np.uint64(0x5B)
-    long = w.end - w.begin > STEM
-    u, inverse = np.unique(w.hashes, return_inverse=True)
-    pairs = np.unique(rows * max(1, len(u)) + inverse)
-    r1, f1 = pairs // max(1, len(u)), u[pairs % max(1, len(u))] if len(u) else np.zeros(0, np.uint64)
-    us, inverse = np.unique(stems[long], return_inverse=True)
-    pairs = np.unique(rows[long] * max(1, len(us)) + inverse)
-    r2, f2 = pairs // max(1, len(us)), us[pairs % max(1, len(us))] if len(us) else np.zeros(0, np.uint64)
+    long = np.flatnonzero(w.end - w.begin > STEM)
+    stems = text.Rolling(w.data).of(w.begin[long], w.begin[long] + STEM) ^ np.uint64(0x5B << 50)
+    r1, f1 = _distinct(rows, w.hashes)
+    r2, f2 = _distinct(rows[long], stems)
 
     def per_row(mask: np.ndarray) -> np.ndarray:
         return np.diff(np.concatenate([[0], np.cumsum(mask)])[at])
 
     size = np.maximum(1, np.diff(at))
     spaced = text.words(body, at, text.SPACED)
-    tokens, distinct = np.diff(spaced.bounds), np.bincount(r1.astype(np.int64), minlength=n)
+    tokens, distinct = np.diff(spaced.bounds), np.bincount(r1, minlength=n)
     words_n = np.maximum(1, np.diff(w.bounds))
     upper = per_row((body >= 65) & (body <= 90)) / np.maximum(1, per_row(text.ALNUM[body]))
     symbol = per_row(np.isin(body, np.frombuffer(b"!#$%&*+<=>@\\^_|~{}[]", np.uint8))) / size
@@ -65,8 +71,10 @@ def _features(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
         np.digitize(mean, [2, 3, 4, 5, 6, 7, 8, 10, 15]), np.digitize(tokens, [1, 5, 20, 60, 150, 500, 2000]),
     ]
     r3 = np.tile(np.arange(n), len(shapes))
-    f3 = text.mix(np.concatenate([s.astype(np.uint64) + np.uint64(1000 * (k + 1)) for k, s in enumerate(shapes)]))
-    return np.concatenate([r1, r2, r3]), np.concatenate([f1, f2, f3])
+    f3 = text.mix(np.concatenate([s.astype(np.uint64) + np.uint64(1000 * (k + 1)) for k, s in enumerate(shapes)])) >> np.uint64(22)
+    size = BUCKETS.bit_length() - 1
+    key = np.unique(np.concatenate([r1, r2, r3]) << size | (np.concatenate([f1, f2, f3]) >> np.uint64(42 - size)).astype(np.int64))
+    return key >> size, key & (BUCKETS - 1)
 
 
 def weights(docs: DataFrame, labels: DataFrame) -> dict:
@@ -77,18 +85,19 @@ def weights(docs: DataFrame, labels: DataFrame) -> dict:
     known = common.joined_checked(docs.select("doc_id", "text"), marked, ["doc_id"], "inner", 1_000_000)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros((BUCKETS + 1, 3), np.int64)  # the last row counts documents
         for batch in batches:
-            for part in common.slices(batch, "text", 4 * common.SLICE_BYTES):
+            for part in _slices(batch):
                 rows, feature = _features(part)
                 kind = part.column("kind").to_numpy(zero_copy_only=False)
-                u, inverse = np.unique(feature, return_inverse=True)
-                n = np.bincount(inverse * 3 + kind[rows], minlength=3 * len(u)).reshape(-1, 3)
-                u, n = np.append(u, np.uint64(0)), np.vstack([n, np.bincount(kind, minlength=3)])  # feature 0: all documents
-                yield pa.RecordBatch.from_arrays([pa.array(u.view(np.int64)), *(pa.array(n[:, k]) for k in range(3))], names=["f", "n0", "n1", "n2"])
-
-    sums = common.written(known.select("text", "kind").mapInArrow(count, "f long, n0 long, n1 long, n2 long").groupBy("f").agg(*(F.sum(f"n{k}").alias(f"n{k}") for k in range(3))).filter(f"f = 0 or n0 + n1 + n2 >= {LEAST}"))
-    total = sums.filter("f = 0").first()
-    empty = {"f": np.zeros(0, np.uint64), "w": np.zeros((0, 2)), "base": np.zeros(2), "rate": 0.1}
+                total += np.bincount(feature * 3 + kind[rows], minlength=total.size).reshape(total.shape)
+                total[-1] += np.bincount(kind, minlength=3)
+        at = np.flatnonzero(total.any(axis=1))
+        yield pa.RecordBatch.from_arrays([pa.array(at), *(pa.array(total[at, k]) for k in range(3))], names=["f", "n0", "n1", "n2"])
+
+    sums = common.written(known.select("text", "kind").mapInArrow(count, "f long, n0 long, n1 long, n2 long").groupBy("f").agg(*(F.sum(f"n{k}").alias(f"n{k}") for k in range(3))))
+    total = sums.filter(F.col("f") == BUCKETS).first()
+    empty = {"f": np.zeros(0, np.int64), "w": np.zeros((0, 2)), "base": np.zeros(2), "rate": 0.1}
     if total is None or not total["n0"] or not total["n1"] + total["n2"]:
         return empty
     t = [total[f"n{k}"] for k in range(3)]
@@ -97,71 +106,96 @@ def weights(docs: DataFrame, labels: DataFrame) -> dict:
         n, p = F.col(f"n{k}") + F.col("n0"), t[k] / (t[k] + t[0])
         return F.abs(F.col(f"n{k}") - n * p) / F.sqrt(n * max(p * (1 - p), 1e-9) + 1)
 
-    top = sums.filter("f <> 0").withColumn("z", F.greatest(deviation(1), deviation(2))).filter(F.col("z") >= DEVIATIONS).orderBy(F.desc("z"), "f").limit(MOST).toPandas()
+    top = sums.filter((F.col("f") < BUCKETS) & (F.col("n0") + F.col("n1") + F.col("n2") >= LEAST) & (F.greatest(deviation(1), deviation(2)) >= DEVIATIONS)).select("f").toPandas()
     if not len(top):
         return empty
-    f = np.sort(top["f"].to_numpy(np.int64).view(np.uint64))
+    f = np.sort(top["f"].to_numpy(np.int64))
 
     def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in common.slices(batch, "text", 4 * common.SLICE_BYTES):
+            for part in _slices(batch):
                 row, at = _chosen(part, f)
-                order = np.argsort(row, kind="stable")
-                bounds = np.searchsorted(row[order], np.arange(len(part) + 1))
-                lists = pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(at[order].astype(np.int32)))
-                yield pa.RecordBatch.from_arrays([part.column("h"), part.column("kind"), lists], names=["h", "kind", "at"])
+                bounds = np.searchsorted(row, np.arange(len(part) + 1))
+                packed = [at[a:b].astype(np.int32).tobytes() for a, b in zip(bounds, bounds[1:], strict=False)]
+                yield pa.RecordBatch.from_arrays([part.column("h"), part.column("kind"), pa.array(packed, pa.binary())], names=["h", "kind", "at"])
 
+    share = SAMPLE / sum(t)
     known = known.withColumn("h", F.xxhash64("doc_id", "text"))
-    sample = known.mapInArrow(gather, "h long, kind int, at array<int>").orderBy("h", "kind").limit(SAMPLE).toPandas()
-    return {"f": f} | _softmax(sample["at"].tolist(), sample["kind"].to_numpy(np.int64), len(f))
+    if share < 1:
+        known = known.filter(F.col("h") < int(-(1 << 63) + share * (1 << 64)))
+    sample = sorted((r["h"], r["kind"], bytes(r["at"])) for r in known.dropDuplicates(["h", "kind"]).mapInArrow(gather, "h long, kind int, at binary").collect())
+    kinds = np.array([r[1] for r in sample], np.int64)
+    if len(np.unique(kinds)) < 2:
+        return empty
+    return {"f": f} | _softmax([np.frombuffer(r[2], np.int32) for r in sample], kinds, len(f))
+
+
+def _slices(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+    """Slices of fewer rows than a key has room for."""
+    for part in common.slices(batch, "text", 4 * common.SLICE_BYTES):
+        for k in range(0, len(part), 1 << 20):
+            yield part.slice(k, 1 << 20)
 
 
 def _chosen(part: pa.RecordBatch, f: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(row, place in ``f``) of the chosen features of each row."""
+    """(row, place in ``f``) of the chosen features of each row, by row."""
     rows, feature = _features(part)
-    at = np.minimum(np.searchsorted(f, feature), len(f) - 1)
-    ok = f[at] == feature
-    return rows[ok].astype(np.int64), at[ok]
+    place = np.full(BUCKETS, -1, np.int64)
+    place[f] = np.arange(len(f))
+    at = place[feature]
+    return rows[at >= 0], at[at >= 0]
 
 
-def _softmax(lists: list, kind: np.ndarray, size: int, penalty: float = 3e-5, steps: int = 400) -> dict:
+def _softmax(lists: list[np.ndarray], kind: np.ndarray, size: int, penalty: float = 3e-4, steps: int = 150) -> dict:
     """Weights of kinds 1 and 2 against kind 0, by full-batch steps with adaptive moments."""
     counts = np.array([len(x) for x in lists])
-    row, at = np.repeat(np.arange(len(lists)), counts), np.concatenate([np.asarray(x, np.int64) for x in lists] or [np.zeros(0, np.int64)])
+    row, at = np.repeat(np.arange(len(lists), dtype=np.int32), counts), np.concatenate([*lists, np.zeros(0, np.int32)])
     share = np.bincount(kind, minlength=3) / max(1, len(kind))
-    w, base = np.zeros((size, 2)), np.log(np.maximum(share[1:], 1e-9) / max(share[0], 1e-9))
+    w, base = np.zeros((2, size)), np.log(np.maximum(share[1:], 1e-9) / max(share[0], 1e-9))
     m, v, mb, vb = np.zeros_like(w), np.zeros_like(w), np.zeros(2), np.zeros(2)
-    aim = (kind[:, None] == np.array([1, 2])).astype(float)
+    aim = (kind == np.array([[1], [2]])).astype(float)
+    full = np.flatnonzero(counts)  # documents without a chosen feature have the base alone
+    cut = (np.cumsum(counts) - counts)[full]
+    by_feature = np.argsort(at, kind="stable")
+    used, first = np.unique(at[by_feature], return_index=True)
+    of_feature = row[by_feature]
     for k in range(1, steps + 1):
-        z = np.stack([np.bincount(row, weights=w[at, c], minlength=len(lists)) for c in (0, 1)], axis=1) + base
-        top = np.maximum(z.max(axis=1, initial=0), 0)[:, None]
+        z = np.repeat(base[:, None], len(lists), axis=1)
+        for c in (0, 1):
+            if len(cut):
+                z[c, full] += np.add.reduceat(w[c].astype(np.float32)[at], cut)
+        top = np.maximum(z.max(axis=0), 0)
         e = np.exp(z - top)
-        gap = e / (e.sum(axis=1, keepdims=True) + np.exp(-top)) - aim
-        g = np.stack([np.bincount(at, weights=gap[row, c], minlength=size) for c in (0, 1)], axis=1) / len(lists) + penalty * w
-        gb = gap.mean(axis=0)
+        gap = e / (e.sum(axis=0) + np.exp(-top)) - aim
+        g = penalty * w
+        for c in (0, 1):
+            if len(first):
+                g[c, used] += np.add.reduceat(gap[c].astype(np.float32)[of_feature], first) / len(lists)
+        gb = gap.mean(axis=1)
         m, v, mb, vb = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g * g, 0.9 * mb + 0.1 * gb, 0.99 * vb + 0.01 * gb * gb
         step, fix, root = 0.1 * (1 - 0.7 * k / steps), 1 - 0.9**k, 1 - 0.99**k
         w -= step * (m / fix) / (np.sqrt(v / root) + 1e-8)
         base -= step * (mb / fix) / (np.sqrt(vb / root) + 1e-8)
     rate = 1 - share[0]
-    return {"w": w, "base": base, "rate": min(max(rate, 1e-3), 1 - 1e-3)}
+    return {"w": w.T.copy(), "base": base, "rate": min(max(rate, 1e-3), 1 - 1e-3)}
 
 
 def evidence(docs: DataFrame, model: dict) -> DataFrame:
-    """``docs`` with ``evidence``: the log ratio of the text as bad against as good."""
+    """``docs`` without text, with ``evidence``: the log ratio of the text as bad against as good."""
     odds = float(np.log(model["rate"] / (1 - model["rate"])))
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in common.slices(batch, "text", 4 * common.SLICE_BYTES):
+            for part in _slices(batch):
                 both = np.zeros(len(part))
                 if len(model["f"]):
                     rows, at = _chosen(part, model["f"])
                     z = [np.bincount(rows, weights=model["w"][at, k], minlength=len(part)) + model["base"][k] for k in (0, 1)]
                     both = np.clip(np.logaddexp(*z) - odds, -30, 30)
-                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(both)], names=[*part.schema.names, "evidence"])
+                kept = [k for k in part.schema.names if k != "text"]
+                yield pa.RecordBatch.from_arrays([*(part.column(k) for k in kept), pa.array(both)], names=[*kept, "evidence"])
 
-    return docs.mapInArrow(score, common.with_fields(docs, evidence="double"))
+    return docs.mapInArrow(score, common.with_fields(docs, ("text",), evidence="double"))
 
 
 def site_rates(scored: DataFrame, host: str, path: str, rate: float) -> DataFrame:
@@ -191,11 +225,11 @@ def site_rates(scored: DataFrame, host: str, path: str, rate: float) -> DataFram
 
 
 def judged(docs: DataFrame, labels: DataFrame, host: str = "source", path: str = "lang", known: DataFrame | None = None) -> DataFrame:
-    """``docs`` with evidence, prior (its path's rate), p_bad and keep; ``known`` may name another
-    table of documents that the labels belong to."""
+    """``docs`` without text, with evidence, prior (its path's rate), p_bad and keep; ``known`` may name
+    another table of documents that the labels belong to. Evidence is found once and written."""
     model = weights(known if known is not None else docs, labels)
-    rates = site_rates(evidence(docs.select(host, path, "text"), model), host, path, model["rate"])
-    scored = evidence(docs, model)
+    scored = common.written(evidence(docs, model))
+    rates = site_rates(scored.select(host, path, "evidence"), host, path, model["rate"])
     right = F.broadcast(rates) if common.small(rates, SITES) else rates
     out = scored.join(right, scored[host].eqNullSafe(right["host"]) & scored[path].eqNullSafe(right["path"]), "left").drop(right["host"], right["path"])
     out = out.withColumn("prior", F.coalesce("prior", F.lit(model["rate"])))
