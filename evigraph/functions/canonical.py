@@ -27,13 +27,53 @@ def canon_expr(fields: dict[str, Column]) -> Column:
     return F.to_json(F.struct(*(fields[k].alias(k) for k in sorted(fields))))
 
 
+def _number(x: int | float) -> str:
+    """A number as the public canonical JSON scheme writes it: the shortest digits that read back as the same
+    double, plain up to 21 digits and down to 1e-6, else with an exponent."""
+    x = float(x)
+    if x != x or x in (float("inf"), float("-inf")):
+        raise ValueError("not a number of JSON")
+    if x == 0:
+        return "0"
+    sign, digits = ("-" if x < 0 else ""), repr(abs(x))
+    body, _, power = digits.partition("e")
+    whole, _, part = body.partition(".")
+    part = "" if part == "0" else part
+    point = len(whole) + int(power or 0)  # digits before the point
+    all_digits = (whole + part).lstrip("0")
+    point -= len(whole + part) - len(all_digits)
+    all_digits = all_digits.rstrip("0")
+    n = len(all_digits)
+    if n <= point <= 21:
+        return sign + all_digits + "0" * (point - n)
+    if 0 < point <= 21:
+        return f"{sign}{all_digits[:point]}.{all_digits[point:]}"
+    if -6 < point <= 0:
+        return f"{sign}0.{'0' * -point}{all_digits}"
+    tail = all_digits[0] + (f".{all_digits[1:]}" if n > 1 else "")
+    return f"{sign}{tail}e{'+' if point > 0 else '-'}{abs(point - 1)}"
+
+
+def _canonical(x) -> str:
+    if isinstance(x, dict):
+        # keys in the order of their UTF-16 units
+        return "{" + ",".join(f"{json.dumps(k, ensure_ascii=False)}:{_canonical(x[k])}" for k in sorted(x, key=lambda k: k.encode("utf-16-be", "surrogatepass"))) + "}"
+    if isinstance(x, list):
+        return "[" + ",".join(map(_canonical, x)) + "]"
+    if isinstance(x, bool) or x is None or isinstance(x, str):
+        return json.dumps(x, ensure_ascii=False)
+    return _number(x)
+
+
 def canonical_text(source: str) -> str:
-    """Canonical form of any JSON text: sorted keys, no spaces, minimal escapes."""
-    return json.dumps(json.loads(source), sort_keys=True, separators=(",", ":"), ensure_ascii=False)
+    """Canonical form of any JSON text: keys in order, no spaces, least escapes, one form of each number."""
+    return _canonical(json.loads(source))
 
 
 @F.pandas_udf(StringType())
 def canon_udf(source: pd.Series) -> pd.Series:
+    """The canonical form of JSON of any shape, a batch of rows at a time; bodies that the engine builds
+    itself go through ``canon_expr`` and never come here."""
     return source.map(lambda s: None if s is None else canonical_text(s))
 
 

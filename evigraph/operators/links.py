@@ -106,14 +106,18 @@ def candidates(tags: DataFrame, rule: LinkRule, bound: bool = True) -> DataFrame
 
 
 def score(cands: DataFrame, rule: LinkRule) -> DataFrame:
-    """Integer score from parts that are all ints."""
+    """Integer score from parts that are all ints; a rule's own weights go before the preset ones."""
     gap = F.col("dst_us") - F.col("src_us")
     far = F.expr(f"(100 * (dst_us - src_us)) div {rule.window_us}") if rule.window_us else F.least(F.lit(100), F.expr(f"(dst_us - src_us) div {30 * DAY_US}"))
     recency = F.lit(100) - far
-    if rule.min_shared > 1:
+    closeness = F.lit(100) - F.abs(F.col("src_k") - F.col("dst_k"))
+    if rule.weights:
+        parts = {"shared": F.col("shared"), "recency": recency, "closeness": closeness}
+        value = sum((parts[k] * int(w) for k, w in sorted(rule.weights.items())), F.lit(0))
+    elif rule.min_shared > 1:
         value = F.col("shared") * 50 + recency
     elif rule.window_us:
-        value = (F.lit(100) - F.abs(F.col("src_k") - F.col("dst_k"))) * 10 + recency
+        value = closeness * 10 + recency
     else:
         value = recency
     return cands.withColumn("score", value.cast("long")).withColumn("gap_us", gap)
@@ -211,8 +215,12 @@ def project(tags: DataFrame, rules: list[LinkRule], run_id: str, mode: str = "bo
 
 
 def consolidate(links: DataFrame) -> DataFrame:
-    """One row per pair and relation for display; every rule that asserts it stays named."""
-    return links.groupBy("scope", "src", "dst", "relation").agg(F.count_distinct("rule_id").alias("n_rules"), F.max("score").alias("score"), F.array_join(F.array_sort(F.collect_set("rule_id")), ",").alias("rules"))
+    """One row per pair and relation for display: the highest severity and score, and every rule that
+    asserts it with what it rests on."""
+    severity = F.create_map(*(F.lit(x) for kv in SEVERITY.items() for x in kv))[F.col("severity")]
+    path = F.struct("rule_id", "severity", "basis", "tag", "score")
+    return links.groupBy("scope", "src", "dst", "relation").agg(
+        F.count_distinct("rule_id").alias("n_rules"), F.max("score").alias("score"), F.max_by("severity", severity).alias("severity"), F.array_join(F.array_sort(F.collect_set("rule_id")), ",").alias("rules"), F.array_sort(F.collect_set(path)).alias("paths"))
 
 
 def escalation_gate(links: DataFrame, evidence: DataFrame) -> tuple[DataFrame, DataFrame]:

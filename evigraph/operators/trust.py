@@ -187,3 +187,35 @@ def revalidate(rules: DataFrame, approvals: DataFrame) -> DataFrame:
     j = rules.join(approvals.withColumnRenamed("subject", "rule_id"), "rule_id", "left")
     reason = F.when(F.sha2("body", 256) != F.col("rule_id"), "tampered").when(F.col("approved").isNull() | ~F.col("approved"), "approvals").otherwise("ok")
     return j.select("rule_id", (reason == "ok").alias("active"), reason.alias("reason"))
+
+
+def startup(rules: DataFrame, attestations: DataFrame, keys: DataFrame, tenant: int, required: int, at_us: int) -> DataFrame:
+    """Revalidation at ``at_us``: approvals are counted anew from attestations whose keys are neither expired
+    nor revoked by then, whatever held when they were signed; a rule that falls short is inactive."""
+    now = keys.filter((F.col("valid_to") > at_us) & (F.col("revoked_us").isNull() | (F.col("revoked_us") > at_us)))
+    return revalidate(rules, approved(verify(attestations, now, tenant), "knowledge_release", required))
+
+
+# the JVM's own signatures, for the few that the driver makes or checks
+# fixed values: the encodings that stand before a raw public and a raw private key
+_PUBLIC, _PRIVATE = bytes.fromhex("302a300506032b6570032100"), bytes.fromhex("302e020100300506032b657004220420")
+
+
+def jvm_sign(spark, seed: bytes, message: bytes) -> bytes:
+    java = spark._jvm.java.security
+    key = java.KeyFactory.getInstance("Ed25519").generatePrivate(java.spec.PKCS8EncodedKeySpec(_PRIVATE + seed))
+    s = java.Signature.getInstance("Ed25519")
+    s.initSign(key)
+    s.update(message)
+    return bytes(s.sign())
+
+
+def jvm_verify(spark, public: bytes, message: bytes, signature: bytes) -> bool:
+    java = spark._jvm.java.security
+    try:
+        s = java.Signature.getInstance("Ed25519")
+        s.initVerify(java.KeyFactory.getInstance("Ed25519").generatePublic(java.spec.X509EncodedKeySpec(_PUBLIC + public)))
+        s.update(message)
+        return bool(s.verify(signature))
+    except Exception:  # noqa: BLE001  what is no key or no signature does not verify
+        return False

@@ -17,6 +17,13 @@ def source_key(pages: DataFrame) -> DataFrame:
     })
 
 
+def identity_key(keyed: DataFrame, tenant: str, organization: str, mapping: str) -> DataFrame:
+    """The whole key of a source version: tenant, organization, server, type, logical id, version (the
+    query's ``page`` where a url has one), digest and mapping version."""
+    version = F.regexp_extract("url", r"[?&]page=(\d+)", 1)
+    return keyed.withColumn("identity", F.struct(F.lit(tenant).alias("tenant"), F.lit(organization).alias("organization"), "server", "type", "logical", version.alias("version"), "digest", F.lit(mapping).alias("mapping")))
+
+
 def quarantine(keyed: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(accepted, quarantined): a version key with several digests is kept out, never overwritten."""
     n = keyed.groupBy("server", "logical").agg(F.count_distinct("digest").alias("digests"))

@@ -1,10 +1,12 @@
 """Merkle layers of capsules from the source tables. Children hash their parents' ids, so every layer
-is one equi-join on the parent's key; threads of unbounded depth fold their turns in one group."""
+is one equi-join on the parent's key; threads of unbounded depth are read turn by turn."""
 
 from __future__ import annotations
 
+import hashlib
 from functools import reduce
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -88,11 +90,34 @@ def notes(spark: SparkSession, d: str) -> DataFrame:
 
 
 def dialogue_capsules(turns: DataFrame) -> DataFrame:
-    """conv_id, head, n_turns: each turn hashes the head before it, folded over the ordered turns."""
-    rows = turns.select("conv_id", F.struct(F.col("turn"), F.coalesce("role", F.lit("")).alias("role"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("digest")).alias("t"))
-    ordered = rows.groupBy("conv_id").agg(F.sort_array(F.collect_list("t")).alias("ts"))
-    head = F.aggregate("ts", F.lit("").cast("string"), lambda acc, t: F.sha2(F.concat_ws("|", acc, t["turn"].cast("string"), t["role"], t["digest"]), 256))
-    return ordered.select("conv_id", head.alias("head"), F.size("ts").cast("long").alias("n_turns"))
+    """conv_id, head, n_turns: each turn hashes the head before it. Threads are dealt by their id and read in
+    order; what is held of one is its head, so a thread may have any number of turns."""
+    kind = dict(turns.dtypes)["conv_id"]
+    rows = turns.select("conv_id", F.col("turn").cast("string").alias("said"), "turn", F.coalesce("role", F.lit("")).alias("role"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("digest"))
+    ordered = rows.repartition("conv_id").sortWithinPartitions("conv_id", "turn", "role", "digest").select("conv_id", "said", "role", "digest")
+
+    def fold(batches):
+        now, head, n, any_rows, kept = None, "", 0, False, []
+        for batch in batches:
+            for conv, said, role, digest in zip(*(batch.column(c).to_pylist() for c in ("conv_id", "said", "role", "digest")), strict=True):
+                if any_rows and conv != now:
+                    kept.append((now, head, n))
+                    head, n = "", 0
+                now, any_rows = conv, True
+                head = hashlib.sha256("|".join(x for x in (head, said, role, digest) if x is not None).encode()).hexdigest()
+                n += 1
+            if kept:
+                yield _threads(kept, batch.schema.field("conv_id").type)
+                kept = []
+        if any_rows:
+            yield _threads([(now, head, n)], batch.schema.field("conv_id").type)
+
+    return ordered.mapInArrow(fold, f"conv_id {kind}, head string, n_turns long")
+
+
+def _threads(rows: list[tuple], kind: pa.DataType) -> pa.RecordBatch:
+    conv, head, n = zip(*rows, strict=True)
+    return pa.RecordBatch.from_arrays([pa.array(conv, kind), pa.array(head, pa.string()), pa.array(n, pa.int64())], names=["conv_id", "head", "n_turns"])
 
 
 def dictionary(spark: SparkSession, d: str) -> DataFrame:

@@ -69,9 +69,12 @@ def verify_full(packed: DataFrame) -> DataFrame:
     return one.crossJoin(dangling(packed).agg(F.count("*").alias("missing_parents")))
 
 
-def load_scope(packed: DataFrame, root: str, buckets: int = BUCKETS) -> DataFrame:
-    """A scope's whole history in order; prunes to its bucket."""
-    return packed.filter((F.col("pack_bucket") == bucket(F.lit(root), buckets)) & (F.col("scope_root") == root)).orderBy("pack_seq")
+def load_scope(packed: DataFrame, root: str, buckets: int = BUCKETS, large: bool = False) -> DataFrame:
+    """A scope's whole history in order; prunes to its bucket, and in it by the order that files are
+    sorted in. The scope is read and sorted in one task, as one subject's history is small; ``large``
+    sorts one that is not over many."""
+    own = packed.filter((F.col("pack_bucket") == bucket(F.lit(root), buckets)) & (F.col("scope_root") == root))
+    return own.orderBy("pack_seq") if large else own.coalesce(1).sortWithinPartitions("pack_seq")
 
 
 def get(packed: DataFrame, ids: DataFrame) -> DataFrame:

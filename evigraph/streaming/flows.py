@@ -13,8 +13,10 @@ from evigraph.plans.store import path_for
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
-def events(spark: SparkSession, sf_dir: str, name: str = "events") -> DataFrame:
-    s = spark.readStream.schema(EVENTS).option("pathGlobFilter", "*.parquet").parquet(f"{sf_dir}/{name}*.parquet")
+def events(spark: SparkSession, sf_dir: str, name: str = "events", files: int | None = None) -> DataFrame:
+    """The events as a stream; ``files`` a micro-batch, all that are there by default."""
+    reader = spark.readStream.schema(EVENTS).option("pathGlobFilter", "*.parquet")
+    s = (reader.option("maxFilesPerTrigger", files) if files else reader).parquet(f"{sf_dir}/{name}*.parquet")
     return s.withColumn("at", F.col("ts").cast("timestamp"))
 
 
@@ -83,3 +85,16 @@ def scope_projection(spark: SparkSession, sf_dir: str, on_batch: Callable[[DataF
         on_batch(batch.groupBy(F.col("user_id").alias("scope")).agg(F.max("event_id").alias("watermark")))
 
     events(spark, sf_dir).writeStream.foreachBatch(run).option("checkpointLocation", marks).trigger(availableNow=True).start().awaitTermination()
+
+
+def landed(stream: DataFrame, on_batch: Callable[[DataFrame, int], None]) -> int:
+    """Hand each micro-batch and its number to ``on_batch``, until all that is there has been handed on;
+    returns how many there were."""
+    seen: list[int] = []
+
+    def run(batch: DataFrame, n: int) -> None:
+        seen.append(n)
+        on_batch(batch, n)
+
+    stream.writeStream.foreachBatch(run).option("checkpointLocation", path_for(stream.sparkSession, "marks")).trigger(availableNow=True).start().awaitTermination()
+    return len(set(seen))

@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StringType, StructField, StructType
 
+from evigraph.plans.store import path_for, written
 from evigraph.sources.ingest import observed, read
 from evigraph.streaming import flows
 from evigraph.workloads import query
@@ -262,8 +264,138 @@ def stream_interval_join(s, d):
 
 @query("SELECT user_id AS scope, max(event_id) AS watermark FROM events GROUP BY 1")
 def stream_scope_projection(s, d):
-    from evigraph.plans.store import path_for
-
     out = path_for(s, "touched")
     flows.scope_projection(s, d, lambda touched: touched.write.mode("append").parquet(out))
     return s.read.parquet(out).groupBy("scope").agg(F.max("watermark").alias("watermark"))
+
+
+# sources and sinks
+
+
+def _through(df: DataFrame, kind: str, **options) -> DataFrame:
+    """Write in a format, and read back with the same columns."""
+    path = path_for(df.sparkSession, kind)
+    df.write.options(**options).format(kind).save(path)
+    return df.sparkSession.read.options(**options).schema(df.schema).format(kind).load(path)
+
+
+_ORDER = "SELECT o_orderkey, o_orderstatus, o_orderpriority, CAST(round(o_totalprice * 100) AS BIGINT) AS cents FROM orders"
+
+
+def _orders(s, d) -> DataFrame:
+    return read(s, d, "orders").select("o_orderkey", "o_orderstatus", "o_orderpriority", F.round(F.col("o_totalprice") * 100).cast("long").alias("cents"))
+
+
+for _kind, _options in (("json", {}), ("csv", {"header": "true"}), ("orc", {})):
+    query(_ORDER, f"op_source_{_kind}")(lambda s, d, kind=_kind, options=_options: _through(_orders(s, d), kind, **options))
+
+
+@query("SELECT doc_id, len(string_split(text, chr(10))) AS lines FROM documents WHERE text IS NOT NULL AND doc_id % 10 = 0")
+def op_source_text(s, d):
+    """Lines of text files, one folder a document, counted by the folder they came from."""
+    docs, path = read(s, d, "documents").filter("text is not null and doc_id % 10 = 0"), path_for(s, "text")
+    docs.select("doc_id", F.explode(F.split("text", "\n")).alias("value")).write.partitionBy("doc_id").text(path)
+    return s.read.text(path).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.count("*").alias("lines"))
+
+
+@query("SELECT n_name AS name, length(n_name) + 1 AS bytes FROM nation")
+def op_source_binary(s, d):
+    """Whole files as binary rows with their sizes."""
+    path = path_for(s, "binary")
+    read(s, d, "nation").select("n_name", F.col("n_name").alias("value")).write.partitionBy("n_name").text(path)
+    files = s.read.format("binaryFile").option("recursiveFileLookup", "true").option("pathGlobFilter", "*.txt").load(path)
+    return files.filter("length > 0").select(F.trim(F.decode("content", "UTF-8"), F.lit("\n")).alias("name"), F.col("length").cast("long").alias("bytes"))
+
+
+@query("SELECT CAST(p AS INTEGER) AS page, count(*) AS n FROM range(3, 8) a(p), range(0, 40) GROUP BY 1")
+def op_source_paged(s, d):
+    """The paged source of our own, from its third page on."""
+    from evigraph.sources.paged import PagedSource
+
+    s.dataSource.register(PagedSource)
+    return s.read.format("evigraph_paged").options(pages=8, size=40, since=2).load().groupBy("page").agg(F.count("*").alias("n"))
+
+
+@query("SELECT o_orderstatus AS status, count(*) AS n, 1 AS files FROM orders GROUP BY 1")
+def op_sink_compaction(s, d):
+    """Many small files of a partition, overwritten by one each; partitions that are not written stay."""
+    from evigraph.plans.baselines import laid_out
+
+    path = path_for(s, "compacted")
+    o = read(s, d, "orders").select(F.col("o_orderkey").alias("capsule_id"), F.col("o_orderstatus").alias("status"))
+    o.repartition(6).write.partitionBy("status").parquet(path)
+    whole = written(s.read.parquet(path))
+    whole.repartition("status").write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("status").parquet(path)
+    got = s.read.parquet(path)
+    assert laid_out(got).first()["files"] < 6 * 3
+    return got.groupBy("status").agg(F.count("*").alias("n"), F.count_distinct(F.col("_metadata.file_path")).cast("int").alias("files"))
+
+
+@query("SELECT c_mktsegment AS segment, count(*) AS n FROM customer GROUP BY 1")
+def op_sink_bucketed(s, d):
+    """A bucketed and sorted table, joined to itself on the bucket column without an exchange of it."""
+    name = f"evigraph_bucketed_{path_for(s, 'b').rpartition('-')[2]}"
+    read(s, d, "customer").write.bucketBy(4, "c_custkey").sortBy("c_custkey").format("parquet").option("path", path_for(s, "bucketed")).saveAsTable(name)
+    t = s.table(name)
+    out = written(t.join(t.select("c_custkey"), "c_custkey").groupBy(F.col("c_mktsegment").alias("segment")).agg(F.count("*").alias("n")))
+    s.sql(f"DROP TABLE {name}")
+    return out
+
+
+# windows, functions and views that the methods lean on
+
+
+@query("SELECT o_orderkey, CAST(round(percent_rank() OVER w * 1000000) AS BIGINT) AS pr, CAST(round(cume_dist() OVER w * 1000000) AS BIGINT) AS cd, coalesce(nth_value(o_orderkey, 2) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING), -1) AS second FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate)")
+def op_window_shares(s, d):
+    w = Window.partitionBy("o_custkey").orderBy("o_orderdate")
+    whole = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    micro = lambda c: F.round(c * 1_000_000).cast("long")
+    return read(s, d, "orders").select("o_orderkey", micro(F.percent_rank().over(w)).alias("pr"), micro(F.cume_dist().over(w)).alias("cd"), F.coalesce(F.nth_value("o_orderkey", 2).over(whole), F.lit(-1)).alias("second"))
+
+
+@query("SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL 1 DAY PRECEDING AND CURRENT ROW) AS n FROM events")
+def op_window_range(s, d):
+    """Events of the user in the day up to each, by a frame of time."""
+    read(s, d, "events").createOrReplaceTempView("surface_events_by_time")
+    return s.sql("SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL 1 DAY PRECEDING AND CURRENT ROW) AS n FROM surface_events_by_time")
+
+
+@query("SELECT o_orderstatus AS status, count(*) AS n, sum(o_orderkey)::BIGINT AS total FROM orders GROUP BY 1")
+def op_grouped_pandas(s, d):
+    """A grouped aggregate in pandas beside the native one."""
+    @F.pandas_udf("long")
+    def total(x: pd.Series) -> int:
+        return int(x.sum())
+
+    return read(s, d, "orders").groupBy(F.col("o_orderstatus").alias("status")).agg(total("o_orderkey").alias("total")).join(read(s, d, "orders").groupBy(F.col("o_orderstatus").alias("status")).agg(F.count("*").alias("n")), "status")
+
+
+@query("SELECT c_custkey AS key, 'bad_crc' AS fault FROM customer WHERE c_custkey % 25 = 0")
+def op_udtf_frames(s, d):
+    """Frames checked by a table function called from SQL."""
+    import zlib
+
+    from evigraph.sources import ingest, pack
+
+    kind = StructType([StructField("key", LongType()), StructField("fault", StringType())])
+
+    class VerifyFrames:
+        def eval(self, key: int, content: str, crc: int):
+            if zlib.crc32(content.encode()) != crc:
+                yield key, "bad_crc"
+
+    s.udtf.register("verify_frames", F.udtf(VerifyFrames, returnType=kind))
+    f = pack.frames(ingest.subjects(s, d)).withColumn("key", F.get_json_object("body", "$.key").cast("long"))
+    content = F.concat_ws("|", "capsule_id", "kind", "body", F.col("clinical_us").cast("string"), F.array_join("parents", ","), "amends", "retracts", "author_id")
+    f.select("key", content.alias("content"), (F.col("frame_crc") + (F.col("key") % 25 == 0).cast("int")).alias("crc")).createOrReplaceTempView("surface_frames")
+    return s.sql("SELECT v.* FROM surface_frames f, LATERAL verify_frames(f.key, f.content, f.crc) v")
+
+
+@query("SELECT user_id AS scope, count(*) AS n FROM events WHERE CAST(json_extract(props, '$.k') AS INTEGER) < 90 GROUP BY 1")
+def op_secure_view(s, d):
+    """A view with the caller's clearance built in: SQL over it cannot reach what the caller may not see."""
+    from evigraph.operators import clearance
+    from evigraph.workloads import event_nodes
+
+    clearance.visible(event_nodes(s, d), clearance.Caller("nurse")).createOrReplaceTempView("nodes_for_nurse")
+    return s.sql("SELECT scope, count(*) AS n FROM nodes_for_nurse GROUP BY scope")

@@ -718,7 +718,7 @@ def truncation_causes(s, d):
     return measures.truncation(_context(s, d).truncated)
 
 
-@query()
+@query(O.CONTEXT + f", o AS (SELECT anchor, node, hop, row_number() OVER (PARTITION BY anchor ORDER BY hop, node) AS ord FROM got1) SELECT anchor, string_agg(node || '@' || hop || CASE WHEN hop = 0 THEN '(anchor)' ELSE '(link:{L.R1.rule_id()})' END, ';' ORDER BY ord) AS text FROM o GROUP BY 1")
 def render_context(s, d):
     return retrieval.render(_context(s, d).nodes)
 
@@ -745,7 +745,7 @@ def identity_candidates(s, d):
 
 @query(_OWN + "SELECT content_id, count(*) AS owners FROM o GROUP BY 1 HAVING count(*) > 1")
 def same_object(s, d):
-    return identity.same_object(_owners(s, d)).select("content_id", F.size("owners").cast("long").alias("owners"))
+    return identity.same_object(_owners(s, d))
 
 
 @query(_OWN + ", ok AS (SELECT a, b FROM pair WHERE (a + b) % 4 <> 3), l AS (SELECT a AS root, b AS linked_root FROM ok UNION SELECT b, a FROM ok UNION SELECT c_custkey, c_custkey FROM customer) SELECT root, linked_root FROM l WHERE root IN (SELECT c_custkey FROM customer)")
@@ -761,6 +761,19 @@ def evidence_truth(s, d):
     return _truth(s, d).groupBy("item_id").agg(F.count("*").alias("n"))
 
 
+_COSINE = """WITH v AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings), c AS (SELECT a.vec_id AS query_id, b.vec_id, CAST(round(list_dot_product(a.e, b.e) / (sqrt(list_dot_product(a.e, a.e)) * sqrt(list_dot_product(b.e, b.e))) * 1000000) AS BIGINT) AS sim FROM v a JOIN v b ON a.vec_id <> b.vec_id WHERE a.vec_id % 20 = 0),
+r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY sim DESC, vec_id) AS rank FROM c) SELECT query_id, vec_id, sim, rank FROM r WHERE rank <= """
+_BM25 = """WITH t AS (SELECT doc_id, [w FOR w IN string_split(lower(regexp_replace(coalesce(text, ''), '[^\\p{L}0-9]+', ' ', 'g')), ' ') IF w <> ''] AS ts FROM documents),
+p AS (SELECT doc_id, len, term, count(*) AS tf FROM (SELECT doc_id, len(ts) AS len, unnest(ts) AS term FROM t) GROUP BY ALL), df AS (SELECT term, count(*) AS df FROM p GROUP BY 1), m AS (SELECT count(*) AS n, avg(len(ts)) AS mean FROM t),
+q AS (SELECT DISTINCT item_id, unnest([w FOR w IN string_split(lower(regexp_replace(text, '[^\\p{L}0-9]+', ' ', 'g')), ' ') IF w <> '']) AS term FROM benchmark),
+s AS (SELECT item_id, doc_id, CAST(sum(CAST(round(1000 * ln(1 + (n - df + 0.5) / (df + 0.5)) * tf * 2.2 / (tf + 1.2 * (0.25 + 0.75 * len / mean))) AS BIGINT)) AS BIGINT) AS score FROM q JOIN p USING (term) JOIN df USING (term), m GROUP BY 1, 2),
+found AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY item_id ORDER BY score DESC, doc_id) AS rank FROM s) WHERE rank <= {k}) """
+
+
+def _bm25(k: int) -> str:
+    return _BM25.replace("{k}", str(k))
+
+
 def _truth(s, d):
     docs, b = ingest.read(s, d, "documents").select("doc_id", F.col("text").alias("t")), ingest.read(s, d, "benchmark")
     words = lambda c: F.array_distinct(search.terms(F.coalesce(c, F.lit(""))))
@@ -771,17 +784,17 @@ def _truth(s, d):
     return post.filter(F.contains("t", "text")).select("item_id", "doc_id").distinct()
 
 
-@query()
+@query(_bm25(5) + "SELECT item_id, doc_id, score, rank FROM found")
 def fts_resolve(s, d):
     return B.lexical_rag(ingest.read(s, d, "documents"), ingest.read(s, d, "benchmark"), 5)
 
 
-@query()
+@query(_bm25(5) + ", truth AS (SELECT item_id, doc_id FROM benchmark b JOIN documents d ON contains(d.text, b.text)) SELECT (SELECT count(*) FROM truth) AS truth, (SELECT count(*) FROM found) AS returned, (SELECT count(*) FROM found SEMI JOIN truth USING (item_id, doc_id)) AS hits")
 def evidence_recall(s, d):
     return measures.evidence_recall(B.lexical_rag(ingest.read(s, d, "documents"), ingest.read(s, d, "benchmark"), 5), _truth(s, d))
 
 
-@query()
+@query(_COSINE + "10")
 def vector_topk(s, d):
     """Queries are the rows whose id is divisible by 20, against all rows."""
     v = ingest.read(s, d, "embeddings")
@@ -835,13 +848,13 @@ def ingest_root_check(s, d):
 # baselines
 
 
-@query()
+@query(_COSINE + "5")
 def base_vector_rag(s, d):
     v = ingest.read(s, d, "embeddings")
     return B.vector_rag(v, v.filter("vec_id % 20 = 0"), 5)
 
 
-@query()
+@query(_bm25(3) + "SELECT item_id, doc_id, score, rank FROM found")
 def base_lexical_rag(s, d):
     return B.lexical_rag(ingest.read(s, d, "documents"), ingest.read(s, d, "benchmark"), 3)
 

@@ -179,4 +179,76 @@ def test_entry_contract(spark, sf):
     import __spark_entry__ as e
 
     assert e.entry(spark).count() > 0
-    assert set(e.oracle_sql()) <= set(e.queries()) and len(e.queries()) > 140
+    assert set(e.oracle_sql()) <= set(e.queries()) and len(e.queries()) > 230
+
+
+def test_store_reopens_repeats_and_refuses(spark, sf):
+    tags = event_tags(spark, sf)
+    marks = tags.groupBy("scope").agg(F.max("us").alias("watermark"))
+    store = projection.Store(spark)
+    run = projection.project_scopes(store, tags, marks, [links.R1], "g1")
+    assert projection.project_scopes(projection.Store(spark, store.root), tags, marks, [links.R1], "g1") == run
+    want = links.derive(tags, links.R1).count()
+    assert store.links().count() == want and store.manifests().count() == 1
+    projection.project_scopes(projection.Store(spark, store.root), tags, marks, [links.R2], "g2")
+    assert {r["generation"] for r in store.state().collect()} == {"g2"}
+    assert store.compacted().links().count() == store.links().count()
+    other = projection.project_scopes(store, tags.withColumn("k", F.col("k") + 1), marks, [links.R1], "g1")
+    assert other != run  # other facts, another run
+
+
+def test_cycle_check_closure_and_roots_over_long_chains(spark):
+    chain = spark.createDataFrame([(f"n{k + 1}", f"n{k}") for k in range(45)], "child string, parent string")
+    assert structure.check_dag(chain).count() == 0
+    ring = chain.unionByName(spark.createDataFrame([("n10", "n20")], "child string, parent string"))
+    assert {r["node"] for r in structure.check_dag(ring).collect()} == {f"n{k}" for k in range(10, 21)}
+    far = structure.closure(spark.createDataFrame([("n0",)], "seed string"), chain).agg(F.max("distance")).first()[0]
+    assert far == 45 and structure.closure(spark.createDataFrame([("n15",)], "seed string"), ring).filter("distance > 0").count() == 35
+    c = chain.groupBy(F.col("child").alias("capsule_id")).agg(F.collect_list("parent").alias("parents")).unionByName(spark.createDataFrame([("n0", [])], "capsule_id string, parents array<string>")).withColumn("scope_root", F.lit("n0"))
+    assert {tuple(r["roots"]) for r in structure.scope_of(c).collect()} == {("n0",)}
+
+
+def test_links_of_an_amended_record_lead_to_the_current_one(spark):
+    nodes = spark.createDataFrame([(1, 1, 0, 1, 1), (2, 1, 0, 3, 1), (3, 1, 0, 3, 1), (4, 1, 0, None, 1), (5, 1, 2, 5, 1)], "node long, scope long, level int, current long, tokens long")
+    ls = spark.createDataFrame([(1, 1, 2, 0, 9, "r"), (1, 2, 3, 0, 9, "r"), (1, 1, 4, 0, 8, "r"), (1, 3, 5, 1, 8, "r")], "scope long, src long, dst long, rank_severity int, score long, rule_id string")
+    r = retrieval.retrieve_many(spark.createDataFrame([(7, 1, 1)], "anchor long, node long, scope long"), nodes, ls, clearance.Caller("nurse"))
+    assert {(x["node"], x["hop"], x["via"]) for x in r.nodes.collect()} == {(1, 0, None), (3, 1, 1)} and r.report.first()["complete"]
+    old = retrieval.retrieve_many(spark.createDataFrame([(7, 2, 1)], "anchor long, node long, scope long"), nodes, ls, clearance.Caller("nurse"))
+    assert {(x["node"], x["hop"]) for x in old.nodes.collect()} == {(3, 0), (1, 1)}
+
+
+def test_spine_of_a_context_stops_at_hidden_containers(spark):
+    nodes = spark.createDataFrame([(k, 1, 2 if k == 3 else 0, k, 1) for k in range(1, 8)], "node long, scope long, level int, current long, tokens long")
+    spine = spark.createDataFrame([(2, 1), (3, 1), (4, 2), (5, 3), (6, 4), (7, 6)], "child long, parent long")
+    none = spark.createDataFrame([], "scope long, src long, dst long, rank_severity int, score long, rule_id string")
+    r = retrieval.retrieve_many(spark.createDataFrame([(9, 1, 1)], "anchor long, node long, scope long"), nodes, none, clearance.Caller("nurse"), retrieval.Limits(down=2), spine=spine)
+    assert {(x["node"], x["reason"]) for x in r.nodes.collect()} == {(1, "anchor"), (2, "spine:down"), (4, "spine:down")}
+    assert {(x["node"], x["cause"]) for x in r.truncated.collect()} == {(6, "spine")}
+
+
+def test_spans_of_the_window_lose_no_pair(spark):
+    rows = [(k, 1, k * 7_000_000_000 * (1 + k % 3), k % 5, "etype", "x") for k in range(120)]
+    tags = spark.createDataFrame(rows, "node long, scope long, us long, k int, ns string, code string")
+    got = {(r["src"], r["dst"]) for r in links.candidates(tags, links.R1).collect()}
+    at = {r[0]: r[2] for r in rows}
+    want = {(a, b) for a in at for b in at if (at[a], a) < (at[b], b) and at[b] - at[a] <= links.R1.window_us}
+    assert got == want and links.candidates(tags, links.R1).count() == len(want)
+
+
+def test_jvm_signatures_agree(spark):
+    seed, message = bytes(range(32)), b"said"
+    public = trust.public_key(seed)
+    assert trust.jvm_sign(spark, seed, message) == trust.sign(seed, message)
+    assert trust.jvm_verify(spark, public, message, trust.sign(seed, message)) and not trust.jvm_verify(spark, public, b"other", trust.sign(seed, message))
+    assert not trust.jvm_verify(spark, b"short", message, b"x")
+
+
+def test_canonical_numbers_and_keys():
+    assert canonical_text('[333333333.33333329,1E30,4.50,2e-3,0.000000000000000000000000001,-0.0,1e21,123456789012345680000,1e-7]') == "[333333333.3333333,1e+30,4.5,0.002,1e-27,0,1e+21,123456789012345680000,1e-7]"
+    assert canonical_text('{"\\u20ac":1,"\\ud83d\\ude00":2,"\\ufb33":3}') == '{"€":1,"😀":2,"דּ":3}'
+
+
+def test_communities_report(spark):
+    m = spark.createDataFrame([(d, e) for d in range(3) for e in ("aa", "bb")] + [(5, "aa")], "doc_id long, entity string")
+    r = baselines.community_reports(m, spark.createDataFrame([("aa", "aa"), ("bb", "aa")], "entity string, community string")).collect()
+    assert [(x["entities"], x["documents"], x["report"]) for x in r] == [(2, 4, "aa (4), bb (3)")]
