@@ -11,6 +11,8 @@ come from a bounded sample and affect cost alone.
 A block pair gives, per point, the number of vectors linked and one star of links per connected part,
 so what leaves it is linear in its points however dense it is.
 
+Cosines may lie exactly at the limit: such pairs link. Extra columns are ignored.
+
 Defined results: vectors that are null, zero, or hold null or non-finite components, and rows with a
 null label, link with nothing and are their own component; vectors of other lengths are only compared
 with those of their own; repeated vec_ids count as vectors of their own and share a component; a null
@@ -23,6 +25,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -33,8 +36,11 @@ BLOCK, AXES, SAMPLE, LEAF = 2048, 16, 20_000, 256
 
 
 def axes(points: DataFrame) -> np.ndarray:
-    """Leading principal axes of at most ``SAMPLE`` points of the commonest length."""
-    rows = points.orderBy(F.xxhash64("vector")).limit(SAMPLE).select("vector").toPandas()["vector"].tolist()
+    """Leading principal axes of about ``SAMPLE`` points, those of the least hashes, of the commonest
+    length."""
+    share = SAMPLE / max(1, points.count())
+    some = points if share >= 1 else points.filter(F.xxhash64("vector") < int(-(1 << 63) + share * (1 << 64)))
+    rows = some.select("vector").toPandas()["vector"].tolist()
     if not rows:
         return np.zeros((0, 0))
     size = max({len(r) for r in rows}, key=[len(r) for r in rows].count)
@@ -44,17 +50,37 @@ def axes(points: DataFrame) -> np.ndarray:
     return vectors[:, ::-1][:, :AXES]
 
 
+def _rows(vectors: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Components of a list column end to end, the bounds of its rows in them, and which rows can link:
+    not null or empty, all components finite, one at least not zero."""
+    n = len(vectors)
+    valid = np.asarray(vectors.is_valid())
+    lists = vectors.cast(pa.large_list(pa.float64()))
+    size = np.where(valid, np.nan_to_num(np.asarray(lists.value_lengths().fill_null(0), float)).astype(np.int64), 0)
+    bounds = np.concatenate([[0], np.cumsum(size)])
+    flat = lists.flatten()
+    x = flat.to_numpy(zero_copy_only=False).astype(np.float64)  # a null component becomes nan
+    count = lambda mask: np.diff(np.concatenate([[0], np.cumsum(mask)])[bounds])
+    ok = valid & (size > 0) & (count(~np.isfinite(x)) == 0) & (count(x != 0) > 0) if n else np.zeros(0, bool)
+    return x, bounds, ok
+
+
 def _points(vectors: DataFrame) -> DataFrame:
-    """vec_id, label, vector (its components as bytes; null if it can't link)."""
+    """vec_id, label, vector (its components as bytes; null if it can't link). Vectors are scaled by the
+    power of two that brings their largest component near 1: exact, and no square leaves the doubles."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = []
-            for label, v in zip(batch.column("label").to_pylist(), batch.column("embedding").to_pylist(), strict=True):
-                ok = label is not None and v and None not in v
-                x = np.array(v, np.float64) if ok else None
-                with np.errstate(over="ignore"):
-                    out.append((x + 0.0).tobytes() if ok and np.isfinite(x).all() and x.any() and np.isfinite(x @ x) else None)
-            yield pa.RecordBatch.from_arrays([batch.column("vec_id"), batch.column("label"), pa.array(out, pa.binary())], names=["vec_id", "label", "vector"])
+            x, bounds, ok = _rows(batch.column("embedding"))
+            ok &= np.asarray(batch.column("label").is_valid())
+            size = np.where(ok, np.diff(bounds), 0)
+            owner = np.repeat(np.arange(len(ok)), np.diff(bounds))
+            x, owner = x[ok[owner]], owner[ok[owner]]
+            high = np.zeros(len(ok))
+            np.maximum.at(high, owner, np.abs(x))
+            x = np.ldexp(x, -np.frexp(high)[1][owner]) + 0.0  # no negative zero
+            at = np.concatenate([[0], np.cumsum(size * 8)]).astype(np.int64)
+            binary = pa.Array.from_buffers(pa.large_binary(), len(ok), [pa.py_buffer(np.packbits(ok, bitorder="little").tobytes()), pa.py_buffer(at.tobytes()), pa.py_buffer(x.tobytes())])
+            yield pa.RecordBatch.from_arrays([batch.column("vec_id"), batch.column("label"), binary.cast(pa.binary())], names=["vec_id", "label", "vector"])
 
     kinds = dict(vectors.dtypes)
     return vectors.select("vec_id", "label", "embedding").mapInArrow(run, f"vec_id {kinds['vec_id']}, label {kinds['label']}, vector binary")
@@ -77,11 +103,15 @@ def _blocks(points: DataFrame, turn: np.ndarray, eps: float) -> DataFrame:
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            cells = []
-            for v in batch.column("vector").to_pylist():
-                y = _turned(np.frombuffer(v, np.float64)[None, :], turn)[0, :depth]
-                cells.append(np.floor(y / eps).astype(np.int32).tolist())
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(cells, pa.list_(pa.int32()))], names=[*batch.schema.names, "cell"])
+            vector = batch.column("vector")
+            size = pc.binary_length(vector).to_numpy(zero_copy_only=False)
+            cells = np.zeros((len(size), depth), np.int32)
+            for length in np.unique(size):
+                own = np.flatnonzero(size == length)
+                x = np.frombuffer(b"".join(vector.take(pa.array(own)).to_pylist()), np.float64).reshape(len(own), -1)
+                cells[own] = np.floor(_turned(x, turn)[:, :depth] / eps).astype(np.int32)
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, depth * len(size) + 1, depth or 1, dtype=np.int32)[: len(size) + 1] if depth else np.zeros(len(size) + 1, np.int32)), pa.array(cells.ravel()))
+            yield pa.RecordBatch.from_arrays([*batch.columns, lists], names=[*batch.schema.names, "cell"])
 
     kinds = dict(points.dtypes)
     placed = points.mapInArrow(place, f"point long, label {kinds['label']}, vector binary, n long, cell array<int>")
@@ -200,13 +230,19 @@ def join(vectors: DataFrame, least: float = 0.98) -> DataFrame:
     turn = axes(points)
     blocks = common.written(_blocks(points.select("point", "label", "vector", "n"), turn, eps))
     boxes = blocks.select("block", "label", "size", "low", "high")
-    # blocks meet where they share a cell of the first axis; a block counts as in every cell it spans or touches
-    first = lambda c, off: F.floor((F.coalesce(F.get(c, F.lit(0)), F.lit(0.0)) + off) / eps).cast("long")
-    left = boxes.withColumn("cell", F.explode(F.sequence(first("low", 0.0), first("high", 0.0))))
-    right = boxes.select(*(F.col(c).alias(f"{c}2") for c in boxes.columns)).withColumn("cell2", F.explode(F.sequence(first("low2", -eps), first("high2", eps))))
+    # blocks meet in the first cell of the two leading axes that both span or touch, so each pair meets once
+    cell = lambda c, k, off: F.floor((F.coalesce(F.get(c, F.lit(k)), F.lit(0.0)) + off) / eps).cast("long")
+
+    def spread(df: DataFrame, end: str, off: float) -> DataFrame:
+        for k in (0, 1):
+            df = df.withColumn(f"from{k}{end}", cell(f"low{end}", k, -off)).withColumn(f"cell{k}", F.explode(F.sequence(F.col(f"from{k}{end}"), cell(f"high{end}", k, off))))
+        return df
+
+    left = spread(boxes, "", 0.0)
+    right = spread(boxes.select("label", "size", *(F.col(c).alias(f"{c}2") for c in ("block", "low", "high"))), "2", eps)
     gap = F.aggregate(F.zip_with(F.zip_with("low", "high2", lambda a, b: a - b), F.zip_with("low2", "high", lambda a, b: a - b), lambda a, b: F.greatest(a, b, F.lit(0.0))), F.lit(0.0), lambda s, g: s + g * g)
-    near = left.join(right, (F.col("label") == F.col("label2")) & (F.col("size") == F.col("size2")) & (F.col("cell") == F.col("cell2")) & (F.col("block") <= F.col("block2")))
-    near = near.filter(gap <= eps * eps * (1 + 1e-9) + 1e-12).select("block", "block2").distinct()
+    near = left.join(right, ["label", "size", "cell0", "cell1"]).filter((F.col("block") <= F.col("block2")) & (F.col("cell0") == F.greatest("from0", "from02")) & (F.col("cell1") == F.greatest("from1", "from12")))
+    near = near.filter(gap <= eps * eps * (1 + 1e-9) + 1e-12).select("block", "block2")
     full = blocks.select("block", "size", "ids", "counts", "vectors")
     other = full.select(*(F.col(c).alias(f"{c}2") for c in ("block", "ids", "counts", "vectors")))
     # a few pairs to a task: comparing is what takes time
