@@ -37,6 +37,9 @@ from evigraph.llm import common, text
 BUCKETS, FREQUENT, BLOCK = 1 << 22, 100_000, 64
 #: Prefix tokens that must agree, and the bits of the filter that spares the reading of other documents.
 SHARED, FILTER_BITS = 3, 1 << 24
+#: Large groups, and blocks that many classes ask, whose sizes are broadcast at most (more are joined by
+#: shuffle), and classes that ask a block in one task.
+GROUPS, QUERIES = 100_000, 256
 
 
 def _sets(part: pa.RecordBatch, size: int) -> list[np.ndarray]:
@@ -67,10 +70,18 @@ def frequency_levels(docs: DataFrame, size: int) -> np.ndarray:
             high = high[np.argpartition(total[high], -(FREQUENT // 4))[-(FREQUENT // 4) :]]
         yield pa.RecordBatch.from_arrays([pa.array(high.astype(np.int64)), pa.array(total[high].astype(np.int64))], names=["bucket", "n"])
 
-    top = docs.select("text").mapInArrow(count, "bucket long, n long").groupBy("bucket").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "bucket").limit(FREQUENT)
+    top = common.written(docs.select("text").mapInArrow(count, "bucket long, n long").groupBy("bucket").agg(F.sum("n").alias("n")))
+    top = top.withColumn("level", F.least(F.lit(255), 1 + F.floor(8 * F.log2(F.col("n").cast("double")))).cast("int"))
+    # the levels that at most FREQUENT buckets reach; the rest of the table stays where it is
+    least, seen = 256, 0
+    for r in sorted(top.groupBy("level").agg(F.count("*").alias("c")).collect(), reverse=True):
+        seen += r["c"]
+        if seen > FREQUENT:
+            break
+        least = r["level"]
     levels = np.zeros(BUCKETS, np.uint8)
-    for r in top.collect():
-        levels[r["bucket"]] = min(255, 1 + int(8 * np.log2(r["n"])))
+    for r in top.filter(F.col("level") >= least).select("bucket", "level").collect():
+        levels[r["bucket"]] = r["level"]
     return levels
 
 
@@ -189,10 +200,11 @@ def join(docs: DataFrame, size: int = 3, num: int = 90, den: int = 100) -> DataF
     tied = common.components(found).select("id", F.col("component_id").alias("tie"))
 
     # groups: the least leader of a class's lists; blocks: bounded parts of a group
-    grouped = postings.join(leaders, ["token", "band"]).groupBy("id", "n").agg(F.min("l.id").alias("grp"))
-    sized = grouped.groupBy("grp").agg(F.count("*").alias("m"))
-    part = F.pmod(F.xxhash64("id"), F.ceil(F.col("m") / (BLOCK // 2)).cast("long")).cast("int")
-    member = grouped.join(sized, "grp").select("id", F.struct("grp", part.alias("part")).alias("block"))
+    grouped = common.written(postings.join(leaders, ["token", "band"]).groupBy("id", "n").agg(F.min("l.id").alias("grp")))
+    # groups that need more than one block are few, so that a large group is not dealt to one task
+    sized = grouped.groupBy("grp").agg(F.count("*").alias("m")).filter(F.col("m") > BLOCK // 2)
+    part = F.pmod(F.xxhash64("id"), F.ceil(F.coalesce("m", F.lit(1)) / (BLOCK // 2)).cast("long")).cast("int")
+    member = common.joined_checked(grouped, sized, ["grp"], "left", GROUPS).select("id", F.struct("grp", part.alias("part")).alias("block"))
     member = common.written(member.join(tied, "id", "left").withColumn("tie", F.coalesce("tie", "id")))
 
     # cells of the matrix: a class and a block whose prefixes share enough
@@ -217,7 +229,12 @@ def join(docs: DataFrame, size: int = 3, num: int = 90, den: int = 100) -> DataF
         return (m["tie"] != F.col("tie")) & (i * den >= (F.size(m["tokens"]) + F.size("tokens") - i) * num)
 
     hit = F.array_distinct(F.transform(F.filter("members", close), lambda m: m["tie"]))
-    bound = cells.join(sets, "id").join(blocks, "block").filter(F.size(F.array_intersect("tokens", "union")) * den >= F.size("tokens") * num)
+    # a block that many classes ask is opened in several tasks, each for a part of them
+    asked = common.written(cells.groupBy("block").agg(F.count("*").alias("asked")).filter(F.col("asked") > QUERIES).select("block", F.ceil(F.col("asked") / QUERIES).cast("long").alias("turns")))
+    turns = F.coalesce("turns", F.lit(1).cast("long"))
+    dealt = common.joined_checked(cells, asked, ["block"], "left", GROUPS).withColumn("turn", F.pmod(F.xxhash64("id"), turns)).drop("turns")
+    blocks = common.joined_checked(blocks, asked, ["block"], "left", GROUPS).withColumn("turn", F.explode(F.sequence(F.lit(0).cast("long"), turns - 1))).drop("turns")
+    bound = dealt.join(sets, "id").join(blocks, ["block", "turn"]).filter(F.size(F.array_intersect("tokens", "union")) * den >= F.size("tokens") * num)
     met = bound.select(F.col("tie").alias("a"), F.explode(hit).alias("b")).distinct()
     # classes tied to each other stand for one another, so links join their ties
     links = common.written(tied.select(F.col("id").alias("a"), F.col("tie").alias("b")).unionByName(met))
