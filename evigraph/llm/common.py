@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
+import contextlib
+import os
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -34,9 +37,26 @@ def shared_dir(spark: SparkSession) -> str:
     return named
 
 
+def _clear() -> None:
+    """Remove the tables of this process, as nothing reads them once it ends."""
+    if not _TABLES or os.getpid() != _OWNER:
+        return
+    with contextlib.suppress(Exception):
+        spark = SparkSession.getActiveSession()
+        for path in _TABLES if spark is not None else ():
+            at = spark._jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(at, True)
+
+
+_TABLES: list[str] = []
+_OWNER = os.getpid()
+atexit.register(_clear)
+
+
 def written(df: DataFrame) -> DataFrame:
     """Cut the lineage: write ``df`` as a table into the shared folder and read it back."""
     path = f"{shared_dir(df.sparkSession)}/t-{uuid.uuid4().hex}"
+    _TABLES.append(path)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
