@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 
 from evigraph.llm import common, text
 
-HOT, CLASSES, ROUNDS = 50_000, 16, 3
+HOT, CLASSES, ROUNDS = 50_000, 16, 2
 #: How many counts the scores of all classes are worth to a class, and the first scores to all classes.
 HELD, FIRST = 200.0, 50.0
 _U = np.uint64
@@ -178,7 +178,7 @@ class Lattice:
         return np.bincount((self.piece * 2 + self.last) * width + c, weights=used, minlength=size * 2 * width).reshape(size, 2, width)
 
 
-def _batches(words: list[bytes], cells: int = 150_000) -> Iterator[np.ndarray]:
+def _batches(words: list[bytes], cells: int = 80_000) -> Iterator[np.ndarray]:
     """Runs of words of like length whose tables stay small."""
     order = np.argsort([len(w) for w in words], kind="stable")
     begin = 0
