@@ -513,9 +513,73 @@ def test_pipeline_stages_against_brute(spark, sf, tmp_path):
                 if d in rows and t:
                     assert rows[d].count("\n") + 1 == want[d][0] - want[d][1] - want[d][2]
         if k == 2:
-            want = jaccard_join.brute([tuple(r) for r in docs.select("doc_id", "text").collect()])
+            want = jaccard_join.brute([tuple(r) for r in docs.select("doc_id", "text").collect()], 5, 80, 100)
             assert {r["doc_id"] for r in out.collect()} == {d for d, (_, c) in want.items() if c == d}
         if k == 3:
             items = [tuple(r) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
             assert {r["doc_id"] for r in out.collect()} == {r["doc_id"] for r in docs.collect() if not decontamination.brute(r["text"], items)["contaminated"]}
         docs = out
+
+
+def test_embedding_ties_repeated_and_null_ids(spark):
+    a, b = [1.0, 0.0, 0.0, 0.0], [49.0, 9.0, 3.0, 3.0]  # their cosine is 49 / 50
+    rows = [
+        (10, a, 1), (11, b, 1), (12, [49.0, 9.0, 3.0, 3.1], 1), (13, [2.0, 0.0, 0.0, 0.0], 1), (20, [1e200, 1e200, 0.0, 0.0], 2), (21, [1.0, 1.0, 0.0, 0.0], 2),
+        (22, [1e-200, 1e-200, 0.0, -0.0], 2), (30, a, 3), (30, a, 3), (None, a, 3), (31, None, 3), (32, [], 3), (33, [None, 1.0], 3), (34, [float("inf"), 1.0], 3),
+    ]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int").withColumns({"n": F.lit(1), "point": F.lit("x"), "n_links": F.lit(2)})
+    got = sorted((r["vec_id"] or 0, r["n_links"], r["component_id"] or 0, r["kept"]) for r in embedding_join.join(df).collect())
+    assert got == [
+        (0, 0, 0, False), (10, 2, 10, True), (11, 3, 10, False), (12, 1, 10, False), (13, 2, 10, False), (20, 2, 20, True), (21, 2, 20, False), (22, 2, 20, False),
+        (30, 1, 30, True), (30, 1, 30, True), (31, 0, 31, True), (32, 0, 32, True), (33, 0, 33, True), (34, 0, 34, True),
+    ]
+
+
+def test_embedding_dense_group_over_many_blocks(spark, monkeypatch):
+    monkeypatch.setattr(embedding_join, "BLOCK", 16)
+    monkeypatch.setattr(embedding_join, "LEAF", 4)
+    rng = np.random.default_rng(8)
+    center = rng.normal(size=12)
+    rows = [(k, (center + rng.normal(size=12) * rng.choice([0.02, 0.15, 0.4])).tolist(), 0) for k in range(160)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
+    got = {r["vec_id"]: (r["n_links"], r["component_id"], r["kept"]) for r in embedding_join.join(df).collect()}
+    assert got == embedding_join.brute(rows)
+
+
+def test_odd_rows_by_value(spark):
+    odd = _odd(spark)
+    by = lambda rows: sorted(rows, key=str)
+    got = by((r["doc_id"], r["n_shingles"], r["component_id"]) for r in jaccard_join.join(odd).collect())
+    assert got == by([(1, 0, 1), (None, 2, None), (2, 0, 2), (3, 1, 3), (4, 3, 4), (4, 3, 4)])
+    lines = by((r["doc_id"], r["n_lines"], r["n_exact"], r["n_near"]) for r in line_dedup.deduplicated(odd).collect())
+    assert lines == by([(1, 0, 0, 0), (None, 1, 0, 0), (2, 1, 0, 0), (3, 1, 0, 0), (4, 1, 0, 0), (4, 1, 0, 0)])
+    four = ("doc_id", "source", "lang", "text")
+    none = spark.createDataFrame([], "doc_id long, quality int, toxic int")
+    one_class = spark.createDataFrame([(3, 1, 0), (4, 1, 0)], "doc_id long, quality int, toxic int")
+    for labels in (none, one_class):
+        assert [(r["evidence"], r["keep"]) for r in quality.judged(odd.select(*four), labels).collect()] == [(0.0, True)] * 6
+    m = by((r["doc_id"], r["n_tokens"], r["topic"], 0 <= r["probability"] <= 1, r["weight"] > 0) for r in mixing.mixed(odd.select(*four)).collect())
+    assert [x[:2] + x[3:] for x in m] == [x for x in by([(1, 0, True, True), (None, 4, True, True), (2, 0, True, True), (3, 30_000, True, True), (4, 5, True, True), (4, 5, True, True)])]
+    assert {x[2] for x in m if not x[1]} == {-1}
+    model = language_id.profiles(odd.withColumn("lang", F.lit("en")))
+    lang = by((r["doc_id"], r["lang_pred"], r["score"]) for r in language_id.predicted(odd.select("doc_id", "text"), model).collect())
+    assert lang == by([(1, "und", 0.0), (None, "en", 1.0), (2, "und", 0.0), (3, "en", 1.0), (4, "en", 1.0), (4, "en", 1.0)])
+    high = spark.createDataFrame([(1, "\U00030001\U00030002")], "doc_id long, text string")  # letters of a high plane
+    assert language_id.predicted(high, language_id.profiles(high.withColumn("lang", F.lit("zh")))).first()["lang_pred"] == "zh"
+
+
+@pytest.mark.parametrize("make", [_odd, _empty])
+def test_whole_pipeline_on_odd_and_empty_tables(spark, make, tmp_path):
+    import corpus_pipeline as cp
+
+    make(spark).write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([(3, 1, 0)] if make is _odd else [], "doc_id long, quality int, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    spark.createDataFrame([(1, "same row of text here"), (None, None)] if make is _odd else [], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    docs = spark.read.parquet(str(tmp_path / "documents.parquet"))
+    for name, stage in cp.STAGES[:-1]:
+        docs = stage(spark, docs, str(tmp_path))
+        assert docs.columns == make(spark).columns, name
+    left = sorted(r["doc_id"] or 0 for r in docs.collect())
+    assert left == ([0, 1, 2, 3] if make is _odd else [])
+    out = cp.run(spark, str(tmp_path))
+    assert out.columns == make(spark).columns and {r["doc_id"] for r in out.collect()} <= {None, 1, 2, 3}
