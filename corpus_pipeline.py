@@ -1,6 +1,13 @@
 """Corpus pipeline over ``documents``: quality classifier, line dedup, n-gram Jaccard join, benchmark
 decontamination, mixing to target weights. Each stage is written as Parquet and reread as the next
-one's input; all return the columns of documents."""
+one's input; all return the columns of documents, others that the input has among them.
+
+Defined results: a null or empty text has no words and no lines, passes all stages but the draw, and there
+has its cell's probability (a document that loses all its lines to the second stage goes, one that had
+none does not); null source or lang are categories of their own; rows without a doc_id are never near
+duplicates and share one draw; of rows that repeat a doc_id the third stage keeps
+one; texts of any length are read whole; extra columns of any name are carried along; without labels
+or without a benchmark the stages that use them keep everything; an empty table gives no rows."""
 
 from __future__ import annotations
 
