@@ -75,6 +75,12 @@ def wrapped(docs: DataFrame, *columns: str) -> DataFrame:
     return docs.select(F.struct(*docs.columns).alias("doc"), *columns)
 
 
+def apart(docs: DataFrame, *columns: str) -> DataFrame:
+    """As :func:`wrapped`, but ``text`` stands beside the struct and not in it, so that what goes to a Python
+    worker and back holds each text once; :func:`unwrapped` takes it with ``text=F.col("text")``."""
+    return docs.select(F.struct(*(c for c in docs.columns if c != "text")).alias("doc"), "text", *columns)
+
+
 def unwrapped(df: DataFrame, docs: DataFrame, **changed) -> DataFrame:
     """The columns of ``docs`` again, some of them changed."""
     return df.select(*(changed[c].alias(c) if c in changed else F.col("doc").getField(c).alias(c) for c in docs.columns))

@@ -144,12 +144,12 @@ def _blocks(bench: DataFrame, limit: int) -> list[DataFrame]:
     return [rows.filter(F.pmod(F.xxhash64("item_id"), F.lit(n)) == k) if n > 1 else rows for k in range(n)]
 
 
-def _matcher(phrases: Phrases, slop: int | None):
+def _matcher(phrases: Phrases, slop: int | None, dropped: tuple[str, ...]):
     """Adds n_words, the hit word places of each row and the items found to each batch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in common.slices(batch, "text", 4 * common.SLICE_BYTES):
+            for part in common.slices(batch, "text"):
                 w = text.words(*common.raw(part.column("text")), text.ALNUM)
                 n = len(w.bounds) - 1
                 hits: list[list[int]] = [[] for _ in range(n)]
@@ -173,8 +173,8 @@ def _matcher(phrases: Phrases, slop: int | None):
                     pairs = np.unique((np.searchsorted(w.bounds, at, side="right") - 1) * len(phrases.names) + phrases.item[which])
                     for r, i in zip(pairs // len(phrases.names), pairs % len(phrases.names), strict=True):
                         items[r].append(phrases.names[i])
-                out = [part.column(k) for k in range(part.num_columns) if part.schema.names[k] != "text"]
-                names = [k for k in part.schema.names if k != "text"]
+                out = [part.column(k) for k in range(part.num_columns) if part.schema.names[k] not in dropped]
+                names = [k for k in part.schema.names if k not in dropped]
                 out += [pa.array(np.diff(w.bounds)), pa.array(hits, pa.list_(pa.int32())), pa.array([sorted(set(x)) for x in items], pa.list_(pa.string()))]
                 yield pa.RecordBatch.from_arrays(out, names=[*names, "n_words", "hit", "items"])
 
@@ -186,14 +186,16 @@ def matches(docs: DataFrame, bench: DataFrame, keep: list[str], window: int = 13
     and the sorted ids of the items found (``items``). ``slop`` asks for proximity in place of exact
     phrases. A benchmark beyond ``block_bytes`` is matched in blocks whose results are united."""
     blocks = _blocks(bench, block_bytes)
+    dropped = () if "text" in keep else ("text",)
+    asked = list(dict.fromkeys([*keep, "text"]))
 
     def run(source: DataFrame, block: DataFrame) -> DataFrame:
         phrases = Phrases.of([tuple(r) for r in block.collect()], window)
-        return source.mapInArrow(_matcher(phrases, slop), common.with_fields(source, ("text",), n_words="long", hit="array<int>", items="array<string>"))
+        return source.mapInArrow(_matcher(phrases, slop, dropped), common.with_fields(source, dropped, n_words="long", hit="array<int>", items="array<string>"))
 
     if len(blocks) == 1:
-        return run(docs.select(*keep, "text"), blocks[0])
-    rows = common.written(docs.select(*keep, "text", F.expr("uuid()").alias("row_key")))
+        return run(docs.select(*asked), blocks[0])
+    rows = common.written(docs.select(*asked, F.expr("uuid()").alias("row_key")))
     parts = [run(rows, b) for b in blocks]
     united = parts[0]
     for p in parts[1:]:
@@ -263,8 +265,8 @@ def judged(hits: DataFrame, share: int = 20) -> DataFrame:
 
 def decontaminated(docs: DataFrame, bench: DataFrame) -> DataFrame:
     """The rows of ``docs`` (with the columns of documents) that are not contaminated."""
-    hits = judged(matches(common.wrapped(docs, "text"), bench, ["doc"]))
-    return common.unwrapped(hits.filter(~F.col("contaminated")), docs)
+    hits = judged(matches(common.apart(docs), bench, ["doc", "text"]))
+    return common.unwrapped(hits.filter(~F.col("contaminated")), docs, text=F.col("text"))
 
 
 def brute(doc: str | None, items: list[tuple[int, str]], window: int = 13) -> dict:

@@ -57,8 +57,10 @@ def _features(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
         return np.diff(np.concatenate([[0], np.cumsum(mask)])[at])
 
     size = np.maximum(1, np.diff(at))
-    spaced = text.words(body, at, text.SPACED)
-    tokens, distinct = np.diff(spaced.bounds), np.bincount(r1, minlength=n)
+    inside = text.SPACED[body]
+    before = np.concatenate([[False], inside[:-1]])[: len(inside)]
+    before[at[:-1][at[:-1] < len(body)]] = False
+    tokens, distinct = per_row(inside & ~before), np.bincount(r1, minlength=n)
     words_n = np.maximum(1, np.diff(w.bounds))
     upper = per_row((body >= 65) & (body <= 90)) / np.maximum(1, per_row(text.ALNUM[body]))
     symbol = per_row(np.isin(body, np.frombuffer(b"!#$%&*+<=>@\\^_|~{}[]", np.uint8))) / size
@@ -132,7 +134,7 @@ def weights(docs: DataFrame, labels: DataFrame) -> dict:
 
 def _slices(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
     """Slices of fewer rows than a key has room for."""
-    for part in common.slices(batch, "text", 4 * common.SLICE_BYTES):
+    for part in common.slices(batch, "text"):
         for k in range(0, len(part), 1 << 20):
             yield part.slice(k, 1 << 20)
 
@@ -180,8 +182,10 @@ def _softmax(lists: list[np.ndarray], kind: np.ndarray, size: int, penalty: floa
     return {"w": w.T.copy(), "base": base, "rate": min(max(rate, 1e-3), 1 - 1e-3)}
 
 
-def evidence(docs: DataFrame, model: dict) -> DataFrame:
-    """``docs`` without text, with ``evidence``: the log ratio of the text as bad against as good."""
+def evidence(docs: DataFrame, model: dict, keep_text: bool = False) -> DataFrame:
+    """``docs``, without text unless it is to be kept, with ``evidence``: the log ratio of the text as bad
+    against as good."""
+    dropped = () if keep_text else ("text",)
     odds = float(np.log(model["rate"] / (1 - model["rate"])))
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -192,10 +196,10 @@ def evidence(docs: DataFrame, model: dict) -> DataFrame:
                     rows, at = _chosen(part, model["f"])
                     z = [np.bincount(rows, weights=model["w"][at, k], minlength=len(part)) + model["base"][k] for k in (0, 1)]
                     both = np.clip(np.logaddexp(*z) - odds, -30, 30)
-                kept = [k for k in part.schema.names if k != "text"]
+                kept = [k for k in part.schema.names if k not in dropped]
                 yield pa.RecordBatch.from_arrays([*(part.column(k) for k in kept), pa.array(both)], names=[*kept, "evidence"])
 
-    return docs.mapInArrow(score, common.with_fields(docs, ("text",), evidence="double"))
+    return docs.mapInArrow(score, common.with_fields(docs, dropped, evidence="double"))
 
 
 def site_rates(scored: DataFrame, host: str, path: str, rate: float) -> DataFrame:
@@ -224,11 +228,12 @@ def site_rates(scored: DataFrame, host: str, path: str, rate: float) -> DataFram
     return common.written(out)
 
 
-def judged(docs: DataFrame, labels: DataFrame, host: str = "source", path: str = "lang", known: DataFrame | None = None) -> DataFrame:
-    """``docs`` without text, with evidence, prior (its path's rate), p_bad and keep; ``known`` may name
-    another table of documents that the labels belong to. Evidence is found once and written."""
+def judged(docs: DataFrame, labels: DataFrame, host: str = "source", path: str = "lang", known: DataFrame | None = None, keep_text: bool = False) -> DataFrame:
+    """``docs``, without text unless it is to be kept, with evidence, prior (its path's rate), p_bad and keep;
+    ``known`` may name another table of documents that the labels belong to. Evidence is found once and
+    written."""
     model = weights(known if known is not None else docs, labels)
-    scored = common.written(evidence(docs, model))
+    scored = common.written(evidence(docs, model, keep_text))
     rates = site_rates(scored.select(host, path, "evidence"), host, path, model["rate"])
     right = F.broadcast(rates) if common.small(rates, SITES) else rates
     out = scored.join(right, scored[host].eqNullSafe(right["host"]) & scored[path].eqNullSafe(right["path"]), "left").drop(right["host"], right["path"])
@@ -239,5 +244,5 @@ def judged(docs: DataFrame, labels: DataFrame, host: str = "source", path: str =
 
 
 def good(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    rows = judged(common.wrapped(docs, "source", "lang", "text"), labels, known=docs.select("doc_id", "text"))
-    return common.unwrapped(rows.filter("keep"), docs)
+    rows = judged(common.apart(docs, "source", "lang"), labels, known=docs.select("doc_id", "text"), keep_text=True)
+    return common.unwrapped(rows.filter("keep"), docs, text=F.col("text"))
