@@ -14,8 +14,8 @@ words tell languages apart before anything else, and a topic of one language alo
 than that language.
 
 The topic of a document is the nearest of ``TOPICS`` centroids by cosine over hashed words, weighted by
-how few documents hold them (counted over all). The centroids are fitted on the documents whose hash is
-below that share which gives ``SAMPLE`` of them on average; a text without words has topic -1.
+how few documents hold them. Both are fitted on all documents, whose vectors are written once and read
+round by round; a text without words has topic -1.
 
 Defined results: null source or lang is a category of its own; null or empty text has no tokens and
 weight 1, and is kept with the probability of its cell; repeated rows share their fate; centroids at one
@@ -37,8 +37,8 @@ from pyspark.sql import functions as F
 from evigraph.llm import common, text
 
 CELLS, TOPICS = 200_000, 8
-#: Hashed words that topics are told by, documents the centroids are fitted on (on average), and rounds.
-WORDS, SAMPLE, ROUNDS = 1024, 4_000, 20
+#: Hashed words that topics are told by, steps of a unit in the vectors of the fit, and most rounds of it.
+WORDS, STEPS, ROUNDS = 1024, 1 << 14, 20
 #: Most sweeps of a fit, and the relative distance from every target at which it is done.
 SWEEPS, GAP = 100, 1e-9
 DIMENSIONS = ("source", "lang", "topic")
@@ -72,7 +72,7 @@ class Topics:
 
 
 def topics(docs: DataFrame, count: int = TOPICS) -> Topics:
-    """Word weights from all documents, centroids from the sample."""
+    """Word weights and centroids, both from all documents."""
     def seen(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total, rows = np.zeros(WORDS, np.int64), 0
         for batch in batches:
@@ -90,43 +90,86 @@ def topics(docs: DataFrame, count: int = TOPICS) -> Topics:
         else:
             held[r["word"]] = r["n"]
     rarity = np.log((rows + 1) / (held + 1)) + 1e-3
-    share = SAMPLE / max(1, rows)
-    some = docs.select("text") if share >= 1 else docs.select("text").filter(F.xxhash64("text") < int(-(1 << 63) + share * (1 << 64)))
 
     def vectors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in common.slices(batch, "text"):
-                row, word, n, _ = _word_counts(part)
-                value = _vectors(row, word, n, rarity, len(part)).astype(np.float32)
+                row, word, n, tokens = _word_counts(part)
+                value = np.rint(_vectors(row, word, n, rarity, len(part)) * STEPS).astype(np.int16)
                 cut = np.searchsorted(row, np.arange(len(part) + 1))
-                packed = [word[a:b].astype(np.int16).tobytes() + value[a:b].tobytes() for a, b in zip(cut, cut[1:], strict=False)]
-                yield pa.RecordBatch.from_arrays([pa.array(packed, pa.binary())], names=["v"])
+                some = np.flatnonzero(tokens)
+                packed = [pa.array([x[cut[k] : cut[k + 1]].tobytes() for k in some], pa.binary()) for x in (word.astype(np.int16), value)]
+                yield pa.RecordBatch.from_arrays(packed, names=["word", "value"])
 
-    # equal texts count once; the order is that of the bytes, so the fit does not depend on the partitions
-    sample = sorted({bytes(r["v"]) for r in some.distinct().mapInArrow(vectors, "v binary").collect()} - {b""})
-    x = np.zeros((len(sample), WORDS), np.float32)
-    for k, v in enumerate(sample):
-        n = len(v) // 6
-        x[k, np.frombuffer(v[: 2 * n], np.int16)] = np.frombuffer(v[2 * n :], np.float32)
-    return Topics(rarity, _centroids(x, count))
+    packed = common.written(docs.select("text").mapInArrow(vectors, "word binary, value binary"))
+    fitted = _centroids(packed, count)
+    common.removed(packed)
+    return Topics(rarity, fitted)
 
 
-def _centroids(x: np.ndarray, count: int) -> np.ndarray:
-    """Unit centroids: each first one far from those before, then rounds of assignment."""
-    if not len(x):
+def _entries(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row, word, value) of the packed vectors of a batch."""
+    word, at = common.raw(batch.column("word"))
+    value, _ = common.raw(batch.column("value"))
+    return np.repeat(np.arange(len(batch)), np.diff(at) // 2), np.frombuffer(word, np.int16), np.frombuffer(value, np.int16).astype(np.float64)
+
+
+def _likeness(batch: pa.RecordBatch, centroids: np.ndarray) -> np.ndarray:
+    row, word, value = _entries(batch)
+    return np.stack([np.bincount(row, weights=value * c[word], minlength=len(batch)) for c in centroids])
+
+
+def _furthest(packed: DataFrame, centroids: np.ndarray, sign: int = 1) -> np.ndarray | None:
+    """The vector least (or, with a sign of -1, most) like any of the centroids; of several the first by bytes."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if len(batch):
+                score = sign * _likeness(batch, centroids).max(axis=0)
+                least = np.flatnonzero(score == score.min())
+                yield pa.RecordBatch.from_arrays([pa.array(score[least]), batch.column("word").take(pa.array(least)), batch.column("value").take(pa.array(least))], names=["score", "word", "value"])
+
+    r = packed.mapInArrow(run, "score double, word binary, value binary").agg(F.min(F.struct("score", "word", "value")).alias("x")).first()["x"]
+    if r is None:
+        return None
+    out = np.zeros(WORDS)
+    out[np.frombuffer(r["word"], np.int16)] = np.frombuffer(r["value"], np.int16) / STEPS
+    return out
+
+
+def _sums(packed: DataFrame, centroids: np.ndarray) -> np.ndarray:
+    """Sum of the vectors nearest to each centroid. The vectors are whole numbers, so the sums are exact and
+    do not depend on the partitions."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(len(centroids) * WORDS)
+        for batch in batches:
+            if len(batch):
+                row, word, value = _entries(batch)
+                own = _likeness(batch, centroids).argmax(axis=0) if len(centroids) > 1 else np.zeros(len(batch), np.int64)
+                total += np.bincount(own[row] * WORDS + word, weights=value, minlength=len(total))
+        at = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at].astype(np.int64))], names=["at", "n"])
+
+    out = np.zeros(len(centroids) * WORDS)
+    for r in packed.mapInArrow(run, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).collect():
+        out[r["at"]] = r["n"]
+    return out.reshape(len(centroids), WORDS)
+
+
+def _centroids(packed: DataFrame, count: int) -> np.ndarray:
+    """Unit centroids: each first one far from those before, then rounds of assignment, until none changes."""
+    first = _furthest(packed, _sums(packed, np.zeros((1, WORDS))), -1)
+    if first is None:
         return np.zeros((1, WORDS))
-    chosen = [int(np.argmax(x @ x.mean(axis=0)))]
-    near = x @ x[chosen[0]]
-    while len(chosen) < min(count, len(x)):
-        chosen.append(int(near.argmin()))
-        near = np.maximum(near, x @ x[chosen[-1]])
-    c = x[chosen].astype(np.float64)
+    chosen = [first]
+    while len(chosen) < count:
+        chosen.append(_furthest(packed, np.stack(chosen)))
+    c, was = np.stack(chosen), None
     for _ in range(ROUNDS):
-        own = (x @ c.T.astype(np.float32)).argmax(axis=1)
-        for k in range(len(c)):
-            mean = x[own == k].sum(axis=0, dtype=np.float64)
-            size = np.linalg.norm(mean)
-            c[k] = mean / size if size > 0 else c[k]
+        now = _sums(packed, c)
+        if was is not None and (now == was).all():
+            break
+        was, size = now, np.linalg.norm(now, axis=1, keepdims=True)
+        c = np.where(size > 0, now / np.where(size > 0, size, 1), c)
     return c
 
 

@@ -579,3 +579,25 @@ def test_whole_pipeline_on_odd_and_empty_tables(spark, make, tmp_path):
         assert docs.columns == columns, name
     assert sorted(r["doc_id"] or 0 for r in before.collect()) == ([0, 1, 2, 3] if make is _odd else [])
     assert {r["doc_id"] for r in docs.collect()} <= {None, 1, 2, 3}
+
+
+def test_topics_are_fitted_on_all_documents(spark):
+    import pyarrow as pa
+
+    rng = np.random.default_rng(5)
+    texts = [" ".join(f"{'abc'[k % 3]}{rng.integers(40)}" for _ in range(12)) for k in range(6000)] + ["", None]
+    docs = spark.createDataFrame([(t,) for t in texts], "text string")
+    model = mixing.topics(docs, 3)
+    # the same by hand: every document counts
+    batch = pa.RecordBatch.from_arrays([pa.array(texts)], names=["text"])
+    x, rows = np.zeros((len(texts), mixing.WORDS)), 0
+    for part in common.slices(batch, "text"):
+        row, word, n, _ = mixing._word_counts(part)
+        x[rows + row, word] = np.rint(mixing._vectors(row, word, n, model.rarity, len(part)) * mixing.STEPS)
+        rows += len(part)
+    x = x[x.any(axis=1)]
+    own = (x @ model.centroids.T).argmax(axis=1)
+    means = np.stack([x[own == k].sum(axis=0) for k in range(3)])
+    assert len(x) == 6000 and np.allclose(means / np.linalg.norm(means, axis=1, keepdims=True), model.centroids, atol=1e-9)
+    again = mixing.topics(docs.repartition(7), 3)
+    assert (again.centroids == model.centroids).all() and (again.rarity == model.rarity).all()
