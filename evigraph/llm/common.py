@@ -13,7 +13,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.types import ArrayType, DoubleType, IntegerType, LongType, StringType, StructField, StructType
+from pyspark.sql.types import ArrayType, BinaryType, DoubleType, IntegerType, LongType, StringType, StructField, StructType
 
 #: Bytes of text that the array kernels take at once; a longer document makes a slice of its own.
 SLICE_BYTES = 1_000_000
@@ -92,7 +92,7 @@ def with_fields(docs: DataFrame, drop: tuple[str, ...] = (), **more: str) -> Str
     return StructType([*kept, *(StructField(k, _parse(v)) for k, v in more.items())])
 
 
-_KINDS = {"long": LongType(), "int": IntegerType(), "double": DoubleType(), "string": StringType(), "array<int>": ArrayType(IntegerType()), "array<string>": ArrayType(StringType())}
+_KINDS = {"long": LongType(), "int": IntegerType(), "double": DoubleType(), "string": StringType(), "binary": BinaryType(), "array<int>": ArrayType(IntegerType()), "array<string>": ArrayType(StringType())}
 
 
 def _parse(kind: str):

@@ -14,8 +14,8 @@ words tell languages apart before anything else, and a topic of one language alo
 than that language.
 
 The topic of a document is the nearest of ``TOPICS`` centroids by cosine over hashed words, weighted by
-how few documents hold them. Both are fitted on all documents, whose vectors are written once and read
-round by round; a text without words has topic -1.
+how few documents hold them. Both are fitted on all documents. Texts are cut into words once; word counts
+and the vectors made of them are written and read round by round; a text without words has topic -1.
 
 Defined results: null source or lang is a category of its own; null or empty text has no tokens and
 weight 1, and is kept with the probability of its cell; repeated rows share their fate; centroids at one
@@ -63,28 +63,59 @@ class Topics:
     rarity: np.ndarray
     centroids: np.ndarray
 
-    def of(self, part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
-        """Topic and number of words of each row."""
-        row, word, n, tokens = _word_counts(part)
-        value = _vectors(row, word, n, self.rarity, len(part))
-        near = np.stack([np.bincount(row, weights=value * c[word], minlength=len(part)) for c in self.centroids], axis=1)
-        return np.where(tokens > 0, near.argmax(axis=1), -1).astype(np.int32), tokens
+    def of(self, row: np.ndarray, word: np.ndarray, n: np.ndarray, tokens: np.ndarray) -> np.ndarray:
+        """Topic of each row, by its words and their counts."""
+        value = _vectors(row, word, n, self.rarity, len(tokens))
+        near = np.stack([np.bincount(row, weights=value * c[word], minlength=len(tokens)) for c in self.centroids], axis=1)
+        return np.where(tokens > 0, near.argmax(axis=1), -1).astype(np.int32)
+
+
+#: Columns of :func:`counted` that hold a row's hashed words and how often it has each.
+WORD, COUNT = "_word", "_count"
+
+
+def counted(docs: DataFrame, keep_text: bool = False) -> DataFrame:
+    """``docs``, without text unless it is to be kept, with n_tokens and packed words and counts. Texts are cut
+    into words here only."""
+    dropped = () if keep_text else ("text",)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in common.slices(batch, "text"):
+                row, word, n, tokens = _word_counts(part)
+                own = [k for k in part.schema.names if k not in dropped]
+                packed = _packed(row, len(part), word.astype(np.int16), n.astype(np.int32))
+                yield pa.RecordBatch.from_arrays([*(part.column(k) for k in own), pa.array(tokens), *packed], names=[*own, "n_tokens", WORD, COUNT])
+
+    return docs.mapInArrow(run, common.with_fields(docs, dropped, n_tokens="long", **{WORD: "binary", COUNT: "binary"}))
+
+
+def _packed(row: np.ndarray, rows: int, *entries: np.ndarray) -> list[pa.Array]:
+    cut = np.searchsorted(row, np.arange(rows + 1))
+    return [pa.array([x[a:b].tobytes() for a, b in zip(cut, cut[1:], strict=False)], pa.binary()) for x in entries]
 
 
 def topics(docs: DataFrame, count: int = TOPICS) -> Topics:
     """Word weights and centroids, both from all documents."""
+    words = common.written(counted(docs.select("text")))
+    model = fitted_to(words, count)
+    common.removed(words)
+    return model
+
+
+def fitted_to(words: DataFrame, count: int = TOPICS) -> Topics:
+    """The same from rows of :func:`counted`, which are read more than once."""
     def seen(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total, rows = np.zeros(WORDS, np.int64), 0
         for batch in batches:
-            for part in common.slices(batch, "text"):
-                _, word, _, _ = _word_counts(part)
-                total += np.bincount(word, minlength=WORDS)
-                rows += len(part)
+            if len(batch):
+                total += np.bincount(np.frombuffer(common.raw(batch.column(WORD))[0], np.int16), minlength=WORDS)
+                rows += len(batch)
         yield pa.RecordBatch.from_arrays([pa.array(np.append(np.arange(WORDS), -1)), pa.array(np.append(total, rows))], names=["word", "n"])
 
     held = np.zeros(WORDS)
     rows = 0
-    for r in docs.select("text").mapInArrow(seen, "word long, n long").groupBy("word").agg(F.sum("n").alias("n")).collect():
+    for r in words.select(WORD).mapInArrow(seen, "word long, n long").groupBy("word").agg(F.sum("n").alias("n")).collect():
         if r["word"] < 0:
             rows = r["n"]
         else:
@@ -93,25 +124,22 @@ def topics(docs: DataFrame, count: int = TOPICS) -> Topics:
 
     def vectors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in common.slices(batch, "text"):
-                row, word, n, tokens = _word_counts(part)
-                value = np.rint(_vectors(row, word, n, rarity, len(part)) * STEPS).astype(np.int16)
-                cut = np.searchsorted(row, np.arange(len(part) + 1))
-                some = np.flatnonzero(tokens)
-                packed = [pa.array([x[cut[k] : cut[k + 1]].tobytes() for k in some], pa.binary()) for x in (word.astype(np.int16), value)]
-                yield pa.RecordBatch.from_arrays(packed, names=["word", "value"])
+            if len(batch):
+                row, word, n = _entries(batch, WORD, COUNT, np.int32)
+                value = np.rint(_vectors(row, word, n, rarity, len(batch)) * STEPS).astype(np.int16)
+                yield pa.RecordBatch.from_arrays([batch.column(WORD), *_packed(row, len(batch), value)], names=["word", "value"])
 
-    packed = common.written(docs.select("text").mapInArrow(vectors, "word binary, value binary"))
+    packed = common.written(words.filter("n_tokens > 0").select(WORD, COUNT).mapInArrow(vectors, "word binary, value binary"))
     fitted = _centroids(packed, count)
     common.removed(packed)
     return Topics(rarity, fitted)
 
 
-def _entries(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def _entries(batch: pa.RecordBatch, words: str = "word", values: str = "value", kind: type = np.int16) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(row, word, value) of the packed vectors of a batch."""
-    word, at = common.raw(batch.column("word"))
-    value, _ = common.raw(batch.column("value"))
-    return np.repeat(np.arange(len(batch)), np.diff(at) // 2), np.frombuffer(word, np.int16), np.frombuffer(value, np.int16).astype(np.float64)
+    word, at = common.raw(batch.column(words))
+    value, _ = common.raw(batch.column(values))
+    return np.repeat(np.arange(len(batch)), np.diff(at) // 2), np.frombuffer(word, np.int16), np.frombuffer(value, kind).astype(np.float64)
 
 
 def _likeness(batch: pa.RecordBatch, centroids: np.ndarray) -> np.ndarray:
@@ -175,15 +203,19 @@ def _centroids(packed: DataFrame, count: int) -> np.ndarray:
 
 def profiled(docs: DataFrame, model: Topics, keep_text: bool = False) -> DataFrame:
     """``docs``, without text unless it is to be kept, with n_tokens and topic."""
-    dropped = () if keep_text else ("text",)
+    return assigned(counted(docs, keep_text), model)
+
+
+def assigned(words: DataFrame, model: Topics) -> DataFrame:
+    """Rows of :func:`counted` with their topic instead of their words."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in common.slices(batch, "text"):
-                topic, tokens = model.of(part)
-                own = [k for k in part.schema.names if k not in dropped]
-                yield pa.RecordBatch.from_arrays([*(part.column(k) for k in own), pa.array(tokens), pa.array(topic)], names=[*own, "n_tokens", "topic"])
+            if len(batch):
+                topic = model.of(*_entries(batch, WORD, COUNT, np.int32), batch.column("n_tokens").to_numpy())
+                own = [k for k in batch.schema.names if k not in (WORD, COUNT)]
+                yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in own), pa.array(topic)], names=[*own, "topic"])
 
-    return docs.mapInArrow(run, common.with_fields(docs, dropped, n_tokens="long", topic="int"))
+    return words.mapInArrow(run, common.with_fields(words, (WORD, COUNT), topic="int"))
 
 
 def shares_for(observed: dict, given: dict) -> dict:
@@ -342,8 +374,10 @@ def calibrated(profile: DataFrame, powers: dict[str, float] | None = None, targe
 
 def mixed(docs: DataFrame, keep: float = 0.5, seed: int = 7, keep_text: bool = False, **options) -> DataFrame:
     """``docs``, without text unless it is to be kept, with n_tokens, topic, weight, probability and drawn."""
-    rows = common.written(profiled(docs, topics(docs), keep_text))
-    cells = calibrated(rows, keep=keep, **options)
+    words = common.written(counted(docs, keep_text))
+    model = fitted_to(words)
+    rows = assigned(words, model)
+    cells = calibrated(assigned(words.select("source", "lang", "n_tokens", WORD, COUNT), model), keep=keep, **options)
     right = F.broadcast(cells) if common.small(cells, CELLS) else cells
     on = F.lit(True)
     for d in DIMENSIONS:

@@ -601,3 +601,16 @@ def test_topics_are_fitted_on_all_documents(spark):
     assert len(x) == 6000 and np.allclose(means / np.linalg.norm(means, axis=1, keepdims=True), model.centroids, atol=1e-9)
     again = mixing.topics(docs.repartition(7), 3)
     assert (again.centroids == model.centroids).all() and (again.rarity == model.rarity).all()
+
+
+def test_mixing_reads_each_text_once(spark):
+    read = spark.sparkContext.accumulator(0)
+
+    def seen(batches):
+        for batch in batches:
+            read.add(len(batch))
+            yield batch
+
+    kinds = "doc_id long, source string, lang string, text string"
+    docs = spark.createDataFrame([(k, "s", "l", f"a{k % 3} b{k % 5} c{k % 7}") for k in range(300)], kinds).mapInArrow(seen, kinds)
+    assert mixing.mixed(docs).count() == 300 and read.value == 300
