@@ -15,7 +15,9 @@ than that language.
 
 The topic of a document is the nearest of ``TOPICS`` centroids by cosine over hashed words, weighted by
 how few documents hold them. Both are fitted on all documents. Texts are cut into words once; word counts
-and the vectors made of them are written and read round by round; a text without words has topic -1.
+and the vectors made of them are written, the vectors several to a row, and read round by round; a text
+without words has topic -1. A round multiplies whole slices of vectors by all centroids at once, in parts
+of few enough bits that no sum is rounded: its result depends neither on slices nor on partitions.
 
 Defined results: null source or lang is a category of its own; null or empty text has no tokens and
 weight 1, and is kept with the probability of its cell; repeated rows share their fate; centroids at one
@@ -39,6 +41,9 @@ from evigraph.llm import common, text
 CELLS, TOPICS = 200_000, 8
 #: Hashed words that topics are told by, steps of a unit in the vectors of the fit, and most rounds of it.
 WORDS, STEPS, ROUNDS = 1024, 1 << 14, 20
+#: Bytes of text whose words are counted at once, entries that a row of packed vectors holds, and vectors that are
+#: multiplied at once: what is worked on stays in the processor's memory.
+TEXT_BYTES, ENTRIES, VECTORS = 1 << 18, 2048, 256
 #: Most sweeps of a fit, and the relative distance from every target at which it is done.
 SWEEPS, GAP = 100, 1e-9
 DIMENSIONS = ("source", "lang", "topic")
@@ -46,9 +51,16 @@ DIMENSIONS = ("source", "lang", "topic")
 
 def _word_counts(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """(row, hashed word, count) of a slice, by row, and each row's number of words."""
-    w = text.words(*common.raw(part.column("text")), text.SPACED)
-    pairs, n = np.unique(w.rows * WORDS + (w.hashes & np.uint64(WORDS - 1)).astype(np.int64), return_counts=True)
-    return pairs // WORDS, pairs % WORDS, n, np.diff(w.bounds)
+    pairs, counts, tokens, rows = [], [], [], 0
+    for piece in common.slices(part, "text", TEXT_BYTES):
+        w = text.words(*common.raw(piece.column("text")), text.SPACED)
+        own, n = np.unique((rows + w.rows) * WORDS + (w.hashes & np.uint64(WORDS - 1)).astype(np.int64), return_counts=True)
+        pairs.append(own)
+        counts.append(n)
+        tokens.append(np.diff(w.bounds))
+        rows += len(piece)
+    key = np.concatenate(pairs)
+    return key // WORDS, key % WORDS, np.concatenate(counts), np.concatenate(tokens)
 
 
 def _vectors(row: np.ndarray, word: np.ndarray, n: np.ndarray, rarity: np.ndarray, rows: int) -> np.ndarray:
@@ -65,8 +77,12 @@ class Topics:
 
     def of(self, row: np.ndarray, word: np.ndarray, n: np.ndarray, tokens: np.ndarray) -> np.ndarray:
         """Topic of each row, by its words and their counts."""
-        value = _vectors(row, word, n, self.rarity, len(tokens))
-        near = np.stack([np.bincount(row, weights=value * c[word], minlength=len(tokens)) for c in self.centroids], axis=1)
+        value, held = _vectors(row, word, n, self.rarity, len(tokens)), np.bincount(row, minlength=len(tokens))
+        some = np.flatnonzero(held)
+        near = np.zeros((len(tokens), len(self.centroids)))
+        if len(some):
+            begin = (np.cumsum(held) - held)[some]
+            near[some] = np.stack([np.add.reduceat(value * c[word], begin) for c in self.centroids], axis=1)
         return np.where(tokens > 0, near.argmax(axis=1), -1).astype(np.int32)
 
 
@@ -124,37 +140,71 @@ def fitted_to(words: DataFrame, count: int = TOPICS) -> Topics:
 
     def vectors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            if len(batch):
-                row, word, n = _entries(batch, WORD, COUNT, np.int32)
-                value = np.rint(_vectors(row, word, n, rarity, len(batch)) * STEPS).astype(np.int16)
-                yield pa.RecordBatch.from_arrays([batch.column(WORD), *_packed(row, len(batch), value)], names=["word", "value"])
-
-    packed = common.written(words.filter("n_tokens > 0").select(WORD, COUNT).mapInArrow(vectors, "word binary, value binary"))
+            for part in common.slices(batch, WORD):
+                row, word, n = _entries(part)
+                value = np.rint(_vectors(row, word, n, rarity, len(part)) * STEPS).astype(np.int16)
+                size = np.bincount(row, minlength=len(part))
+                at = np.cumsum(size) - size
+                pack = at // ENTRIES
+                first = np.append(np.flatnonzero(np.diff(pack, prepend=-1)), len(part))
+                pack = np.repeat(np.arange(len(first) - 1), np.diff(first))
+                yield pa.RecordBatch.from_arrays([x for rows, kind in ((pack, (size.astype(np.int16),)), (pack[row], (word, value))) for x in _packed(rows, len(first) - 1, *kind)], names=["size", "word", "value"])
+
+    packed = common.written(words.filter("n_tokens > 0").select(WORD, COUNT).mapInArrow(vectors, "size binary, word binary, value binary"))
     fitted = _centroids(packed, count)
     common.removed(packed)
     return Topics(rarity, fitted)
 
 
-def _entries(batch: pa.RecordBatch, words: str = "word", values: str = "value", kind: type = np.int16) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(row, word, value) of the packed vectors of a batch."""
-    word, at = common.raw(batch.column(words))
-    value, _ = common.raw(batch.column(values))
-    return np.repeat(np.arange(len(batch)), np.diff(at) // 2), np.frombuffer(word, np.int16), np.frombuffer(value, kind).astype(np.float64)
+def _entries(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row, word, count) of the rows of :func:`counted`."""
+    word, at = common.raw(batch.column(WORD))
+    count, _ = common.raw(batch.column(COUNT))
+    return np.repeat(np.arange(len(batch)), np.diff(at) // 2), np.frombuffer(word, np.int16), np.frombuffer(count, np.int32).astype(np.float64)
+
+
+def _unpacked(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """(where each vector begins and the last ends, words, values) of the packed vectors, ``VECTORS`` at most at once."""
+    for batch in batches:
+        size, word, value = (np.frombuffer(common.raw(batch.column(k))[0], np.int16) for k in ("size", "word", "value"))
+        at = np.concatenate([[0], np.cumsum(size, dtype=np.int64)])
+        for k in range(0, len(size), VECTORS):
+            own = at[k : k + VECTORS + 1]
+            yield own - own[0], word[own[0] : own[-1]], value[own[0] : own[-1]]
+
+
+def _exact(centroids: np.ndarray) -> np.ndarray:
+    """The centroids in two parts, of 30 and 30 further bits, by one power of two: products with the vectors'
+    whole numbers stay below 53 bits, summed in any order."""
+    longest = np.linalg.norm(centroids, axis=1).max()
+    c = centroids / 2.0 ** np.ceil(np.log2(longest)) if longest else centroids
+    high = np.rint(c * 2.0**30) / 2.0**30
+    return np.concatenate([high, np.rint((c - high) * 2.0**60) / 2.0**60]).T
 
 
-def _likeness(batch: pa.RecordBatch, centroids: np.ndarray) -> np.ndarray:
-    row, word, value = _entries(batch)
-    return np.stack([np.bincount(row, weights=value * c[word], minlength=len(batch)) for c in centroids])
+def _likeness(at: np.ndarray, word: np.ndarray, value: np.ndarray, exact: np.ndarray) -> np.ndarray:
+    """Likeness of each vector to each centroid."""
+    dense = np.zeros((len(at) - 1, WORDS))
+    dense.ravel()[np.repeat(np.arange(0, dense.size, WORDS), np.diff(at)) + word] = value
+    parts = dense @ exact
+    half = parts.shape[1] // 2
+    return parts[:, :half] + parts[:, half:]
 
 
 def _furthest(packed: DataFrame, centroids: np.ndarray, sign: int = 1) -> np.ndarray | None:
     """The vector least (or, with a sign of -1, most) like any of the centroids; of several the first by bytes."""
+    exact = _exact(centroids)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if len(batch):
-                score = sign * _likeness(batch, centroids).max(axis=0)
-                least = np.flatnonzero(score == score.min())
-                yield pa.RecordBatch.from_arrays([pa.array(score[least]), batch.column("word").take(pa.array(least)), batch.column("value").take(pa.array(least))], names=["score", "word", "value"])
+        best = None
+        for at, word, value in _unpacked(batches):
+            score = sign * _likeness(at, word, value, exact).max(axis=1)
+            least = score.min()
+            if best is None or least <= best[0]:
+                found = [(float(least), word[at[i] : at[i + 1]].tobytes(), value[at[i] : at[i + 1]].tobytes()) for i in np.flatnonzero(score == least)]
+                best = min(found if best is None else [best, *found])
+        if best is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([x]) for x in best], names=["score", "word", "value"])
 
     r = packed.mapInArrow(run, "score double, word binary, value binary").agg(F.min(F.struct("score", "word", "value")).alias("x")).first()["x"]
     if r is None:
@@ -167,13 +217,13 @@ def _furthest(packed: DataFrame, centroids: np.ndarray, sign: int = 1) -> np.nda
 def _sums(packed: DataFrame, centroids: np.ndarray) -> np.ndarray:
     """Sum of the vectors nearest to each centroid. The vectors are whole numbers, so the sums are exact and
     do not depend on the partitions."""
+    exact = _exact(centroids)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(len(centroids) * WORDS)
-        for batch in batches:
-            if len(batch):
-                row, word, value = _entries(batch)
-                own = _likeness(batch, centroids).argmax(axis=0) if len(centroids) > 1 else np.zeros(len(batch), np.int64)
-                total += np.bincount(own[row] * WORDS + word, weights=value, minlength=len(total))
+        for at, word, value in _unpacked(batches):
+            own = _likeness(at, word, value, exact).argmax(axis=1) if len(centroids) > 1 else np.zeros(len(at) - 1, np.int64)
+            total += np.bincount(np.repeat(own * WORDS, np.diff(at)) + word, weights=value, minlength=len(total))
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at].astype(np.int64))], names=["at", "n"])
 
@@ -211,7 +261,7 @@ def assigned(words: DataFrame, model: Topics) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if len(batch):
-                topic = model.of(*_entries(batch, WORD, COUNT, np.int32), batch.column("n_tokens").to_numpy())
+                topic = np.concatenate([model.of(*_entries(part), part.column("n_tokens").to_numpy()) for part in common.slices(batch, WORD)])
                 own = [k for k in batch.schema.names if k not in (WORD, COUNT)]
                 yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in own), pa.array(topic)], names=[*own, "topic"])
 

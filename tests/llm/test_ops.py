@@ -628,3 +628,31 @@ def test_mixing_reads_each_text_once(spark):
     kinds = "doc_id long, source string, lang string, text string"
     docs = spark.createDataFrame([(k, "s", "l", f"a{k % 3} b{k % 5} c{k % 7}") for k in range(300)], kinds).mapInArrow(seen, kinds)
     assert mixing.mixed(docs).count() == 300 and read.value == 300
+
+
+def test_rounds_of_topics_read_packs_and_round_nothing(spark, monkeypatch):
+    rng = np.random.default_rng(8)
+    texts = [" ".join(f"{'abc'[k % 3]}{rng.integers(60)}" for _ in range(20)) for k in range(1500)]
+    # texts of all sizes of vectors, one beyond a pack, copies among them, and one that fills several pieces
+    texts += [" ".join(f"z{k}" for k in range(n)) for n in (1, 3000, 3000, 60000)] + ["", None]
+    docs = spark.createDataFrame([(t,) for t in texts], "text string").repartition(2)
+    kept, was = [], common.written
+    monkeypatch.setattr(common, "written", lambda df: kept.append(was(df)) or kept[-1])
+    monkeypatch.setattr(common, "removed", lambda df: None)
+    model = mixing.topics(docs, 4)
+    packs = kept[-1].toArrow()
+    # several vectors to a row, none lost, and the rows short however many vectors there are
+    size = np.frombuffer(b"".join(packs["size"].to_pylist()), np.int16)
+    assert len(size) == 1504 and packs.num_rows < 1504 / 20 and max(map(len, packs["word"].to_pylist())) <= 2 * (mixing.ENTRIES + mixing.WORDS)
+    word, value = (np.frombuffer(b"".join(packs[k].to_pylist()), np.int16) for k in ("word", "value"))
+    x = np.zeros((len(size), mixing.WORDS), np.int64)
+    x[np.repeat(np.arange(len(size)), size), word] = value
+    # the same in whole numbers of any length
+    exact = mixing._exact(model.centroids)
+    parts = [[int(c * 2.0**60) for c in row] for row in exact.T]
+    near = [[sum(int(row[w]) * part[w] for w in np.flatnonzero(row)) for part in parts] for row in x[::50]]
+    batches = packs.to_batches()
+    got = np.concatenate([mixing._likeness(at, w, v, exact) for at, w, v in mixing._unpacked(iter(batches))])[::50]
+    assert all(g == h / 2**60 + low / 2**60 for row, wanted in zip(got, near, strict=True) for g, h, low in zip(row, wanted[:4], wanted[4:], strict=True))
+    assert np.abs(exact.T[:4] + exact.T[4:] - model.centroids / (1 if np.linalg.norm(model.centroids, axis=1).max() <= 1 else 2)).max() < 1e-15
+    assert list(mixing._unpacked(iter(batches[0].slice(0, 0) for _ in range(2)))) == []
