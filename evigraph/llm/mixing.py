@@ -145,7 +145,7 @@ def fitted_to(words: DataFrame, count: int = TOPICS) -> Topics:
                 value = np.rint(_vectors(row, word, n, rarity, len(part)) * STEPS).astype(np.int16)
                 size = np.bincount(row, minlength=len(part))
                 at = np.cumsum(size) - size
-                pack = at // ENTRIES
+                pack = (at + 8 * np.arange(len(part))) // ENTRIES  # so that short vectors, too, are few in a pack
                 first = np.append(np.flatnonzero(np.diff(pack, prepend=-1)), len(part))
                 pack = np.repeat(np.arange(len(first) - 1), np.diff(first))
                 yield pa.RecordBatch.from_arrays([x for rows, kind in ((pack, (size.astype(np.int16),)), (pack[row], (word, value))) for x in _packed(rows, len(first) - 1, *kind)], names=["size", "word", "value"])
@@ -427,7 +427,11 @@ def mixed(docs: DataFrame, keep: float = 0.5, seed: int = 7, keep_text: bool = F
     words = common.written(counted(docs, keep_text))
     model = fitted_to(words)
     rows = assigned(words, model)
-    cells = calibrated(assigned(words.select("source", "lang", "n_tokens", WORD, COUNT), model), keep=keep, **options)
+    if keep_text:  # texts are not written again for the cells
+        profile = assigned(words.select("source", "lang", "n_tokens", WORD, COUNT), model)
+    else:
+        rows = profile = common.written(rows)
+    cells = calibrated(profile.select(*DIMENSIONS, "n_tokens"), keep=keep, **options)
     right = F.broadcast(cells) if common.small(cells, CELLS) else cells
     on = F.lit(True)
     for d in DIMENSIONS:
